@@ -172,8 +172,16 @@ def docbag(spark: SparkSession, sf_dir: str, m: int = 1024, n: int | None = None
     docs = docs.orderBy("doc_id").limit(n) if n else docs
     each = docs.select("doc_id", F.explode(tokens(F.col("text"))).alias("t")).select("doc_id", token_bucket(F.col("t"), m).alias("b"))
     counts = each.groupBy("doc_id", "b").agg(F.count("*").cast("double").alias("c"))
-    held = counts.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("b", "c"))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("norm"))
-    x = F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.coalesce(F.try_element_at("m", i) / F.col("norm"), F.lit(0.0)))
+    held = counts.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("b", "c"))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("norm"))
+    pairs = F.coalesce("m", F.expr("cast(array() as array<struct<b:int,c:double>>)"))
+
+    def filled(p, i):
+        """Zeros since the bucket before, then this bucket's share."""
+        since = F.when(i > 0, pairs[i - 1]["b"] + 1).otherwise(0)
+        return F.concat(F.array_repeat(F.lit(0.0), p["b"] - since), F.array(p["c"] / F.col("norm")))
+
+    rest = F.when(F.size(pairs) > 0, m - 1 - pairs[F.size(pairs) - 1]["b"]).otherwise(m)
+    x = F.concat(F.flatten(F.transform(pairs, filled)), F.array_repeat(F.lit(0.0), rest))
     truth = F.array_position(F.array(*[F.lit(v) for v in ("de", "en", "es", "fr")]), F.col("lang")).cast("int") - 1
     return dense_index(docs.join(held, "doc_id", "left").select(F.col("doc_id").alias("key"), x.alias("x"), truth.alias("truth")), ["key"])
 

@@ -498,11 +498,12 @@ def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str
     itself, or after ``max_iter`` sweeps; ``fixed`` runs them all.
     """
     kernel, loop, store = kernel or polynomial(), loop or LoopSpec(), store or StoreSpec()
+    points = points.select("idx", "x").persist()
     n, dim = validate(points, k)
     grid = GridSpec(n, g)
     spark = points.sparkSession
     labels = _start(points, k, n, init, kernel, seed)
-    run = make(engine, points.select("idx", "x"), k, kernel, grid, loop, store, dim, **options)
+    run = make(engine, points, k, kernel, grid, loop, store, dim, **options)
     began = time.time()
     run.prepare()
     trace = run.diagonal()
@@ -547,6 +548,7 @@ def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str
         if not loop.fixed and (changed == 0 or small):
             break
     run.close()
+    points.unpersist()
     return FitResult(spark, labels, k, np.bincount(labels, minlength=k), norms, history, [(s, i, w, m) for (s, i), (w, m) in run.traffic.items()], timing)
 
 
