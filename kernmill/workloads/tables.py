@@ -7,6 +7,7 @@ from functools import partial
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .. import experiments
 from ..functions import metrics, points
 from ..functions.kernels import KernelSpec, cosine, dot, linear, polynomial, rbf, sigmoid
 from ..operators import baselines, engines, gram, model, sweep
@@ -340,6 +341,26 @@ def window_heights(spark, sf_dir):
     return out
 
 
+def _sets(spark, sf_dir):
+    return {"vision": lambda n: points.emb(spark, sf_dir, n), "physics": lambda n: points.wide28(spark, sf_dir, n)}
+
+
+def weak_scaling(spark, sf_dir):
+    return experiments.weak(spark, _sets(spark, sf_dir), 200, ks=(16,), grids=(1, 2), sweeps=2)
+
+
+def strong_scaling(spark, sf_dir):
+    return experiments.strong(spark, _sets(spark, sf_dir), 400, ks=(16,), grids=(1, 2), sweeps=2)
+
+
+def stage_breakdown(spark, sf_dir):
+    return experiments.strong(spark, {"vision": _sets(spark, sf_dir)["vision"]}, 400, ks=(64,), grids=(2,), sweeps=2)
+
+
+def window_comparison(spark, sf_dir):
+    return experiments.against_window(spark, "physics", points.wide28(spark, sf_dir, 1000), 16, heights=(256, 1024), sweeps=2)
+
+
 _runs_query = lambda f: lambda spark, sf_dir: f(_runs(spark))
 line4_1k, eventday_1k = points.line4, partial(points.eventday, n=1000)
 
@@ -400,6 +421,10 @@ QUERIES = {
     "spectral_rings_ari": spectral_rings,
     "plusplus_k10": plusplus_k10,
     "window_heights": window_heights,
+    "weak_scaling": weak_scaling,
+    "strong_scaling": strong_scaling,
+    "stage_breakdown": stage_breakdown,
+    "window_comparison": window_comparison,
     "assign_holdout": assign_holdout,
     "nearest_members_topk": nearest_members_topk,
     "second_best_margin": sweep_step("margin"),
