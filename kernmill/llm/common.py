@@ -4,9 +4,12 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -125,16 +128,13 @@ def shingle_sets(texts: list[bytes], k: int) -> tuple[np.ndarray, np.ndarray]:
     return h[fresh], np.bincount(d[fresh], minlength=len(texts))
 
 
-def byte_chunks(texts: list[bytes], limit: int = 1 << 20):
-    """Index ranges of ``texts`` holding about ``limit`` bytes each, one text at least."""
-    lo, held = 0, 0
-    for i, t in enumerate(texts):
-        if held and held + len(t) > limit:
-            yield lo, i
-            lo, held = i, 0
-        held += len(t) + 1
-    if lo < len(texts):
-        yield lo, len(texts)
+def byte_slices(column: pa.Array, limit: int) -> Iterator[tuple[int, int]]:
+    """(start, number) of runs of rows with about ``limit`` bytes of text each, one row at least."""
+    sizes = np.nan_to_num(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)).astype(np.int64)
+    run = np.cumsum(sizes + 64) // limit
+    edges = np.flatnonzero(np.diff(run, prepend=-1, append=-1))
+    for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist()):
+        yield lo, hi - lo
 
 
 # --- connected components ----------------------------------------------------

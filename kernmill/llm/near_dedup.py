@@ -27,11 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_chunks, components, mix, shingle_sets, stage
+from .common import bounded_broadcast, byte_slices, components, mix, shingle_sets, stage
 
 SAMPLES, ROWS, SKETCH_BITS = 128, 4, 512
 BLOCK, BLOCK_SHINGLES = 256, 400_000
-MARGIN = 0.2
+MARGIN, CHUNK = 0.2, 1 << 20
+BROADCAST_ROWS = 2_000_000  # of two or three longs
 _rng = np.random.Generator(np.random.PCG64(20))
 _A = _rng.integers(1, 1 << 63, SAMPLES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _B = _rng.integers(1, 1 << 63, SAMPLES, dtype=np.uint64)
@@ -77,12 +78,11 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            texts = _blobs(batch.column(1))
             ids = batch.column(0)
-            for lo, hi in byte_chunks(texts):
-                keys, counts = shingle_sets(texts[lo:hi], k)
+            for lo, n in byte_slices(batch.column(1), CHUNK):
+                keys, counts = shingle_sets(_blobs(batch.column(1).slice(lo, n)), k)
                 full = np.flatnonzero(counts)
-                set_id, bands = [None] * (hi - lo), [[]] * (hi - lo)
+                set_id, bands = [None] * n, [[]] * n
                 if len(full):
                     at = np.concatenate(([0], np.cumsum(counts[full])[:-1]))
                     sums = [np.add.reduceat(mix(keys * np.uint64(m)), at) for m in (3, 5)]
@@ -91,7 +91,7 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
                     for i, x, y in zip(full, *sums):
                         set_id[i] = f"{x:016x}{y:016x}{counts[i]:x}"
                 yield pa.RecordBatch.from_arrays(
-                    [ids.slice(lo, hi - lo), pa.array(counts, pa.int64()), pa.array(set_id, pa.string()), pa.array(bands, pa.list_(pa.int64()))],
+                    [ids.slice(lo, n), pa.array(counts, pa.int64()), pa.array(set_id, pa.string()), pa.array(bands, pa.list_(pa.int64()))],
                     ["doc_id", "n_shingles", "set_id", "bands"],
                 )
 
@@ -167,19 +167,18 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80)
 
     def as_sets(batches):
         for batch in batches:
-            texts = _blobs(batch.column(2))
-            for lo, hi in byte_chunks(texts):
-                keys, counts = shingle_sets(texts[lo:hi], shingle_words)
+            for lo, n in byte_slices(batch.column(2), CHUNK):
+                keys, counts = shingle_sets(_blobs(batch.column(2).slice(lo, n)), shingle_words)
                 ends = np.cumsum(counts)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), pa.array([keys[e - c : e].tobytes() for e, c in zip(ends, counts)], pa.binary())],
+                    [batch.column(0).slice(lo, n), batch.column(1).slice(lo, n), pa.array([keys[e - c : e].tobytes() for e, c in zip(ends, counts)], pa.binary())],
                     ["family", "doc_id", "members"],
                 )
 
     size = reps.select("rep", "n_shingles").join(family, F.col("rep") == F.col("node"))
     blocks = size.groupBy("component").agg(F.count("*").alias("texts"), F.sum("n_shingles").alias("shingles"))
     blocks = blocks.select("component", F.ceil(F.greatest(F.col("texts") / BLOCK, F.col("shingles") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(family, F.col("doc_id") == F.col("node"))
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(bounded_broadcast(family, BROADCAST_ROWS), F.col("doc_id") == F.col("node"))
     sets = texts.select("component", "doc_id", "text").mapInArrow(as_sets, "family long, doc_id long, members binary")
     dealt = (
         sets.join(blocks, F.col("family") == F.col("component"))
@@ -199,6 +198,15 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80)
 
 
 def deduplicate(docs: DataFrame, shingle_words: int = 5, percent: int = 80) -> DataFrame:
-    """Rows of ``docs`` whose text stands for its group; of repeated rows with one doc_id one stays."""
-    kept = near_duplicates(docs, shingle_words, percent).where("kept").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
+    """Rows of ``docs`` whose text stands for its group; of repeated rows with one doc_id one stays. Rows without doc_id stay.
+
+    What goes is the smaller side: texts meet only the ids that go or repeat,
+    which are broadcast if their number allows.
+    """
+    found = near_duplicates(docs, shingle_words, percent)
+    by_id = found.groupBy(F.col("doc_id").alias("id")).agg(F.max("kept").alias("kept"), F.count("*").alias("n"))
+    odd = bounded_broadcast(stage(by_id.where("NOT kept OR n > 1")), BROADCAST_ROWS)
+    twice = bounded_broadcast(odd.where("kept"), BROADCAST_ROWS)
+    single = docs.join(odd, docs["doc_id"].cast("long") == odd["id"], "left_anti")
+    again = docs.join(twice, docs["doc_id"].cast("long") == twice["id"], "left_semi").dropDuplicates(["doc_id"])
+    return single.unionByName(again)
