@@ -22,9 +22,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import byte_slices
 from .token_codec import codec, default_vocabulary
 
-WINDOW, END, OPEN, BATCH = 4096, 2, 2048, 256
+WINDOW, END, OPEN = 4096, 2, 2048
 FIELDS = [("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64()), ("ids", pa.binary())]
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids binary"
 
@@ -122,9 +123,9 @@ def pack(docs: DataFrame, vocabulary: str | None = None, window: int = WINDOW, e
             return out
 
         for got in batches:
-            for lo in range(0, got.num_rows, BATCH):
-                part = got.slice(lo, BATCH)
-                for doc, ids in zip(part.column(0).to_pylist(), words.encode(part.column(1).to_pylist())):
+            for lo, n in byte_slices(got.column(1), 4 << 20):
+                part = got.slice(lo, n)
+                for doc, ids in zip(part.column(0).to_pylist(), words.encode(part.column(1))):
                     ids = np.append(ids, np.uint16(end))
                     whole = len(ids) // window * window
                     for at in range(0, whole, window):
