@@ -21,9 +21,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import byte_slices
 from .token_codec import codec, default_vocabulary
 
-WINDOW, END, PAD, ROUND, BATCH = 4096, 2, 0, 2_000_000, 256
+WINDOW, END, PAD, ROUND = 4096, 2, 0, 2_000_000
 SCHEMA = "sequence_id long, n_tokens long, n_segments long, doc_ids array<long>, starts array<long>, cu_seqlens array<int>, input_ids binary, ids_crc32 long"
 
 
@@ -106,9 +107,9 @@ def pack_matrices(docs: DataFrame, vocabulary: str | None = None, window: int =
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
 
         for got in batches:
-            for lo in range(0, got.num_rows, BATCH):
-                part = got.slice(lo, BATCH)
-                for doc, ids in zip(part.column(0).to_pylist(), words.encode(part.column(1).to_pylist())):
+            for lo, n in byte_slices(got.column(1), 4 << 20):
+                part = got.slice(lo, n)
+                for doc, ids in zip(part.column(0).to_pylist(), words.encode(part.column(1))):
                     ids = np.append(ids, np.uint16(end))
                     for at in range(0, len(ids), window):
                         pieces.append((doc, at, ids[at : at + window]))
