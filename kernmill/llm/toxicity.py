@@ -2,8 +2,8 @@
 
 Two zstandard dictionaries are learnt: one from ordinary text, one from toxic
 text. A text is cut into windows at blanks, each window compressed with both;
-the bytes that the toxic dictionary saves, summed and at most per window, are
-the distance, and a logistic curve fitted on labelled texts calibrates them.
+the bytes that the toxic dictionary saves, at most, summed and by steps, are the
+distance, and a logistic curve fitted on labelled texts calibrates them.
 
 The toxic dictionary is the ordinary one with the toxic passages in front:
 passages are the words around byte runs that labelled toxic texts hold far more
@@ -26,7 +26,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import byte_slices
+
 SAMPLE, WINDOW, LEVEL, RUN = 4000, 64, 9, 5
+STEPS = (2, 3, 4, 5, 6)
 _LETTERS = re.compile(r"[^\W\d_]+")
 _cache: dict = {}
 
@@ -45,11 +48,16 @@ def windows(text: str, size: int = WINDOW) -> list[bytes]:
     return out
 
 
-def savings(text: str | None, ordinary, toxic) -> tuple[float, float, float]:
-    """(largest saving of a window, sum of savings over 1 byte, log of windows)."""
+def savings(text: str | None, ordinary, toxic) -> list[float]:
+    """Largest saving of a window (12 at most), logarithms of how many windows save at least each of STEPS bytes, of their sum, and of all windows."""
     parts = windows(text or "")
     gains = [len(ordinary.compress(p)) - len(toxic.compress(p)) for p in parts]
-    return float(max(gains, default=0)), float(sum(g - 1 for g in gains if g > 1)), math.log1p(len(parts))
+    return [
+        min(12.0, max(gains, default=0)),
+        *[math.log1p(sum(g >= s for g in gains)) for s in STEPS],
+        math.log1p(sum(g - 1 for g in gains if g > 1)),
+        math.log1p(len(parts)),
+    ]
 
 
 def _compressors(model: dict):
@@ -65,20 +73,43 @@ def _compressors(model: dict):
     return _cache["made"]
 
 
-def toxic_runs(toxic: list[str], ordinary: list[str], run: int = RUN, least_share: float = 0.01, odds: float = 60.0) -> dict[str, int]:
-    """Letter runs of ``run`` characters held by toxic texts ``odds`` times as often as by ordinary ones, with their counts of toxic texts."""
-    seen: set[str] = set()
-    for t in ordinary:
-        seen.update(_LETTERS.findall(t.lower()))
+def runs_of(word: str, run: int = RUN) -> set[str]:
+    """Letter runs that may mark a word: those of ``run`` characters, and its beginnings up to eight."""
+    held = f" {word} "
+    return {held[i : i + run] for i in range(len(held) + 1 - run)} | {held[:n] for n in range(run, min(9, len(held)) + 1)}
+
+
+def marked(word: str, runs) -> list[str]:
+    """The stretches of a word that marking runs cover."""
+    held = f" {word} "
+    on = [False] * len(held)
+    for g in runs_of(word).intersection(runs):
+        at = held.find(g)
+        while at >= 0:
+            on[at : at + len(g)] = [True] * len(g)
+            at = held.find(g, at + 1)
+    out, at = [], 0
+    while at < len(held):
+        end = at
+        while end < len(held) and on[end]:
+            end += 1
+        if end > at:
+            out.append(held[at:end])
+        at = max(end, at + 1)
+    return out
+
+
+def toxic_runs(toxic: list[str], ordinary: list[str], least_share: float = 0.01, odds: float = 60.0) -> dict[str, int]:
+    """Runs held by toxic texts ``odds`` times as often as by ordinary ones, with their counts of toxic texts."""
+    words = [[set(_LETTERS.findall(t.lower())) for t in side] for side in (toxic, ordinary)]
+    seen = set().union(*words[1]) if words[1] else set()
     counts: Counter = Counter()
-    for t in toxic:
-        new = {w for w in _LETTERS.findall(t.lower()) if w not in seen}
-        counts.update({f" {w} "[i : i + run] for w in new for i in range(len(w) + 3 - run)})
+    for held in words[0]:
+        counts.update(set().union(*[runs_of(w) for w in held - seen]) if held - seen else ())
     some = {g: n for g, n in counts.items() if n >= max(3, least_share * len(toxic))}
     against: Counter = Counter()
-    for t in ordinary:
-        words = set(_LETTERS.findall(t.lower()))
-        against.update({f" {w} "[i : i + run] for w in words for i in range(len(w) + 3 - run)} & some.keys())
+    for held in words[1]:
+        against.update(set().union(*[runs_of(w) & some.keys() for w in held]) if held else ())
     return {g: n for g, n in some.items() if n / max(1, len(toxic)) >= odds * (against[g] + 0.5) / max(1, len(ordinary))}
 
 
@@ -93,17 +124,15 @@ def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = 8192)
         base = b" ".join(pieces)[-size:]
     base = base[base.find(b" ") :] if base[:4] == b"\x37\xa4\x30\xec" else base
     runs = toxic_runs(toxic, ordinary)
-    words: Counter = Counter()
+    marks: Counter = Counter()
     for t in toxic:
         for w in set(_LETTERS.findall(t.lower())):
-            grams = [f" {w} "[i : i + RUN] for i in range(len(w) + 3 - RUN)]
-            if any(g in runs for g in grams):
-                words[w] += 1
+            marks.update(marked(w, runs))
     parts, held = [], 0
-    for w, _ in words.most_common():
+    for m, _ in marks.most_common():
         if held > size // 2:
             break
-        parts.append(f" {w} ".encode())
+        parts.append(m.encode())
         held += len(parts[-1])
     return {"ordinary": base, "toxic": b"".join(reversed(parts)) + base}
 
@@ -112,7 +141,7 @@ def calibrate(features: np.ndarray, labels: np.ndarray, steps: int = 400) -> np.
     """Weights of a logistic curve, the last the constant; Newton steps with a small ridge."""
     x = np.column_stack([features, np.ones(len(features))])
     w = np.zeros(x.shape[1])
-    ridge = np.eye(len(w)) * 1e-3
+    ridge = np.eye(len(w)) * 0.3
     for _ in range(min(steps, 50)):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
         step = np.linalg.solve(x.T * (p * (1 - p)) @ x + ridge, x.T @ (labels - p) - ridge @ w)
@@ -122,12 +151,6 @@ def calibrate(features: np.ndarray, labels: np.ndarray, steps: int = 400) -> np.
     return w
 
 
-def bounded_features(f: np.ndarray) -> np.ndarray:
-    """Largest saving, log of the sum, and the sum against the number of windows."""
-    f = np.asarray(f, dtype=float).reshape(-1, 3)
-    return np.column_stack([np.minimum(f[:, 0], 12), np.log1p(f[:, 1]), f[:, 1] / np.expm1(np.maximum(f[:, 2], 0.69))])
-
-
 def _one_per_group(texts: list[str]) -> list[str]:
     """One text of those that share their longest word: copies and edited copies count once."""
     return list({max(_LETTERS.findall(t.lower()) or [t], key=lambda w: (len(w), w)): t for t in texts}.values())
@@ -140,8 +163,8 @@ def train(toxic: list[str], ordinary: list[str]) -> dict:
     pair = _compressors(model)
     rows = [(savings(t, *pair), y) for y, texts in ((1, toxic[3::4]), (0, ordinary[3::4])) for t in texts]
     if not rows or len({y for _, y in rows}) < 2:
-        return model | {"weights": [0.5, 0.5, 0.0, -3.0]}
-    weights = calibrate(bounded_features(np.array([f for f, _ in rows])), np.array([y for _, y in rows], dtype=float))
+        return model | {"weights": [0.5, *[0.0] * len(STEPS), 0.5, 0.0, -3.0]}
+    weights = calibrate(np.array([f for f, _ in rows]), np.array([y for _, y in rows], dtype=float))
     return model | {"weights": weights.tolist()}
 
 
@@ -161,8 +184,10 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
         pair = _compressors(model)
         w = np.array(model["weights"])
         for batch in batches:
-            f = bounded_features(np.array([savings(t, *pair) for t in batch.column(1).to_pylist()]))
-            p = 1 / (1 + np.exp(-np.clip(f @ w[:-1] + w[-1], -30, 30)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p, pa.float64())], ["doc_id", "score"])
+            for lo, n in byte_slices(batch.column(1), 4 << 20):
+                part = batch.slice(lo, n)
+                f = np.array([savings(t, *pair) for t in part.column(1).to_pylist()])
+                p = 1 / (1 + np.exp(-np.clip(f @ w[:-1] + w[-1], -30, 30)))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p, pa.float64())], ["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, score double")
