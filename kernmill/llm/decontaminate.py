@@ -116,4 +116,4 @@ def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows of ``docs`` in which no item's window occurs."""
     found = hits(docs, benchmark).select(F.col("doc_id").alias("d"), F.col("mark").alias("m")).distinct()
     found = bounded_broadcast(stage(found), BROADCAST_ROWS)
-    return docs.join(found, [docs["doc_id"].cast("long").eqNullSafe(F.col("d")), F.xxhash64(docs["text"]) == F.col("m")], "left_anti")
+    return docs.join(found, [docs["doc_id"].cast("long").eqNullSafe(found["d"]), F.xxhash64(docs["text"]) == found["m"]], "left_anti")

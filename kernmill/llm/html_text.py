@@ -38,6 +38,7 @@ NAMES = re.compile(
     re.I,
 )
 BLANKS = re.compile(r"\s+")
+_UNCLOSED = re.compile(r"<(?:!--|/?[A-Za-z!?])").match
 SIGMA, SHARE = 1.0, 0.8
 
 
@@ -130,6 +131,8 @@ def main_text(html: str | None) -> str:
         return ""
     page = _Lines()
     page.feed(html)
+    if _UNCLOSED(page.rawdata):  # a comment or tag that never ends takes the rest with it
+        page.rawdata = ""
     page.close()
     page.flush()
     if not page.lines:
