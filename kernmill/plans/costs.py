@@ -11,45 +11,54 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 ALGORITHMS = ("1d", "h1d", "2d", "1.5d")
-N, D, K, P = (F.col(c).cast("double") for c in "ndkp")
-ROOT = F.sqrt(P)
+
+
+def _terms() -> tuple[Column, ...]:
+    """n, d, k, p and the root of p as doubles; made on use, as columns need a session."""
+    n, d, k, p = (F.col(c).cast("double") for c in "ndkp")
+    return n, d, k, p, F.sqrt(p)
 
 
 def kernel_stage(algo: str, with_logs: bool = False) -> tuple[Column, Column]:
     """(messages, words) of building K; the 1d words are those of all receivers together."""
-    log = F.log2(ROOT) if with_logs else F.lit(1.0)
-    grid = N * D / ROOT * log
-    return {"1d": (P, P * N * D), "h1d": (P + ROOT * log, N * N / P + grid), "2d": (ROOT * log, grid), "1.5d": (ROOT * log, grid)}[algo]
+    n, d, k, p, root = _terms()
+    log = F.log2(root) if with_logs else F.lit(1.0)
+    grid = n * d / root * log
+    return {"1d": (p, p * n * d), "h1d": (p + root * log, n * n / p + grid), "2d": (root * log, grid), "1.5d": (root * log, grid)}[algo]
 
 
 def distance_stage(algo: str, with_logs: bool = False, collective: str = "allgather") -> tuple[Column, Column]:
     """(messages, words) of one sweep: labels, partial sums and updates."""
-    log = F.log2(ROOT) if with_logs else F.lit(1.0)
+    n, d, k, p, root = _terms()
+    log = F.log2(root) if with_logs else F.lit(1.0)
     rounds = log if collective == "rounds" else F.lit(1.0)
-    shared = N * (K + 1) / ROOT
-    return {"1d": (P, N), "h1d": (P, N), "2d": (ROOT * rounds + log, shared * rounds + N * log), "1.5d": (ROOT + log, shared)}[algo]
+    shared = n * (k + 1) / root
+    return {"1d": (p, n), "h1d": (p, n), "2d": (root * rounds + log, shared * rounds + n * log), "1.5d": (root + log, shared)}[algo]
 
 
 def memory(algo: str, workspace: float = 1.0) -> Column:
     """Words per worker at the fullest moment."""
-    tile = N * N / P
+    n, d, k, p, root = _terms()
+    tile = n * n / p
     base = {
-        "1d": tile + N * D + N + K * N / P,
-        "h1d": 2 * tile + 2 * N * D / ROOT + N,
-        "2d": tile + N * K / ROOT + 2 * N * D / ROOT,
-        "1.5d": tile + 2 * N * D / ROOT + N * K / ROOT + N / ROOT,
+        "1d": tile + n * d + n + k * n / p,
+        "h1d": 2 * tile + 2 * n * d / root + n,
+        "2d": tile + n * k / root + 2 * n * d / root,
+        "1.5d": tile + 2 * n * d / root + n * k / root + n / root,
     }[algo]
     return base * workspace
 
 
 def cube_3d(copies: float) -> Column:
     """Words of K that a layout with ``copies`` replicas holds: why none is built."""
-    return N * N * copies
+    n, d, k, p, root = _terms()
+    return n * n * copies
 
 
 def stationary(kind: str) -> Column:
     """Words of K, V or E that move in a sweep when the named operand stays: only a still K avoids n * n words."""
-    return {"K": N * (K + 1) / ROOT, "V": N * N / ROOT, "E": N * N / ROOT}[kind]
+    n, d, k, p, root = _terms()
+    return {"K": n * (k + 1) / root, "V": n * n / root, "E": n * n / root}[kind]
 
 
 def _over(params: DataFrame, expr) -> DataFrame:
@@ -62,9 +71,10 @@ def _over(params: DataFrame, expr) -> DataFrame:
 
 
 def table(params: DataFrame, with_logs: bool = False) -> DataFrame:
+    n, d, k, p, root = _terms()
     def row(algo):
         (km, kw), (dm, dw) = kernel_stage(algo, with_logs), distance_stage(algo, with_logs)
-        return {"kernel_messages": km, "kernel_words": kw, "sweep_messages": dm, "sweep_words": dw, "kernel_per_worker": kw / P if algo == "1d" else kw, "kernel_aggregate": kw if algo == "1d" else kw * P}
+        return {"kernel_messages": km, "kernel_words": kw, "sweep_messages": dm, "sweep_words": dw, "kernel_per_worker": kw / p if algo == "1d" else kw, "kernel_aggregate": kw if algo == "1d" else kw * p}
 
     return _over(params, row)
 
@@ -84,12 +94,14 @@ def crossover(spark: SparkSession, ks: list[int]) -> DataFrame:
 
 
 def flops(params: DataFrame) -> DataFrame:
-    return params.select("n", "d", "k", "p", (2 * N * N * D).alias("kernel_flops"), (N * N).alias("means_sparse"), (2 * N * N * K).alias("means_dense"), (N * K).alias("update"), (4 * N * N).alias("kernel_bytes"))
+    n, d, k, p, root = _terms()
+    return params.select("n", "d", "k", "p", (2 * n * n * d).alias("kernel_flops"), (n * n).alias("means_sparse"), (2 * n * n * k).alias("means_dense"), (n * k).alias("update"), (4 * n * n).alias("kernel_bytes"))
 
 
 def grid_product_square(params: DataFrame) -> DataFrame:
     """The grid product on n x n operands against the dense lower bound: they differ by log of the root of p."""
-    return params.select("n", "p", (N * N / ROOT).alias("bound_words"), (N * N / ROOT * F.log2(ROOT)).alias("grid_words"), F.log2(ROOT).alias("ratio"))
+    n, d, k, p, root = _terms()
+    return params.select("n", "p", (n * n / root).alias("bound_words"), (n * n / root * F.log2(root)).alias("grid_words"), F.log2(root).alias("ratio"))
 
 
 def max_n(bytes_total: float, bytes_per_word: int = 4) -> int:

@@ -40,7 +40,8 @@ def cluster_small(x: np.ndarray, k: int, kernel: KernelSpec, max_iter: int = 100
 
 
 def register(spark: SparkSession) -> None:
-    """kernel_value(x, y, name, gamma, coef0, degree), vec_sum(x) per group, and the table functions kernel_clusters(TABLE(points), k, name, gamma, coef0, degree) and contingency(TABLE).
+    """kernel_value(x, y, name, gamma, coef0, degree), vec_sum(x) per group, and the table functions
+    kernel_clusters(TABLE(points) WITH SINGLE PARTITION, k, name, gamma, coef0, degree) and contingency(TABLE(pairs) WITH SINGLE PARTITION).
 
     kernel_clusters runs in one task and refuses more than SMALL rows; larger
     tables go through ``kernmill.operators.model.fit``.
@@ -58,13 +59,15 @@ def register(spark: SparkSession) -> None:
     def vec_sum(x: pd.Series) -> list:
         return np.sum(np.stack([np.asarray(v, float) for v in x]), axis=0).tolist()
 
+    limit = SMALL
+
     @F.udtf(returnType="idx bigint, cl int")
     class KernelClusters:
         def __init__(self):
             self.rows, self.spec = [], None
 
         def eval(self, row: Row, k: int, name: str, gamma: float, coef0: float, degree: int):
-            if len(self.rows) >= 5_000:
+            if len(self.rows) >= limit:
                 raise ValueError("kernel_clusters is for small tables; use the Python entry point")
             self.rows.append((row["idx"], row["x"]))
             self.spec = (k, name, gamma, coef0, degree)

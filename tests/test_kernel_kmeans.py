@@ -199,7 +199,7 @@ def test_dense_index_over_ranges(spark):
 def test_sql_functions(spark):
     register(spark)
     frame(spark, data(12)).createOrReplaceTempView("pts")
-    got = spark.sql("SELECT * FROM kernel_clusters(TABLE(pts), 3, 'poly', 1.0D, 1.0D, 2)").collect()
+    got = spark.sql("SELECT * FROM kernel_clusters(TABLE(pts) WITH SINGLE PARTITION, 3, 'poly', 1.0D, 1.0D, 2)").collect()
     assert [r.cl for r in sorted(got)] == cluster_small(data(12), 3, polynomial()).tolist()
     assert spark.sql("SELECT kernel_value(array(1.0D, 2.0D), array(3.0D, 4.0D), 'poly', 1.0D, 1.0D, 2) AS v").first().v == 144
     assert np.allclose(spark.sql("SELECT vec_sum(x) AS s FROM pts").first().s, data(12).sum(axis=0))
