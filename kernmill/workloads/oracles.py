@@ -253,4 +253,12 @@ SELECT cl, CAST(r AS INTEGER) AS rank, i AS idx, {r6('sq')} AS sq_distance FROM
     "stream_sliding": "SELECT date_trunc('hour', ts) + to_minutes(CAST((minute(ts) // 15) * 15 - o.range * 15 AS BIGINT)) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events, range(4) o GROUP BY ALL",
     "stream_session": "SELECT user_id, min(ts) AS start, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT *, sum(f) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS f FROM events)) GROUP BY user_id, s",
     "stream_dedup": "SELECT event_id, user_id FROM events",
+    "stream_pairs": "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'signup' AND b.event_type = 'purchase'",
+    "stream_drift": "SELECT date_trunc('hour', ts) AS start, CAST(user_id % 3 AS INTEGER) AS cl, count(*) AS n, round(avg(value), 6) AS mean_sq, round(avg(CASE WHEN value > 100 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END), 6) AS far_share FROM events GROUP BY ALL",
+    "stationary_table": f"WITH {GRID_SQL} SELECT n, d, k, p, round(nn * (kk + 1) / root, 3) AS still_k, round(nn * nn / root, 3) AS still_v, round(nn * nn / root, 3) AS still_e, round(nn * nn * 4, 3) AS cube_words FROM par",
+    "largest_n": "SELECT p, CAST(floor(sqrt(80e9 * p / 4)) AS BIGINT) AS n, round(floor(sqrt(80e9 * p / 4)) / 80000, 6) AS growth FROM (VALUES (1::BIGINT), (4::BIGINT), (16::BIGINT), (64::BIGINT), (256::BIGINT)) AS t(p)",
+    "cluster_ranks": f"{ONE}, s AS (SELECT i, CAST(cl AS INTEGER) AS cl, round(dist, 3) AS dist FROM d1) SELECT i, cl, CAST(rank() OVER t AS INTEGER) AS r, CAST(dense_rank() OVER t AS INTEGER) AS dense, round(percent_rank() OVER t, 6) AS share, CAST(ntile(3) OVER (PARTITION BY i ORDER BY dist, cl) AS INTEGER) AS third FROM s WINDOW t AS (PARTITION BY i ORDER BY dist)",
+    "history_decrease": loop(EMB, POLY, 10, 6) + ", tr AS (SELECT sum(v) AS t FROM ke WHERE i = j), h AS (" + " UNION ALL ".join(f"SELECT {t} AS sweep, (SELECT t FROM tr) - (SELECT sum(c.c * s.n) FROM c{t} c JOIN (SELECT cl, count(*) AS n FROM l{t - 1} GROUP BY cl) s USING (cl)) AS o" for t in range(1, 7)) + f") SELECT sweep, {r6('lag(o) OVER (ORDER BY sweep) - o')} AS decrease FROM h",
+    "top_clusters_lateral": f"{ONE} SELECT i AS idx, CAST(cl AS INTEGER) AS cl FROM (SELECT i, cl, row_number() OVER (PARTITION BY i ORDER BY dist, cl) AS n FROM d1) WHERE n <= 2",
+    "contingency_pivot": f"{table_of(LOBES, POLY, 2, 3)} SELECT CAST(cl AS INTEGER) AS cl, CAST(coalesce(sum(cnt) FILTER (truth = 0), 0) AS BIGINT) AS t0, CAST(coalesce(sum(cnt) FILTER (truth = 1), 0) AS BIGINT) AS t1 FROM ct GROUP BY cl",
 }

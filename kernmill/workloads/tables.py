@@ -361,6 +361,63 @@ def window_comparison(spark, sf_dir):
     return experiments.against_window(spark, "physics", points.wide28(spark, sf_dir, 1000), 16, heights=(256, 1024), sweeps=2)
 
 
+def stationary_table(spark, sf_dir):
+    """Words of a sweep by the operand that stays, and of K held c-fold by a cube layout."""
+    got = _grid(spark)
+    kinds = [costs.stationary(kind).alias(f"still_{kind.lower()}") for kind in "KVE"]
+    got = got.select("n", "d", "k", "p", *kinds, costs.cube_3d(4).alias("cube_words"))
+    return got.select("n", "d", "k", "p", *[F.round(c, 3).alias(c) for c in got.columns[4:]])
+
+
+def largest_n(spark, sf_dir):
+    """Points whose K fits 80 GB a worker, and how much that exceeds 80,000."""
+    rows = [(w, costs.max_n(80e9 * w)) for w in (1, 4, 16, 64, 256)]
+    return spark.createDataFrame(rows, "p long, n long").withColumn("growth", F.round(F.col("n") / 80_000, 6))
+
+
+def cluster_ranks(spark, sf_dir):
+    """Clusters of each point by nearness, in every kind of rank."""
+    k, labels = _start(spark, sf_dir)
+    e = sweep.cluster_means(k, labels)
+    d = sweep.scores(e, sweep.centroid_norms(sweep.own_cluster_mean(e, labels))).select("i", "cl", F.round("dist", 3).alias("dist"))
+    near, tied = Window.partitionBy("i").orderBy("dist", "cl"), Window.partitionBy("i").orderBy("dist")
+    return d.select("i", "cl", F.rank().over(tied).alias("r"), F.dense_rank().over(tied).alias("dense"), F.round(F.percent_rank().over(tied), 6).alias("share"), F.ntile(3).over(near).alias("third"))
+
+
+def history_decrease(spark, sf_dir):
+    got = engines.fit(points.emb(spark, sf_dir), 10, loop=LoopSpec(max_iter=6, fixed=True)).history_df()
+    return got.select("sweep", r6(F.lag("objective").over(Window.orderBy("sweep")) - F.col("objective")).alias("decrease"))
+
+
+def top_clusters_lateral(spark, sf_dir):
+    """The two nearest clusters of each point, through a lateral subquery."""
+    k, labels = _start(spark, sf_dir)
+    e = sweep.cluster_means(k, labels)
+    sweep.scores(e, sweep.centroid_norms(sweep.own_cluster_mean(e, labels))).createOrReplaceTempView("kernmill_scores")
+    labels.createOrReplaceTempView("kernmill_labels")
+    return spark.sql("SELECT l.idx, t.cl FROM kernmill_labels l, LATERAL (SELECT s.cl FROM kernmill_scores s WHERE s.i = l.idx ORDER BY s.dist, s.cl LIMIT 2) t")
+
+
+def contingency_pivot(spark, sf_dir):
+    p = points.lobes(spark, sf_dir)
+    t = metrics.contingency(engines.fit(p, 2, loop=LoopSpec(max_iter=3)).labels_df(), p)
+    return t.groupBy("cl").pivot("truth", [0, 1]).agg(F.sum("cnt")).select("cl", F.coalesce("0", F.lit(0)).alias("t0"), F.coalesce("1", F.lit(0)).alias("t1"))
+
+
+def stream_pairs(spark, sf_dir):
+    """Each sign-up with the purchases of its user within an hour after it."""
+    e = _event_stream(spark, sf_dir)
+    got = streams.paired(e.where("event_type = 'signup'"), e.where("event_type = 'purchase'"), "user_id", "1 hour", "60 days")
+    return streams.run_available(got).select("a_id", "b_id")
+
+
+def stream_drift(spark, sf_dir):
+    """Hourly share of values over 100 per remainder of the user, as a drift monitor would see them."""
+    e = _event_stream(spark, sf_dir).select("ts", (F.col("user_id") % 3).cast("int").alias("cl"), F.col("value").alias("sq_distance"))
+    got = streams.run_available(streams.drift(e, 100.0, "60 days"), "complete")
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "cl", "n", F.round("mean_sq", 6).alias("mean_sq"), F.round("far_share", 6).alias("far_share"))
+
+
 _runs_query = lambda f: lambda spark, sf_dir: f(_runs(spark))
 line4_1k, eventday_1k = points.line4, partial(points.eventday, n=1000)
 
@@ -465,4 +522,12 @@ QUERIES = {
     "stream_sliding": stream_windows("sliding"),
     "stream_session": lambda s, d: stream_windows("session")(s, d),
     "stream_dedup": stream_dedup,
+    "stream_pairs": stream_pairs,
+    "stream_drift": stream_drift,
+    "stationary_table": stationary_table,
+    "largest_n": largest_n,
+    "cluster_ranks": cluster_ranks,
+    "history_decrease": history_decrease,
+    "top_clusters_lateral": top_clusters_lateral,
+    "contingency_pivot": contingency_pivot,
 }
