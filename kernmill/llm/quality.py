@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import byte_slices
+
 SAMPLE, HIDDEN = 6000, 24
 SIGNS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _KIND = np.zeros(256, dtype=np.int64)
@@ -133,9 +135,10 @@ def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE) -> Netwo
 
     def run(batches):
         for batch in batches:
-            if batch.num_rows:
-                x = np.stack([measures(t) for t in batch.column(2).to_pylist()])
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(list(x), pa.list_(pa.float64()))], ["doc_id", "part", "x"])
+            for lo, n in byte_slices(batch.column(2), 4 << 20):
+                part = batch.slice(lo, n)
+                x = np.stack([measures(t) for t in part.column(2).to_pylist()])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(list(x), pa.list_(pa.float64()))], ["doc_id", "part", "x"])
 
     rows = chosen.select("doc_id", "part", "text").mapInArrow(run, "doc_id long, part string, x array<double>").orderBy("part", "doc_id").toPandas()
     if rows.empty:
@@ -159,9 +162,10 @@ def score(docs: DataFrame, net: Network) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            if batch.num_rows:
-                x = np.stack([measures(t) for t in batch.column(1).to_pylist()])
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(net.score(x), pa.float64())], ["doc_id", "score"])
+            for lo, n in byte_slices(batch.column(1), 4 << 20):
+                part = batch.slice(lo, n)
+                x = np.stack([measures(t) for t in part.column(1).to_pylist()])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(net.score(x), pa.float64())], ["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, score double")
 
@@ -173,8 +177,9 @@ def keep_good(docs: DataFrame, net: Network, least: float = 0.3) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            if batch.num_rows:
-                x = np.stack([measures(t) for t in batch.column(at).to_pylist()])
-                yield batch.filter(pa.array(net.score(x) >= least))
+            for lo, n in byte_slices(batch.column(at), 4 << 20):
+                part = batch.slice(lo, n)
+                x = np.stack([measures(t) for t in part.column(at).to_pylist()])
+                yield part.filter(pa.array(net.score(x) >= least))
 
     return docs.mapInArrow(run, schema)
