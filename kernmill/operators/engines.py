@@ -22,6 +22,7 @@ from . import gram, sweep
 
 E_BLOCK = "owner int, lo long, cnt int, data binary, part binary"
 PIECE = "owner int, bi int, lo long, cnt int, data binary"
+TILE_SIDE = 8192
 ENGINES = ("panel_1d", "regrid_h1d", "tile_2d", "mixed_15d", "window", "local", "entries")
 
 
@@ -491,16 +492,18 @@ def make(name: str, *args, **options) -> Engine:
     return kinds[name](*args, **options)
 
 
-def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "mixed_15d", g: int = 2, loop: LoopSpec | None = None, store: StoreSpec | None = None, init="round_robin", seed: int = 0, **options) -> FitResult:
+def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "mixed_15d", g: int | None = None, loop: LoopSpec | None = None, store: StoreSpec | None = None, init="round_robin", seed: int = 0, **options) -> FitResult:
     """Cluster points (idx, x); all engines return the same labels.
 
+    The grid has g x g workers; by default g keeps the side of a tile within TILE_SIDE points.
+
     Stops when no label changes, when the objective falls by less than ``tol`` of
     itself, or after ``max_iter`` sweeps; ``fixed`` runs them all.
     """
     kernel, loop, store = kernel or polynomial(), loop or LoopSpec(), store or StoreSpec()
     points = points.select("idx", "x").persist()
     n, dim = validate(points, k)
-    grid = GridSpec(n, g)
+    grid = GridSpec(n, g or max(2, -(-n // TILE_SIDE)))
     spark = points.sparkSession
     labels = _start(points, k, n, init, kernel, seed)
     run = make(engine, points, k, kernel, grid, loop, store, dim, **options)

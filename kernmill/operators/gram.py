@@ -64,16 +64,17 @@ def tile_row(bi: int, bj: int, grid: GridSpec, lo_i: int, lo_j: int, k: np.ndarr
     return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
 
 
-def panels(blocks: DataFrame, everyone: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec, limit_bytes: int = 1 << 28) -> DataFrame:
+def panels(blocks: DataFrame, everyone: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec, limit_bytes: int = 1 << 30) -> DataFrame:
     """Column panels, one per fine block, against a copy of all points: TILE rows with bi = 0.
 
-    All points are copied to every task through one packed row, broadcast below
-    ``limit_bytes`` and joined by key above it.
+    All points go to every task as one broadcast row, which is what limits this
+    layout: points of more than ``limit_bytes`` are refused.
     """
     n = grid.n
-    packed = everyone.agg(F.array_sort(F.collect_list(F.struct("lo", "cnt", "data"))).alias("all"))
     size = everyone.agg(F.sum(F.length("data"))).first()[0]
-    packed = F.broadcast(packed) if size <= limit_bytes else packed
+    if size > limit_bytes:
+        raise ValueError(f"column panels copy all points to every worker, {size} bytes here; use mixed_15d or regrid_h1d")
+    packed = F.broadcast(everyone.agg(F.array_sort(F.collect_list(F.struct("lo", "cnt", "data"))).alias("all")))
     pairs = blocks.select("blk", "lo", "cnt", "data", F.lit(1).alias("one")).join(packed.withColumn("one", F.lit(1)), "one")
 
     def run(batches):

@@ -97,10 +97,18 @@ def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str
     return frozen(points, result, kernel), result
 
 
+def _fits(points: DataFrame, limit_bytes: int = 1 << 31) -> None:
+    """Scoring copies the training points to every worker; raises where that is too much."""
+    size = points.agg(F.sum(F.size("x") * F.lit(8))).first()[0] or 0
+    if size > limit_bytes:
+        raise ValueError(f"the training points take {size} bytes; fit on a sample, or use lloyd or lift, whose models are k means")
+
+
 def frozen(points: DataFrame, result: engines.FitResult, kernel: KernelSpec) -> KernelClusterModel:
     """Model of a result's final labels, with norms computed for these labels from all pairs of members, block by block."""
     from ..plans.layout import matrix, to_blocks
 
+    _fits(points)
     blocks = to_blocks(points, baselines.STEP)
     rows = points.select("idx", "x").orderBy("idx").toPandas()
     sent = points.sparkSession.sparkContext.broadcast((np.array(rows["x"].tolist()), result.labels, result.sizes))
