@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import byte_slices
 
 SAMPLE, WINDOW, LEVEL, RUN = 4000, 64, 9, 5
-STEPS = (2, 3, 4, 5, 6)
+STEPS, FOLDS = (2, 3, 4, 5, 6), 3
 _LETTERS = re.compile(r"[^\W\d_]+")
 _cache: dict = {}
 
@@ -107,9 +107,10 @@ def toxic_runs(toxic: list[str], ordinary: list[str], least_share: float = 0.01,
     for held in words[0]:
         counts.update(set().union(*[runs_of(w) for w in held - seen]) if held - seen else ())
     some = {g: n for g, n in counts.items() if n >= max(3, least_share * len(toxic))}
+    with_some = {w: found for w in seen if (found := runs_of(w) & some.keys())}
     against: Counter = Counter()
     for held in words[1]:
-        against.update(set().union(*[runs_of(w) & some.keys() for w in held]) if held else ())
+        against.update(set().union(*[with_some[w] for w in held if w in with_some]))
     return {g: n for g, n in some.items() if n / max(1, len(toxic)) >= odds * (against[g] + 0.5) / max(1, len(ordinary))}
 
 
@@ -156,16 +157,20 @@ def _one_per_group(texts: list[str]) -> list[str]:
     return list({max(_LETTERS.findall(t.lower()) or [t], key=lambda w: (len(w), w)): t for t in texts}.values())
 
 
-def train(toxic: list[str], ordinary: list[str]) -> dict:
-    """Dictionaries from three quarters of each class, the curve from the rest."""
+def train(toxic: list[str], ordinary: list[str], folds: int = FOLDS) -> dict:
+    """Dictionaries from all texts; the curve from savings of each fold under dictionaries of the others."""
     toxic, ordinary = _one_per_group(toxic), _one_per_group(ordinary)
-    model = train_dictionaries(toxic[::2] + toxic[1::4], ordinary[::2] + ordinary[1::4])
-    pair = _compressors(model)
-    rows = [(savings(t, *pair), y) for y, texts in ((1, toxic[3::4]), (0, ordinary[3::4])) for t in texts]
-    if not rows or len({y for _, y in rows}) < 2:
+    rows, labels = [], []
+    for f in range(folds):
+        pair = _compressors(train_dictionaries([t for i, t in enumerate(toxic) if i % folds != f], [t for i, t in enumerate(ordinary) if i % folds != f]))
+        for y, texts in ((1.0, toxic), (0.0, ordinary)):
+            held = texts[f::folds]
+            rows += [savings(t, *pair) for t in held]
+            labels += [y] * len(held)
+    model = train_dictionaries(toxic, ordinary)
+    if len(set(labels)) < 2:
         return model | {"weights": [0.5, *[0.0] * len(STEPS), 0.5, 0.0, -3.0]}
-    weights = calibrate(np.array([f for f, _ in rows]), np.array([y for _, y in rows], dtype=float))
-    return model | {"weights": weights.tolist()}
+    return model | {"weights": calibrate(np.array(rows), np.array(labels)).tolist()}
 
 
 def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE) -> dict:
