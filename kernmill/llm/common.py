@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 _own_dir: str | None = None
+_staged: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -31,10 +32,19 @@ def shared_dir(spark: SparkSession) -> str:
 def stage(df: DataFrame) -> DataFrame:
     """Cut lineage by a Parquet table in the shared folder: survives lost executors."""
     path = f"{shared_dir(df.sparkSession).rstrip('/')}/staged-{uuid.uuid4().hex}"
+    _staged.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def clear_staged(spark: SparkSession) -> None:
+    """Delete the tables this process has staged; frames built on them can't be read any more."""
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    while _staged:
+        path = jvm.org.apache.hadoop.fs.Path(_staged.pop())
+        path.getFileSystem(conf).delete(path, True)
+
+
 def ascii_lower(col):
     """Lower-case A-Z only."""
     return F.translate(col, *LOWER)

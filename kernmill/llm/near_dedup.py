@@ -12,7 +12,7 @@ Recall: a pair of similarity 0.8 misses all 32 bands of four with probability
 5e-8, and the sketch margin of 0.2 is over five standard deviations.
 
 Families are handled in blocks of about ``BLOCK`` texts, every pair of blocks as
-a task of its own, and a task returns a spanning forest, not all its links.
+a task of its own, and a task returns one link a text at most, not all pairs.
 Work inside one family of m different texts grows with (m / BLOCK) ** 2 tasks.
 
 Null, empty and blank texts: empty set, linked with nothing. Null doc_id: the
@@ -100,7 +100,7 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
 
 
 def _linked(percent: int):
-    """Function for one pair of blocks: spanning links among texts whose full sets reach ``percent``."""
+    """Function for one pair of blocks: joins texts whose full sets reach ``percent``, and links each to the smallest it is joined with."""
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         side = group["block"].to_numpy()
@@ -124,7 +124,7 @@ def _linked(percent: int):
                 held[i] = set(sets[i].tolist())
             return held[i]
 
-        out, rows, cols, ests = [], [], [], []
+        rows, cols, ests = [], [], []
         for i in range(len(ids) - 1):
             j = np.arange(i + 1, len(ids))
             fit = np.minimum(sizes[i], sizes[j]) * 100 >= percent * np.maximum(sizes[i], sizes[j])
@@ -146,7 +146,10 @@ def _linked(percent: int):
                 common = len(members(i) & members(j))
                 if 100 * common >= percent * (sizes[i] + sizes[j] - common):
                     parent[a] = b
-                    out.append((ids[i], ids[j]))
+        least_id: dict[int, int] = {}
+        for i in np.argsort(ids, kind="stable").tolist():
+            least_id.setdefault(root(i), int(ids[i]))
+        out = [(least_id[root(i)], int(ids[i])) for i in range(len(ids)) if least_id[root(i)] != ids[i]]
         return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
 
     return run
