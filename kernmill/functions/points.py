@@ -108,6 +108,7 @@ def project(points: DataFrame, m: int, dim: int, seed: int = 0) -> DataFrame:
 
 LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]
 LINE4 = ["l_quantity", "l_extendedprice", "l_discount", "l_tax"]
+RANGES = 32
 
 
 def mini(spark: SparkSession, sf_dir: str = "") -> DataFrame:
@@ -120,20 +121,30 @@ def emb(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     return dense_index(rows, ["key"]).select("idx", "key", "x")
 
 
-def line4(spark: SparkSession, sf_dir: str, n: int = 2000) -> DataFrame:
-    rows = table(spark, sf_dir, "lineitem").select(*LINE_KEY, *LINE4).orderBy(*LINE_KEY).limit(n)
-    keyed = dense_index(rows, LINE_KEY)
+def _first(rows: DataFrame, keys: list[str], n: int | None) -> DataFrame:
+    """The first n rows by ``keys``, or all of them."""
+    return rows.orderBy(*keys).limit(n) if n else rows
+
+
+def _parts(n: int | None) -> int:
+    """Ranges that number the rows: one task for a head, RANGES for a whole table."""
+    return 1 if n else RANGES
+
+
+def line4(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
+    rows = _first(table(spark, sf_dir, "lineitem").select(*LINE_KEY, *LINE4), LINE_KEY, n)
+    keyed = dense_index(rows, LINE_KEY, _parts(n))
     return standardize(keyed, LINE4).select("idx", F.col("l_orderkey").alias("key"), assemble(*LINE4).alias("x"))
 
 
 WIDE28 = [f"f{i:02d}" for i in range(28)]
 
 
-def wide28(spark: SparkSession, sf_dir: str, n: int = 2000) -> DataFrame:
+def wide28(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
     def t(name):
         return table(spark, sf_dir, name)
 
-    line = t("lineitem").orderBy(*LINE_KEY).limit(n)
+    line = _first(t("lineitem"), LINE_KEY, n)
     rows = (
         line.join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey"))
         .join(t("part"), F.col("l_partkey") == F.col("p_partkey"))
@@ -158,7 +169,7 @@ def wide28(spark: SparkSession, sf_dir: str, n: int = 2000) -> DataFrame:
         F.col("c_acctbal"),
         F.datediff(ship, F.col("o_orderdate")),
     ]
-    keyed = dense_index(rows.select(*LINE_KEY, *[f.cast("double").alias(name) for f, name in zip(features, WIDE28)]), LINE_KEY)
+    keyed = dense_index(rows.select(*LINE_KEY, *[f.cast("double").alias(name) for f, name in zip(features, WIDE28)]), LINE_KEY, _parts(n))
     return standardize(keyed, WIDE28).select("idx", F.col("l_orderkey").alias("key"), assemble(*WIDE28).alias("x"))
 
 
@@ -194,11 +205,11 @@ def docvocab(spark: SparkSession, sf_dir: str, m: int = 10_000) -> DataFrame:
     return docs.join(columns, "t").groupBy("doc_id", "col").agg(F.count("*").alias("c"))
 
 
-def eventday(spark: SparkSession, sf_dir: str, n: int = 2000) -> DataFrame:
-    rows = table(spark, sf_dir, "events").orderBy("event_id").limit(n)
+def eventday(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
+    rows = _first(table(spark, sf_dir, "events"), ["event_id"], n)
     hour = F.hour("ts") + F.minute("ts") / 60.0 + F.second("ts") / 3600.0
     kept = rows.select("event_id", *[c.alias(f"h{i}") for i, c in enumerate(cyclic(hour, 24))], F.log1p("value").alias("v"), F.get_json_object("props", "$.k").cast("double").alias("k"))
-    return standardize(dense_index(kept, ["event_id"]), ["v", "k"]).select("idx", F.col("event_id").alias("key"), assemble("h0", "h1", "v", "k").alias("x"))
+    return standardize(dense_index(kept, ["event_id"], _parts(n)), ["v", "k"]).select("idx", F.col("event_id").alias("key"), assemble("h0", "h1", "v", "k").alias("x"))
 
 
 USER = ["n_click", "n_error", "n_purchase", "n_signup", "n_view", "total", "mean", "recency"]

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.kernels import KernelSpec, polynomial
 from ..plans.layout import LoopSpec, matrix, to_blocks
-from .engines import FitResult, _rows, choose, validate
+from .engines import FitResult, _rows, choose, reseed, validate
 from .gram import product
 
 STEP = 4096
@@ -61,13 +61,19 @@ def _mean_loop(blocks: DataFrame, n: int, k: int, loop: LoopSpec, feature) -> Fi
         def move(batches):
             for r in _rows(batches):
                 m, c, s = held.value
-                cl, _ = choose(m @ feature(matrix(r["data"], r["cnt"])).T, c, s, empty)
-                yield pa.RecordBatch.from_arrays([pa.array([r["lo"]], pa.int64()), pa.array([cl.tobytes()], pa.binary())], ["lo", "cl"])
+                f = feature(matrix(r["data"], r["cnt"]))
+                cl, d = choose(m @ f.T, c, s, empty)
+                sq = (d + (f * f).sum(axis=1)).tobytes() if empty == "reseed" else None
+                yield pa.RecordBatch.from_arrays([pa.array([r["lo"]], pa.int64()), pa.array([cl.tobytes()], pa.binary()), pa.array([sq], pa.binary())], ["lo", "cl", "sq"])
 
-        fresh = np.zeros(n, np.int32)
-        for r in blocks.mapInArrow(move, "lo long, cl binary").collect():
+        fresh, far = np.zeros(n, np.int32), np.zeros(n)
+        for r in blocks.mapInArrow(move, "lo long, cl binary, sq binary").collect():
             cl = np.frombuffer(r.cl, np.int32)
             fresh[r.lo : r.lo + len(cl)] = cl
+            if r.sq is not None:
+                far[r.lo : r.lo + len(cl)] = np.frombuffer(r.sq)
+        if empty == "reseed":
+            fresh = reseed(fresh, far, k)
         changed = int((fresh != labels).sum())
         history.append((t, changed, objective, int((sizes == 0).sum()), 0.0))
         labels = fresh

@@ -41,6 +41,11 @@ def fit_labels(source, k: int, kernel: KernelSpec = POLY, engine: str = "mixed_1
     return run
 
 
+def whole_fit(source, k: int, loop: LoopSpec):
+    """Labels of every row of the table by the exact lift, which never holds K."""
+    return lambda spark, sf_dir: baselines.lift(source(spark, sf_dir), k, loop=loop).labels_df()
+
+
 def emb_fit(engine: str = "mixed_15d", max_iter: int = 17, **options):
     return fit_labels(points.emb, 10, engine=engine, max_iter=max_iter, **options)
 
@@ -48,8 +53,12 @@ def emb_fit(engine: str = "mixed_15d", max_iter: int = 17, **options):
 # --- kernel stage -------------------------------------------------------------
 
 
-def gram_values(kernel: KernelSpec):
-    return lambda spark, sf_dir: _entries(spark, sf_dir, kernel).where("i < 60").select("i", "j", r6("v").alias("v"))
+def gram_values(kernel: KernelSpec, whole: bool = False):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        k = _entries(spark, sf_dir, kernel)
+        return (k if whole else k.where("i < 60")).select("i", "j", r6("v").alias("v"))
+
+    return run
 
 
 def gram_tiles_checksum(spark, sf_dir):
@@ -126,6 +135,10 @@ def sizes_with_empties(spark, sf_dir):
     return sweep.sizes(got.labels_df(), 64)
 
 
+def sizes_with_empties_whole(spark, sf_dir):
+    return sweep.sizes(baselines.lift(LINE4_WHOLE(spark, sf_dir), 64, loop=LoopSpec(max_iter=1)).labels_df(), 64)
+
+
 def history(column: str):
     def run(spark, sf_dir):
         got = engines.fit(points.emb(spark, sf_dir), 10, loop=LoopSpec(max_iter=17, fixed=True)).history_df()
@@ -277,8 +290,9 @@ def asof_label_events(spark, sf_dir):
     return model.latest_before(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), versions, "user_id", "ts", "since", "version").select("event_id", "version")
 
 
-def interval_events(spark, sf_dir):
-    spans = table(spark, sf_dir, "orders").where("o_orderkey % 50 = 0").select(F.col("o_orderkey").alias("span"), (F.col("o_orderkey") * 7 % 9000).alias("lo"), (F.col("o_orderkey") * 7 % 9000 + 3).alias("hi"))
+def interval_events(spark, sf_dir, whole: bool = False):
+    orders = table(spark, sf_dir, "orders")
+    spans = (orders if whole else orders.where("o_orderkey % 50 = 0")).select(F.col("o_orderkey").alias("span"), (F.col("o_orderkey") * 7 % 9000).alias("lo"), (F.col("o_orderkey") * 7 % 9000 + 3).alias("hi"))
     return model.within(table(spark, sf_dir, "events").select("event_id"), spans, "event_id", "lo", "hi", 64).select("event_id", "span")
 
 
@@ -420,9 +434,13 @@ def stream_drift(spark, sf_dir):
 
 _runs_query = lambda f: lambda spark, sf_dir: f(_runs(spark))
 line4_1k, eventday_1k = points.line4, partial(points.eventday, n=1000)
+LINE4_WHOLE, WIDE28_WHOLE, EVENTDAY_WHOLE = (partial(f, n=None) for f in (points.line4, points.wide28, points.eventday))
+KERNELS = (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))
+#: Labels no longer move long before this many sweeps: fits of whole tables end by themselves.
+TO_THE_END = LoopSpec(max_iter=10_000)
 
 QUERIES = {
-    **{f"gram_{name}": gram_values(spec) for name, spec in (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))},
+    **{f"gram_{name}": gram_values(spec) for name, spec in KERNELS},
     "gram_tiles_checksum": gram_tiles_checksum,
     "gram_symmetric_half": gram_symmetric_half,
     "kernel_diag": lambda s, d: _diagonal(s, d).select("i", r6("v").alias("v")),
@@ -530,4 +548,13 @@ QUERIES = {
     "history_decrease": history_decrease,
     "top_clusters_lateral": top_clusters_lateral,
     "contingency_pivot": contingency_pivot,
+    # every row of the tables; the queries of these names without _whole keep the heads that their SQL has
+    **{f"gram_{name}_whole": gram_values(spec, whole=True) for name, spec in KERNELS},
+    **{f"{name}_points_whole": spread(f) for name, f in (("line4", LINE4_WHOLE), ("wide28", WIDE28_WHOLE), ("eventday", EVENTDAY_WHOLE))},
+    "interval_events_whole": partial(interval_events, whole=True),
+    "sizes_with_empties_whole": sizes_with_empties_whole,
+    **{f"empty_{e}_whole": whole_fit(LINE4_WHOLE, 64, LoopSpec(max_iter=12, empty=e)) for e in ("skip", "origin", "reseed")},
+    "line4_fit_k16_whole": whole_fit(LINE4_WHOLE, 16, TO_THE_END),
+    "wide28_fit_k16_whole": whole_fit(WIDE28_WHOLE, 16, TO_THE_END),
+    "eventday_fit_k4_whole": whole_fit(EVENTDAY_WHOLE, 4, TO_THE_END),
 }
