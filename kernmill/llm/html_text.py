@@ -3,9 +3,10 @@
 The standard library's parser feeds events; block elements split the page into
 lines, each with its text, its number of tags and its place in the open
 elements. The ratio of text to tags per line is smoothed by a Gaussian and lines
-above the threshold form content clusters; the container that holds most of the
-clustered text is the article, and its lines, short ones included, are the
-result. Elements that are boilerplate by kind or by name never give lines.
+above the threshold form content clusters; the smallest container around all of
+them is the article, and its lines, short ones included, are the result. Tags
+such as article and main are evidence only. Elements that are boilerplate by
+kind or by name never give lines.
 
 Null or empty html, or a page without content, gives an empty string. Repeated
 rows each get theirs.
@@ -30,6 +31,7 @@ BLOCK = frozenset(
 )
 CLOSES_P = BLOCK | {"nav", "footer", "aside", "form", "header"}
 CONTAINER = frozenset("article main section div body td".split())
+MARKED = ("article", "main")
 #: Parts of class, id and role names that mark boilerplate.
 NAMES = re.compile(
     r"(?:^|[\s_-])(?:ads?|adverts?|advertisement|advertising|banner|breadcrumbs?|comments?|commentlist|complementary|consent|contentinfo|cookies?|dialog|disqus|footer|form|gdpr|"
@@ -39,28 +41,38 @@ NAMES = re.compile(
 )
 BLANKS = re.compile(r"\s+")
 _UNCLOSED = re.compile(r"<(?:!--|/?[A-Za-z!?])").match
-SIGMA, SHARE = 1.0, 0.8
+#: PROSE: this many characters a tag are prose, however dense the rest of the page is.
+SIGMA, PROSE = 1.0, 40
 
 
 class _Lines(HTMLParser):
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, bool, int]] = []  # tag, skipped, node
+        self.open: list[tuple[str, bool, int, int]] = []  # tag, skipped, node, gate
         self.parents: list[int] = [-1]
         self.kinds: list[str] = [""]
-        self.lines: list[tuple[str, int, int]] = []  # text, tags, node
-        self.text: list[str] = []
+        self.gates: list[int] = []  # subtrees with names of boilerplate: the gate around each
+        self.lines: list[tuple[str, int, int, int]] = []  # text, tags, node, gate
+        self.text: list[tuple[int, str]] = []
         self.tags = 0
 
     @property
     def node(self) -> int:
         return self.open[-1][2] if self.open else 0
 
+    @property
+    def gate(self) -> int:
+        return self.open[-1][3] if self.open else -1
+
     def flush(self) -> None:
-        text = BLANKS.sub(" ", "".join(self.text)).strip()
-        if text:
-            self.lines.append((text, self.tags, self.node))
-            self.tags = 0
+        parts: dict[int, list[str]] = {}
+        for gate, data in self.text:
+            parts.setdefault(gate, []).append(data)
+        for gate, held in parts.items():
+            text = BLANKS.sub(" ", "".join(held)).strip()
+            if text:
+                self.lines.append((text, self.tags, self.node, gate))
+                self.tags = 0
         self.text = []
 
     def handle_starttag(self, tag, attrs):
@@ -81,20 +93,24 @@ class _Lines(HTMLParser):
                 if self.open[i][0] in ("ul", "ol", "table", "dl", "select"):
                     break
         if tag == "br":
-            self.text.append(" ")
+            self.text.append((self.gate, " "))
         if tag in VOID:
             return
         skipped = bool(self.open and self.open[-1][1]) or tag in SKIPPED
         if not skipped and attrs and tag not in ("html", "body", "article", "main"):
-            skipped = any(v and (NAMES.search(v) if k in ("class", "id", "role") else False) or k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
-        elif not skipped and attrs and tag == "article":
-            skipped = any(v and k in ("class", "id") and re.search(r"(?:^|[\s_-])(?:comment|reply|ad|promo|related)(?:$|[\s_-])", v, re.I) for k, v in attrs)
-        node = self.node
+            skipped = any(k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
+            named = any(v and k in ("class", "id", "role") and NAMES.search(v) for k, v in attrs)
+        else:
+            named = tag == "article" and any(v and k in ("class", "id") and re.search(r"(?:^|[\s_-])(?:comment|reply|ad|promo|related)(?:$|[\s_-])", v, re.I) for k, v in attrs)
+        node, gate = self.node, self.gate
+        if named and not skipped:
+            self.gates.append(gate)
+            gate = len(self.gates) - 1
         if tag in CONTAINER and not skipped:
             self.parents.append(node)
             self.kinds.append(tag)
             node = len(self.parents) - 1
-        self.open.append((tag, skipped, node))
+        self.open.append((tag, skipped, node, gate))
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
@@ -112,7 +128,15 @@ class _Lines(HTMLParser):
 
     def handle_data(self, data):
         if not (self.open and self.open[-1][1]):
-            self.text.append(data)
+            self.text.append((self.gate, data))
+
+    def above(self, node: int) -> list[int]:
+        """The container and all around it."""
+        out = []
+        while node >= 0:
+            out.append(node)
+            node = self.parents[node]
+        return out
 
 
 def smooth(values: list[float], sigma: float = SIGMA) -> list[float]:
@@ -126,6 +150,32 @@ def smooth(values: list[float], sigma: float = SIGMA) -> list[float]:
     return out
 
 
+def visible(page: _Lines) -> list[tuple[str, int, int]]:
+    """Lines outside boilerplate by name."""
+    return [(text, tags, node) for text, tags, node, gate in page.lines if gate < 0]
+
+
+def region(page: _Lines, lines: list[tuple[str, int, int]]) -> int:
+    """The smallest container around all lines of content.
+
+    Content is dense as smoothed and by itself. Where article and main hold more
+    than half of it, lines outside them must be half as dense as those inside.
+    """
+    raw = [len(text) / max(1, tags) for text, tags, _ in lines]
+    ratio = smooth(raw)
+    mean = sum(ratio) / len(ratio)
+    spread = math.sqrt(sum((r - mean) ** 2 for r in ratio) / len(ratio))
+    least = min(PROSE, max(mean - spread, mean / 4))
+    dense = [i for i in range(len(lines)) if ratio[i] >= least and raw[i] >= least] or list(range(len(lines)))
+    paths = {node: page.above(node) for _, _, node in lines}
+    inner = {i for i in dense if any(page.kinds[n] in MARKED for n in paths[lines[i][2]])}
+    if 2 * sum(len(lines[i][0]) for i in inner) > sum(len(lines[i][0]) for i in dense):
+        bar = sorted(raw[i] for i in inner)[len(inner) // 2] / 2
+        dense = [i for i in dense if i in inner or raw[i] >= bar]
+    shared = set.intersection(*[set(paths[lines[i][2]]) for i in dense])
+    return max(shared)  # a container's number is above those around it
+
+
 def main_text(html: str | None) -> str:
     if not html:
         return ""
@@ -135,32 +185,11 @@ def main_text(html: str | None) -> str:
         page.rawdata = ""
     page.close()
     page.flush()
-    if not page.lines:
+    lines = visible(page)
+    if not lines:
         return ""
-    ratio = smooth([len(text) / max(1, tags) for text, tags, _ in page.lines])
-    mean = sum(ratio) / len(ratio)
-    spread = math.sqrt(sum((r - mean) ** 2 for r in ratio) / len(ratio))
-    held: dict[int, float] = {}
-    for (text, _, node), r in zip(page.lines, ratio):
-        if r >= mean - spread:
-            while node >= 0:
-                held[node] = held.get(node, 0) + len(text)
-                node = page.parents[node]
-    marked = {n: v for n, v in held.items() if page.kinds[n] in ("article", "main")}
-    pool = marked or held
-    most = max(pool.values())
-
-    # best: the innermost container that still holds most of the clustered text
-    def inside(node: int, outer: int) -> bool:
-        while node >= 0 and node != outer:
-            node = page.parents[node]
-        return node == outer
-
-    best = -1
-    for n in sorted(n for n, v in pool.items() if v >= SHARE * most):
-        if best < 0 or inside(n, best):
-            best = n
-    return "\n".join(text for text, _, node in page.lines if inside(node, best))
+    best = region(page, lines)
+    return "\n".join(text for text, _, node in lines if best in page.above(node))
 
 
 def extract(pages: DataFrame) -> DataFrame:
