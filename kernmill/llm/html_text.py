@@ -6,7 +6,7 @@ elements. The ratio of text to tags per line is smoothed by a Gaussian and lines
 above the threshold form content clusters; the smallest container around all of
 them is the article, and its lines, short ones included, are the result. Tags
 such as article and main are evidence only. Elements that are boilerplate by
-kind or by name never give lines.
+kind never give lines, those by name only if they hold most of the page's prose.
 
 Null or empty html, or a page without content, gives an empty string. Repeated
 rows each get theirs.
@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import math
 import re
+from functools import lru_cache
 from html.parser import HTMLParser
 
 import pyarrow as pa
@@ -32,19 +33,36 @@ BLOCK = frozenset(
 CLOSES_P = BLOCK | {"nav", "footer", "aside", "form", "header"}
 CONTAINER = frozenset("article main section div body td".split())
 MARKED = ("article", "main")
-#: Parts of class, id and role names that mark boilerplate.
-NAMES = re.compile(
-    r"(?:^|[\s_-])(?:ads?|adverts?|advertisement|advertising|banner|breadcrumbs?|comments?|commentlist|complementary|consent|contentinfo|cookies?|dialog|disqus|footer|form|gdpr|"
-    r"masthead|menu|modal|nav|navbar|navigation|newsletter|notice|pagination|popup|promo|promotion|related|replies|reply|respond|search|share|sharing|sidebar|side|signup|"
-    r"skip|social|sponsor|sponsored|subscribe|toolbar|widget|alert|header|topbar|site-header|site-footer)(?:$|[\s_-])",
-    re.I,
+#: Names of boilerplate in class, id and role.
+NAMES = frozenset(
+    "ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments commentlist complementary consent contentinfo cookie cookies dialog disqus footer form gdpr "
+    "masthead menu modal nav navbar navigation newsletter notice pagination popup promo promotion related replies reply respond search share sharing sidebar side signup "
+    "skip social sponsor sponsored subscribe toolbar widget alert header topbar".split()
 )
+ARTICLE_NAMES = frozenset("comment reply ad promo related".split())
+#: Words after the head of a name that only say which or where; words that make a name a mere modifier; owners of a header that holds the headline.
+TAIL = frozenset("area list box block section container inner outer item items post posts article articles story stories content link links button buttons icons bar left right top bottom slot unit panel thread".split())
+MODIFIERS = frozenset("with without no non not has have is hide show".split())
+OWNERS = frozenset("article entry post story".split())
 BLANKS = re.compile(r"\s+")
 _UNCLOSED = re.compile(r"<(?:!--|/?[A-Za-z!?])").match
+_PARTS = re.compile(r"[_-]+")
 #: PROSE: this many characters a tag are prose, however dense the rest of the page is.
 SIGMA, PROSE = 1.0, 40
 
 
+@lru_cache(8192)
+def boilerplate(value: str, names: frozenset = NAMES) -> bool:
+    """Whether a token of an attribute is a name of boilerplate, as a whole or by its head word."""
+    for token in value.lower().split():
+        words = [w for w in _PARTS.split(token) if w and not w.isdigit()]
+        while len(words) > 1 and words[-1] in TAIL and words[-1] not in names:
+            words.pop()
+        if words and words[-1] in names and not MODIFIERS.intersection(words[:-1]) and not (words[-1] == "header" and OWNERS.intersection(words[:-1])):
+            return True
+    return False
+
+
 class _Lines(HTMLParser):
     def __init__(self):
         super().__init__(convert_charrefs=True)
@@ -99,9 +117,9 @@ class _Lines(HTMLParser):
         skipped = bool(self.open and self.open[-1][1]) or tag in SKIPPED
         if not skipped and attrs and tag not in ("html", "body", "article", "main"):
             skipped = any(k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
-            named = any(v and k in ("class", "id", "role") and NAMES.search(v) for k, v in attrs)
+            named = any(v and k in ("class", "id", "role") and boilerplate(v) for k, v in attrs)
         else:
-            named = tag == "article" and any(v and k in ("class", "id") and re.search(r"(?:^|[\s_-])(?:comment|reply|ad|promo|related)(?:$|[\s_-])", v, re.I) for k, v in attrs)
+            named = tag == "article" and any(v and k in ("class", "id") and boilerplate(v, ARTICLE_NAMES) for k, v in attrs)
         node, gate = self.node, self.gate
         if named and not skipped:
             self.gates.append(gate)
@@ -151,8 +169,19 @@ def smooth(values: list[float], sigma: float = SIGMA) -> list[float]:
 
 
 def visible(page: _Lines) -> list[tuple[str, int, int]]:
-    """Lines outside boilerplate by name."""
-    return [(text, tags, node) for text, tags, node, gate in page.lines if gate < 0]
+    """Lines outside boilerplate by name; a named subtree with most of the page's prose, and no article outside it, is none."""
+    mass = [0] * len(page.gates)
+    total, articles = 0, 0
+    for text, tags, node, gate in page.lines:
+        if len(text) < PROSE * max(1, tags):
+            continue
+        total += len(text)
+        if gate < 0 and any(page.kinds[n] in MARKED for n in page.above(node)):
+            articles += len(text)
+        while gate >= 0:
+            mass[gate] += len(text)
+            gate = page.gates[gate]
+    return [(text, tags, node) for text, tags, node, gate in page.lines if gate < 0 or not articles and 2 * mass[gate] > total]
 
 
 def region(page: _Lines, lines: list[tuple[str, int, int]]) -> int:
