@@ -99,14 +99,19 @@ def marked(word: str, runs) -> list[str]:
     return out
 
 
-def toxic_runs(toxic: list[str], ordinary: list[str], least_share: float = 0.01, odds: float = 60.0) -> dict[str, int]:
-    """Runs held by toxic texts ``odds`` times as often as by ordinary ones, with their counts of toxic texts."""
+def toxic_runs(toxic: list[str], ordinary: list[str], least: int = 3, odds: float = 60.0) -> dict[str, int]:
+    """Runs held by toxic texts ``odds`` times as often as by ordinary ones, with their counts of toxic texts.
+
+    All words count on both sides. Words of more than 1/odds of the ordinary texts
+    are left out of the toxic side: no run of theirs can pass.
+    """
     words = [[set(_LETTERS.findall(t.lower())) for t in side] for side in (toxic, ordinary)]
-    seen = set().union(*words[1]) if words[1] else set()
+    seen = Counter(w for held in words[1] for w in held)
+    common = {w for w, n in seen.items() if odds * n > len(ordinary)}
     counts: Counter = Counter()
     for held in words[0]:
-        counts.update(set().union(*[runs_of(w) for w in held - seen]) if held - seen else ())
-    some = {g: n for g, n in counts.items() if n >= max(3, least_share * len(toxic))}
+        counts.update(set().union(*[runs_of(w) for w in held - common]))
+    some = {g: n for g, n in counts.items() if n >= least}
     with_some = {w: found for w in seen if (found := runs_of(w) & some.keys())}
     against: Counter = Counter()
     for held in words[1]:
@@ -115,7 +120,7 @@ def toxic_runs(toxic: list[str], ordinary: list[str], least_share: float = 0.01,
 
 
 def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = 8192) -> dict[str, bytes]:
-    """Contents of both dictionaries."""
+    """Contents of both dictionaries: ``size`` bytes learnt from ordinary text, and all passages found before them."""
     import zstandard
 
     pieces = [w for t in ordinary[:1500] for w in windows(t)[:8]]
@@ -129,12 +134,7 @@ def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = 8192)
     for t in toxic:
         for w in set(_LETTERS.findall(t.lower())):
             marks.update(marked(w, runs))
-    parts, held = [], 0
-    for m, _ in marks.most_common():
-        if held > size // 2:
-            break
-        parts.append(m.encode())
-        held += len(parts[-1])
+    parts = [m.encode() for m, _ in sorted(marks.items(), key=lambda m: (-m[1], m[0]))]
     return {"ordinary": base, "toxic": b"".join(reversed(parts)) + base}
 
 
