@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -123,7 +124,7 @@ def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = 8192)
     """Contents of both dictionaries: ``size`` bytes learnt from ordinary text, and all passages found before them."""
     import zstandard
 
-    pieces = [w for t in ordinary[:1500] for w in windows(t)[:8]]
+    pieces = [w for t in ordinary for w in windows(t)]
     try:
         base = zstandard.train_dictionary(size, pieces).as_bytes()
     except zstandard.ZstdError:  # too little text to train on
@@ -152,14 +153,33 @@ def calibrate(features: np.ndarray, labels: np.ndarray, steps: int = 400) -> np.
     return w
 
 
-def _one_per_group(texts: list[str]) -> list[str]:
-    """One text of those that share their longest word: copies and edited copies count once."""
-    return list({max(_LETTERS.findall(t.lower()) or [t], key=lambda w: (len(w), w)): t for t in texts}.values())
+def _shingles(text: str) -> set[int]:
+    """Hashes of the runs of three words; of shorter texts as a whole."""
+    w = text.lower().split()
+    return {zlib.crc32(" ".join(w[i : i + 3]).encode("utf-8", "replace")) for i in range(max(1, len(w) - 2))}
+
+
+def _without_copies(texts: list[str]) -> list[str]:
+    """Texts without those that share half of their shingles with an earlier one: copies and edited copies count once."""
+    kept: list[str] = []
+    sets: list[set[int]] = []
+    by_low: dict[int, list[int]] = {}
+    for t in texts:
+        mine = _shingles(t)
+        low = sorted(mine)[:16]
+        near = {i for h in low for i in by_low.get(h, ())}
+        if any(2 * len(mine & sets[i]) >= len(mine | sets[i]) for i in near):
+            continue
+        for h in low:
+            by_low.setdefault(h, []).append(len(kept))
+        kept.append(t)
+        sets.append(mine)
+    return kept
 
 
 def train(toxic: list[str], ordinary: list[str], folds: int = FOLDS) -> dict:
     """Dictionaries from all texts; the curve from savings of each fold under dictionaries of the others."""
-    toxic, ordinary = _one_per_group(toxic), _one_per_group(ordinary)
+    toxic, ordinary = _without_copies(toxic), _without_copies(ordinary)
     rows, labels = [], []
     for f in range(folds):
         pair = _compressors(train_dictionaries([t for i, t in enumerate(toxic) if i % folds != f], [t for i, t in enumerate(ordinary) if i % folds != f]))
