@@ -35,8 +35,8 @@ def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of packed sequences."""
-    return sequence_packing.pack(docs, with_ids=False)
+    """Pieces of packed sequences with their token ids."""
+    return sequence_packing.pack(docs)
 
 
 STAGES = [
