@@ -5,7 +5,7 @@ at most a window. Each task packs its pieces in rounds of about ``ROUND`` ids:
 longest first, each into the row with the least room that still takes it. A
 segment tree over free capacities finds that row in logarithmic time. Rows are
 written as padded little-endian uint16 ids with the cumulative segment lengths,
-and positions restart at each segment.
+and positions, as wide as the ids, that restart at each segment.
 
 No shuffle; a round bounds a task's memory. Null text counts as empty (one end
 id); null doc_id stays null; repeated rows are packed each.
@@ -25,7 +25,7 @@ from .common import byte_slices
 from .token_codec import codec, default_vocabulary
 
 WINDOW, END, PAD, ROUND = 4096, 2, 0, 2_000_000
-SCHEMA = "sequence_id long, n_tokens long, n_segments long, doc_ids array<long>, starts array<long>, cu_seqlens array<int>, input_ids binary, ids_crc32 long"
+SCHEMA = "sequence_id long, n_tokens long, n_segments long, doc_ids array<long>, starts array<long>, cu_seqlens array<int>, input_ids binary, ids_crc32 long, positions binary"
 
 
 class CapacityTree:
@@ -82,7 +82,7 @@ def position_ids(cu_seqlens: list[int]) -> np.ndarray:
 
 
 def pack_matrices(docs: DataFrame, vocabulary: str | None = None, window: int = WINDOW, end: int = END, pad: int = PAD) -> DataFrame:
-    """One row per packed sequence, SCHEMA: its documents, where in them each segment starts, cumulative lengths, padded ids and their CRC-32."""
+    """One row per packed sequence, SCHEMA: its documents, where in them each segment starts, cumulative lengths, padded ids, their CRC-32 and padded positions."""
     path = vocabulary or default_vocabulary()
 
     def run(batches):
@@ -99,10 +99,12 @@ def pack_matrices(docs: DataFrame, vocabulary: str | None = None, window: int =
                 ids = np.full(window, pad, dtype="<u2")
                 ids[: cu[-1]] = np.concatenate([p[2] for p in parts])
                 raw = ids.tobytes()
-                out.append((number, cu[-1], len(parts), [p[0] for p in parts], [p[1] for p in parts], cu, raw, zlib.crc32(raw)))
+                at = np.zeros(window, dtype="<u2" if window <= 1 << 16 else "<u4")
+                at[: cu[-1]] = position_ids(cu)
+                out.append((number, cu[-1], len(parts), [p[0] for p in parts], [p[1] for p in parts], cu, raw, zlib.crc32(raw), at.tobytes()))
                 number += 1
             pieces.clear()
-            types = [pa.int64()] * 3 + [pa.list_(pa.int64())] * 2 + [pa.list_(pa.int32()), pa.binary(), pa.int64()]
+            types = [pa.int64()] * 3 + [pa.list_(pa.int64())] * 2 + [pa.list_(pa.int32()), pa.binary(), pa.int64(), pa.binary()]
             names = [f.split()[0] for f in SCHEMA.split(", ")]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
 
