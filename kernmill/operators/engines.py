@@ -1,14 +1,21 @@
 """Exact engines: four grid layouts, the recomputing window, one task, and the relational form.
 
 Every engine turns labels into E blocks (k rows by the points of one fine block,
-plus the k partial sums of the cluster norms); the rest of a sweep is common.
-Labels travel as an int32 broadcast, norms and sizes as k words.
+plus the k partial sums of the cluster norms); the rest of a sweep is common: the
+k sums meet on the driver and a narrow pass over the kept E blocks finds the
+nearest clusters. With ``barrier`` the workers add up the k sums among themselves
+and a sweep is one job, if all of them can run at once.
+
+Labels travel as an int32 broadcast, norms and sizes as k words. K is made on the
+worker that keeps it. Traffic is read from the executed plans, not modelled.
 """
 
 from __future__ import annotations
 
+import base64
+import json
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -17,18 +24,24 @@ from pyspark.sql import functions as F
 
 from ..functions.kernels import KernelSpec, dot, polynomial
 from ..plans.layout import GridSpec, LoopSpec, StoreSpec, matrix, to_blocks
-from ..sources.store import materialize, read_tiles, write_tiles
+from ..sources import meter
+from ..sources.store import latest_sweep, materialize, read_tiles, write_tiles
 from . import gram, sweep
 
 E_BLOCK = "owner int, lo long, cnt int, data binary, part binary"
+SWEPT = "owner int, lo long, cl binary, d binary, part binary"
 PIECE = "owner int, bi int, lo long, cnt int, data binary"
 TILE_SIDE = 8192
-ENGINES = ("panel_1d", "regrid_h1d", "tile_2d", "mixed_15d", "window", "local", "entries")
+ENGINES = ("panel_1d", "regrid_h1d", "tile_2d", "mixed_15d", "fused", "window", "local", "entries")
 
 
 @dataclass
 class FitResult:
-    """labels int32 by idx, sizes and norms by cluster, history, traffic (stage, item, words, messages) and timing (stage, seconds)."""
+    """labels int32 by idx, sizes by cluster, history, traffic (stage, item, words, messages) and timing (stage, seconds).
+
+    ``norms`` are those of the labels that entered the last sweep, or of the
+    final labels if ``final`` says so. Words are of 8 bytes, of labels 4.
+    """
 
     spark: SparkSession
     labels: np.ndarray
@@ -38,6 +51,7 @@ class FitResult:
     history: list[tuple] = field(default_factory=list)
     traffic: list[tuple] = field(default_factory=list)
     timing: dict = field(default_factory=dict)
+    final: bool = False
 
     def labels_df(self) -> DataFrame:
         import pandas as pd
@@ -88,49 +102,78 @@ def choose(e: np.ndarray, norms: np.ndarray, sizes: np.ndarray, empty: str) -> t
 
 
 def _e_row(owner: int, lo: int, e: np.ndarray, part: np.ndarray) -> pa.RecordBatch:
-    values = [(owner, pa.int32()), (lo, pa.int64()), (e.shape[1], pa.int32()), (e.astype("<f8").tobytes(), pa.binary()), (part.astype("<f8").tobytes(), pa.binary())]
-    return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["owner", "lo", "cnt", "data", "part"])
+    values = [(owner, pa.int32()), (lo, pa.int64()), (e.shape[1], pa.int32())]
+    return pa.RecordBatch.from_arrays([*[pa.array([v], t) for v, t in values], gram.cell(e.astype("<f8", copy=False)), gram.cell(part.astype("<f8", copy=False))], ["owner", "lo", "cnt", "data", "part"])
 
 
 def _piece(owner: int, bi: int, lo: int, block: np.ndarray) -> pa.RecordBatch:
-    values = [(owner, pa.int32()), (bi, pa.int32()), (lo, pa.int64()), (block.shape[1], pa.int32()), (np.ascontiguousarray(block, dtype="<f8").tobytes(), pa.binary())]
-    return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["owner", "bi", "lo", "cnt", "data"])
+    values = [(owner, pa.int32()), (bi, pa.int32()), (lo, pa.int64()), (block.shape[1], pa.int32())]
+    return pa.RecordBatch.from_arrays([*[pa.array([v], t) for v, t in values], gram.cell(block.astype("<f8", copy=False))], ["owner", "bi", "lo", "cnt", "data"])
+
+
+def _swept(owner: int, lo: int, cl: np.ndarray, d: np.ndarray | None, part: np.ndarray) -> pa.RecordBatch:
+    far = pa.array([None], pa.binary()) if d is None else gram.cell(d)
+    return pa.RecordBatch.from_arrays([pa.array([owner], pa.int32()), pa.array([lo], pa.int64()), gram.cell(cl), far, gram.cell(part)], ["owner", "lo", "cl", "d", "part"])
+
 
+_rows = gram.rows_of
 
-def _rows(batches):
-    for batch in batches:
-        for i in range(batch.num_rows):
-            yield batch.slice(i, 1).to_pylist()[0]
+
+def all_sum(parts: dict[int, np.ndarray], k: int) -> np.ndarray:
+    """Inside a barrier stage: the sum of all workers' parts, in order of their owners, for every worker."""
+    from pyspark import BarrierTaskContext
+
+    mine = json.dumps([[owner, base64.b64encode(p.astype("<f8").tobytes()).decode()] for owner, p in parts.items()])
+    every = sorted((owner, p) for message in BarrierTaskContext.get().allGather(mine) for owner, p in json.loads(message))
+    return total_of([np.frombuffer(base64.b64decode(p)) for _, p in every], k)
+
+
+def total_of(parts: list[np.ndarray], k: int) -> np.ndarray:
+    return np.sum(parts, axis=0) if parts else np.zeros(k)
 
 
 class Engine:
-    """Keeps K in its layout; ``means`` gives E_BLOCK rows for labels."""
+    """Keeps K in its layout. ``means`` gives the rows that hold a sweep's sums, and a function from their batches to (owner, lo, E, part of the norms)."""
+
+    #: Workers that share a sweep; each gets all labels.
+    workers: int
+    #: Whether the scores of the nearest clusters are needed after the workers' part.
+    scored = False
 
     def __init__(self, points: DataFrame, k: int, kernel: KernelSpec, grid: GridSpec, loop: LoopSpec, store: StoreSpec, dim: int):
         self.points, self.k, self.kernel, self.grid, self.loop, self.store, self.dim = points, k, kernel, grid, loop, store, dim
         self.spark = points.sparkSession
         self.traffic: dict[tuple[str, str], list[int]] = {}
         self.held: list[DataFrame] = []
+        self.sent: list = []
+        self.workers = grid.p
+        self.seconds = {"kernel": 0.0, "means": 0.0, "update": 0.0}
 
     def count(self, stage: str, item: str, words: int, messages: int) -> None:
         at = self.traffic.setdefault((stage, item), [0, 0])
         at[0] += words
         at[1] += messages
 
-    def place(self, pieces: DataFrame) -> DataFrame:
-        parts = self.grid.p
-        return pieces.repartitionById(parts, F.col("owner")) if hasattr(pieces, "repartitionById") else pieces.repartition(parts, "owner")
+    def broadcast(self, value):
+        """A broadcast that ends with the sweep."""
+        self.sent.append(self.spark.sparkContext.broadcast(value))
+        return self.sent[-1]
 
     def prepare(self) -> None:
         raise NotImplementedError
 
-    def means(self, labels: np.ndarray, sizes: np.ndarray) -> DataFrame:
+    def means(self, labels: np.ndarray, sizes: np.ndarray):
         raise NotImplementedError
 
-    def keep(self, df: DataFrame, parts: int) -> DataFrame:
-        kept = gram.pin(df, parts)
-        kept.count()
+    def keep(self, df: DataFrame, *items: str) -> DataFrame:
+        """Cache, fill, and count the words of its shuffles, given from the last to the first."""
+        kept = df.persist()
+        kept.select(df.columns[0]).agg(F.count("*")).collect()
         self.held.append(kept)
+        if items:
+            scan = kept.select(df.columns[0])
+            for item, s in zip(items, meter.shuffles(scan, into_cache=True)):
+                self.count("kernel", item, s.words, s.rows)
         return kept
 
     def close(self) -> None:
@@ -143,47 +186,141 @@ class Engine:
         v = self.points.select(nn.alias("nn")).select(self.kernel.column(F.col("nn"), F.col("nn"), F.col("nn")).alias("v"))
         return v.agg(F.sum("v")).first()[0]
 
-    def label_words(self) -> None:
-        g, p, k, n = self.grid.g, self.grid.p, self.k, self.grid.n
-        self.count("sweep", "labels", p * n, p)
-        self.count("sweep", "norms_sizes", 2 * p * k, 2 * p)
+    def together(self) -> bool:
+        """Whether all workers of a sweep can run at once, as a barrier needs."""
+        if self.workers == 1:
+            return True
+        conf = self.spark.sparkContext.getConf()
+        return self.loop.barrier and self.workers <= self.spark.sparkContext.defaultParallelism and conf.get("spark.dynamicAllocation.enabled", "false") != "true"
 
-    def assign(self, means: DataFrame, norms: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Labels and scores of all points from E blocks: a narrow pass."""
-        empty = self.loop.empty
+    def nearest(self, source: DataFrame, to_e, sizes: np.ndarray, part_of) -> tuple[DataFrame, DataFrame | None]:
+        """SWEPT rows, and the E blocks if they had to be kept; ``part_of`` gives the clusters of an owner's E block."""
+        k, empty, scored = self.k, self.loop.empty, self.scored or self.loop.empty == "reseed"
 
-        def run(batches):
+        def swept(owner, lo, e, part, norms):
+            clusters = part_of(owner)
+            cl, d = choose(e, norms[clusters], sizes[clusters], empty)
+            return _swept(owner, lo, (cl + clusters[0]).astype(np.int32), d if scored else None, part)
+
+        if self.together():
+            alone = self.workers == 1
+
+            def at_once(batches):
+                held = list(to_e(batches))
+                parts = {owner: part for owner, _, _, part in held}
+                norms = (total_of(list(parts.values()), k) if alone else all_sum(parts, k)) / np.maximum(sizes, 1)
+                for owner, lo, e, part in held:
+                    yield swept(owner, lo, e, part, norms)
+
+            return source.mapInArrow(at_once, SWEPT, barrier=not alone), None
+
+        def blocks(batches):
+            for owner, lo, e, part in to_e(batches):
+                yield _e_row(owner, lo, e, part)
+
+        kept = source.mapInArrow(blocks, E_BLOCK).persist()
+        began = time.time()
+        parts = kept.select("owner", "part").collect()
+        self.seconds["means"] += time.time() - began
+        norms = total_of([np.frombuffer(r.part) for r in sorted(parts, key=lambda r: r.owner)], k) / np.maximum(sizes, 1)
+
+        def again(batches):
             for r in _rows(batches):
-                cl, d = choose(matrix(r["data"], len(sizes)), norms, sizes, empty)
-                yield pa.RecordBatch.from_arrays([pa.array([r["lo"]], pa.int64()), pa.array([cl.tobytes()], pa.binary()), pa.array([d.tobytes()], pa.binary())], ["lo", "cl", "d"])
+                yield swept(r["owner"], r["lo"], matrix(r["data"], len(part_of(r["owner"]))), np.frombuffer(r["part"]), norms)
+
+        return kept.mapInArrow(again, SWEPT), kept
+
+    def part_of(self):
+        k = self.k
+        return lambda owner: np.arange(k)
 
-        out, dist = np.zeros(self.grid.n, np.int32), np.zeros(self.grid.n)
-        for r in means.mapInArrow(run, "lo long, cl binary, d binary").collect():
+    def finish(self, swept: DataFrame) -> DataFrame:
+        return swept
+
+    def sweep(self, labels: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+        """New labels, the summed parts of the norms by cluster, and scores if the policy needs them."""
+        began, before = time.time(), self.seconds["means"]
+        source, to_e = self.means(labels, sizes)
+        swept, kept = self.nearest(source, to_e, sizes, self.part_of())
+        swept = self.finish(swept)
+        rows = sorted(swept.collect(), key=lambda r: r.owner)
+        out = np.zeros(self.grid.n, np.int32)
+        far = np.zeros(self.grid.n) if self.loop.empty == "reseed" else None
+        for r in rows:
             cl = np.frombuffer(r.cl, np.int32)
             out[r.lo : r.lo + len(cl)] = cl
-            dist[r.lo : r.lo + len(cl)] = np.frombuffer(r.d)
-        return out, dist
+            if far is not None:
+                far[r.lo : r.lo + len(cl)] = np.frombuffer(r.d)
+        self.metered(swept, kept, labels, rows)
+        if kept is not None:
+            kept.unpersist()
+        for b in self.sent:
+            b.destroy()
+        self.sent.clear()
+        apart = self.seconds["means"] - before
+        self.seconds["update" if kept is not None else "means"] += time.time() - began - apart
+        return out, total_of([np.frombuffer(r.part) for r in rows], self.k), far
+
+    def metered(self, swept: DataFrame, kept: DataFrame | None, labels: np.ndarray, rows: list) -> None:
+        """Words of the sweep's shuffles, of the labels that reached the workers, and of norms and sizes."""
+        found = meter.shuffles(swept)
+        if kept is not None:
+            found += meter.shuffles(kept.select("owner"), into_cache=True)
+        names = self.moves()[-len(found) :] if found else ()  # one worker needs no last shuffle
+        for item, s in zip(names, found, strict=True):
+            self.count("sweep", item, s.words, s.rows)
+        self.count("sweep", "labels", self.label_words(labels), self.workers)
+        self.count("sweep", "norms_sizes", 2 * self.workers * self.k, 2 * self.workers)
+
+    def moves(self) -> tuple[str, ...]:
+        """Names of a sweep's shuffles, from the last to the first."""
+        return ()
+
+    def label_words(self, labels: np.ndarray) -> int:
+        return self.workers * labels.nbytes // 4
+
+
+def point_sums(batches, labels_of, k: int, how: str, store: StoreSpec, base, width):
+    """Sums by label over strips of K, added up per column block: {(row block, column block): k x points}.
+
+    ``labels_of`` gives the labels of a strip's rows, ``base`` and ``width`` the first point and the length of a column block.
+    """
+    held: dict[tuple[int, int], np.ndarray] = {}
+
+    def add(bi: int, bj: int, lo: int, sums: np.ndarray) -> None:
+        at = held.setdefault((bi, bj), np.zeros((k, width(bj))))
+        at[:, lo - base(bj) : lo - base(bj) + sums.shape[1]] += sums
+
+    for r in batches:
+        tile = r["k"]
+        add(r["bi"], r["bj"], r["lo_j"], label_sums(tile, labels_of(r, "lo_i", tile.shape[0]), k, how, store.summed))
+        if store.symmetric and r["bi"] != r["bj"]:
+            add(r["bj"], r["bi"], r["lo_i"], label_sums(tile.T, labels_of(r, "lo_j", tile.shape[1]), k, how, store.summed))
+    return held
+
+
+def _stored(batches, dtype: str):
+    for r in _rows(batches):
+        yield r | {"k": matrix(r["data"], r["rows"], dtype)}
 
 
 class Panels(Engine):
-    """``panel_1d``: all points copied to every worker, a column panel each; labels copied whole."""
+    """``panel_1d``: all points copied to every worker, a column panel each; labels copied whole; no shuffle in a sweep."""
 
     def prepare(self) -> None:
-        blocks = to_blocks(self.points, self.grid.step)
-        self.k_panels = self.keep(gram.panels(blocks, blocks, self.kernel, self.grid, self.store), self.grid.p)
-        self.count("kernel", "points", self.grid.p * self.grid.n * self.dim, self.grid.p)
+        self.k_panels = self.keep(gram.panels(to_blocks(self.points, self.grid.step), self.kernel, self.grid, self.store), "points")
 
     def means(self, labels, sizes):
-        sent, k, how, stored, summed = self.spark.sparkContext.broadcast(labels), self.k, self.loop.v, self.store.stored, self.store.summed
+        sent, k, how, store, grid = self.broadcast(labels), self.k, self.loop.v, replace(self.store, symmetric=False), self.grid
 
-        def run(batches):
-            for r in _rows(batches):
-                e = label_sums(matrix(r["data"], r["rows"], stored), sent.value, k, how, summed)
-                own = sent.value[r["lo_j"] : r["lo_j"] + r["cols"]]
-                yield _e_row(r["bj"], r["lo_j"], *mask_and_partial(e, own, sizes))
+        def to_e(batches):
+            cl = sent.value
+            sums = point_sums(({**r, "bi": 0} for r in _stored(batches, store.stored)), lambda r, at, n: cl[r[at] : r[at] + n], k, how, store, lambda f: grid.bounds(f)[0], lambda f: grid.bounds(f)[1] - grid.bounds(f)[0])
+            for (_, f), s in sorted(sums.items(), key=lambda e: e[0]):
+                lo, hi = grid.bounds(f)
+                yield f, lo, *mask_and_partial(s, cl[lo:hi], sizes)
 
-        self.label_words()
-        return self.k_panels.mapInArrow(run, E_BLOCK)
+        return self.k_panels, to_e
 
 
 class Regridded(Panels):
@@ -191,227 +328,226 @@ class Regridded(Panels):
 
     def prepare(self) -> None:
         wide = to_blocks(self.points, self.grid.step * self.grid.g)
-        tiles = gram.tiles_by_join(wide, self.kernel, self.grid, self.store)
-        self.k_panels = self.keep(gram.regrid(tiles, self.grid, self.store), self.grid.p)
-        self.count("kernel", "points", 2 * self.grid.g * self.grid.n * self.dim, 2 * self.grid.p)
-        self.count("kernel", "regrid", self.grid.n**2, self.grid.p * self.grid.g)
+        at = gram.placed(wide, self.grid, self.store)
+        self.k_panels = self.keep(gram.regrid(at, self.kernel, self.grid, self.store), "regrid", "points")
 
 
 class Mixed(Engine):
-    """``mixed_15d``: K in tiles, labels copied along grid rows, partial sums cut by points so that all updates are local."""
+    """``mixed_15d``: K in tiles where it was made, labels copied along grid rows, partial sums cut by points so that all updates are local."""
 
-    def prepare(self) -> None:
-        wide = to_blocks(self.points, self.grid.step * self.grid.g)
-        self.tiles = self.keep(gram.tiles_by_join(wide, self.kernel, self.grid, self.store), self.grid.p)
-        self.count("kernel", "points", 2 * self.grid.g * self.grid.n * self.dim, 2 * self.grid.p)
+    def blocks_at(self) -> DataFrame:
+        return gram.placed(to_blocks(self.points, self.grid.step * self.grid.g), self.grid, self.store)
 
-    def with_segments(self, labels: np.ndarray):
-        """Tiles and a function that gives a tile row its labels, by the chosen way of copying."""
-        if self.loop.copy_v == "row_join":
-            segments = [(i, labels[lo:hi].tobytes()) for i in range(self.grid.g) for lo, hi in [self.grid.wide(i)] if lo < hi]
+    def prepare(self) -> None:
+        self.tiles = self.keep(gram.tiles(self.blocks_at(), self.kernel, self.store), "points")
+
+    def strips(self):
+        """The kept rows, and a function from their batches to strips of K."""
+        stored = self.store.stored
+        return self.tiles, lambda batches: _stored(batches, stored)
+
+    def with_segments(self, rows: DataFrame, labels: np.ndarray):
+        """Kept rows and a function that gives a strip the labels of its rows or columns, by the chosen way of copying.
+
+        Spark broadcasts to every worker, so whichever way all labels reach all of them; with
+        ``row_join`` a task reads its grid row's segment only, with ``diagonal`` it looks it up.
+        """
+        wide = [self.grid.wide(i) for i in range(self.grid.g)]
+        if self.loop.copy_v == "row_join" and not self.store.symmetric:
+            segments = [(i, labels[lo:hi].tobytes()) for i, (lo, hi) in enumerate(wide) if lo < hi]
             frame = self.spark.createDataFrame(segments, "bi int, seg binary")
-            return self.tiles.join(F.broadcast(frame), "bi"), lambda r: np.frombuffer(r["seg"], np.int32)
-        if self.loop.copy_v == "diagonal":  # the diagonal worker's gathered segment is what a grid row receives
-            gathered = {i: labels[slice(*self.grid.wide(i))] for i in range(self.grid.g)}
-            sent = self.spark.sparkContext.broadcast(gathered)
-            return self.tiles, lambda r: sent.value[r["bi"]]
-        sent = self.spark.sparkContext.broadcast(labels)
-        return self.tiles, lambda r: sent.value[r["lo_i"] : r["lo_i"] + r["rows"]]
+            joined = rows.join(F.broadcast(frame), "bi")
+            return joined, lambda r, at, n: np.frombuffer(r["seg"], np.int32)[r[at] - wide[r["bi"]][0] :][:n]
+        if self.loop.copy_v == "diagonal":
+            sent = self.broadcast({i: labels[lo:hi] for i, (lo, hi) in enumerate(wide)})
+            return rows, lambda r, at, n: sent.value[r["bi" if at == "lo_i" else "bj"]][r[at] - wide[r["bi" if at == "lo_i" else "bj"]][0] :][:n]
+        sent = self.broadcast(labels)
+        return rows, lambda r, at, n: sent.value[r[at] : r[at] + n]
 
     def partials(self, labels: np.ndarray) -> DataFrame:
-        tiles, segment = self.with_segments(labels)
-        grid, k, how, stored, summed = self.grid, self.k, self.loop.v, self.store.stored, self.store.summed
+        """PIECE rows on their owners: the sweep's one wide shuffle."""
+        rows, strips = self.strips()
+        rows, segment = self.with_segments(rows, labels)
+        grid, k, how, store, cut = self.grid, self.k, self.loop.v, self.store, self.cut()
 
         def run(batches):
-            for r in _rows(batches):
-                sums = label_sums(matrix(r["data"], r["rows"], stored), segment(r), k, how, summed)
-                for piece, f in enumerate(grid.row_blocks(r["bj"])):
-                    lo, hi = grid.bounds(f)
-                    if lo < hi:
-                        yield _piece(grid.owner(r["bj"], piece), r["bi"], lo, sums[:, lo - r["lo_j"] : hi - r["lo_j"]])
+            sums = point_sums(strips(batches), segment, k, how, store, lambda j: grid.wide(j)[0], lambda j: grid.wide(j)[1] - grid.wide(j)[0])
+            for (bi, bj), s in sums.items():
+                yield from cut(bi, bj, s)
+
+        return gram.by_rank(rows.mapInArrow(run, PIECE), self.workers, "owner")
 
-        return tiles.mapInArrow(run, PIECE)
+    def cut(self):
+        """Function from a tile's sums to pieces: by points, for the owners of these points."""
+        grid = self.grid
 
-    def label_words(self) -> None:
-        g, p, k, n = self.grid.g, self.grid.p, self.k, self.grid.n
-        self.count("sweep", "labels", g * n, p)
-        self.count("sweep", "pieces", g * n * k, p * g)
-        self.count("sweep", "norms_sizes", 2 * p * k, 2 * p)
+        def by_points(bi, bj, sums):
+            first = grid.wide(bj)[0]
+            for piece, f in enumerate(grid.row_blocks(bj)):
+                lo, hi = grid.bounds(f)
+                if lo < hi:
+                    yield _piece(grid.owner(bj, piece), bi, lo, sums[:, lo - first : hi - first])
+
+        return by_points
 
     def means(self, labels, sizes):
-        sent, k = self.spark.sparkContext.broadcast(labels), self.k
+        sent, k = self.broadcast(labels), self.k
 
-        def merge(batches):
-            held: dict[int, list] = {}
-            for r in _rows(batches):
-                held.setdefault(r["owner"], []).append(r)
-            for owner, parts in sorted(held.items()):
-                parts.sort(key=lambda r: r["bi"])
-                sums = sum(matrix(r["data"], k) for r in parts)
-                lo = parts[0]["lo"]
-                yield _e_row(owner, lo, *mask_and_partial(sums, sent.value[lo : lo + sums.shape[1]], sizes))
+        def to_e(batches):
+            for owner, lo, sums in _merged(batches, lambda owner: k):
+                yield owner, lo, *mask_and_partial(sums, sent.value[lo : lo + sums.shape[1]], sizes)
+
+        return self.partials(labels), to_e
 
-        self.label_words()
-        return self.place(self.partials(labels)).mapInArrow(merge, E_BLOCK)
+    def moves(self) -> tuple[str, ...]:
+        return ("pieces",)
+
+
+def _merged(batches, rows_for):
+    """(owner, lo, summed pieces) of every owner; pieces add up in order of their grid row."""
+    held: dict[int, list] = {}
+    for r in _rows(batches):
+        held.setdefault(r["owner"], []).append(r)
+    for owner, parts in sorted(held.items()):
+        parts.sort(key=lambda r: r["bi"])
+        yield owner, parts[0]["lo"], sum(matrix(r["data"], rows_for(owner)) for r in parts)
 
 
 class Tiles2D(Mixed):
     """``tile_2d`` and ``mixed_15d(split='clusters')``: partial sums cut by cluster block, so the nearest cluster needs a (score, id) minimum across blocks."""
 
-    def partials(self, labels: np.ndarray) -> DataFrame:
-        tiles, segment = self.with_segments(labels)
-        grid, k, how, stored, summed = self.grid, self.k, self.loop.v, self.store.stored, self.store.summed
+    scored = True
 
-        def run(batches):
-            for r in _rows(batches):
-                sums = label_sums(matrix(r["data"], r["rows"], stored), segment(r), k, how, summed)
-                for q, clusters in enumerate(np.array_split(np.arange(k), grid.g)):
-                    if len(clusters):
-                        yield _piece(grid.rank(q, r["bj"]), r["bi"], r["lo_j"], sums[clusters])
+    def cut(self):
+        grid, k = self.grid, self.k
 
-        return tiles.mapInArrow(run, PIECE)
+        def by_clusters(bi, bj, sums):
+            for q, clusters in enumerate(np.array_split(np.arange(k), grid.g)):
+                if len(clusters):
+                    yield _piece(grid.rank(q, bj), bi, grid.wide(bj)[0], sums[clusters])
 
-    def label_words(self) -> None:
-        g, k, n = self.grid.g, self.k, self.grid.n
-        rows = self.loop.split == "clusters"
-        self.count("sweep", "labels", g * n if rows else 2 * g * n, g * g)
-        self.count("sweep", "pieces", g * n * k, g**3)
-        self.count("sweep", "minimum_pairs", 2 * g * n, g * g)
-        self.count("sweep", "labels_back" if rows else "sizes", g * n if rows else g * k, g * g)
+        return by_clusters
+
+    def part_of(self):
+        k, g = self.k, self.grid.g
+        return lambda owner: np.array_split(np.arange(k), g)[owner % g]
 
     def means(self, labels, sizes):
-        sent, k, g = self.spark.sparkContext.broadcast(labels), self.k, self.grid.g
+        sent, k, part_of = self.broadcast(labels), self.k, self.part_of()
 
-        def merge(batches):
-            held: dict[int, list] = {}
-            for r in _rows(batches):
-                held.setdefault(r["owner"], []).append(r)
-            for owner, parts in sorted(held.items()):
-                parts.sort(key=lambda r: r["bi"])
-                clusters = np.array_split(np.arange(k), g)[owner % g]
-                e = sum(matrix(r["data"], len(clusters)) for r in parts) / np.maximum(sizes[clusters], 1)[:, None]
-                lo = parts[0]["lo"]
+        def to_e(batches):
+            for owner, lo, sums in _merged(batches, lambda owner: len(part_of(owner))):
+                clusters = part_of(owner)
+                e = sums / np.maximum(sizes[clusters], 1)[:, None]
                 own = sent.value[lo : lo + e.shape[1]]
                 part = np.zeros(k)
                 mine = (own >= clusters[0]) & (own <= clusters[-1])
                 np.add.at(part, own[mine], e[own[mine] - clusters[0], np.flatnonzero(mine)])
-                yield _e_row(owner, lo, e, part)
+                yield owner, lo, e, part
 
-        self.label_words()
-        return self.place(self.partials(labels)).mapInArrow(merge, E_BLOCK)
+        return self.partials(labels), to_e
 
-    def assign(self, means, norms, sizes):
-        k, g, empty = self.k, self.grid.g, self.loop.empty
-
-        def local(batches):
-            for r in _rows(batches):
-                clusters = np.array_split(np.arange(k), g)[r["owner"] % g]
-                cl, d = choose(matrix(r["data"], len(clusters)), norms[clusters], sizes[clusters], empty)
-                yield pa.RecordBatch.from_arrays([pa.array([r["lo"]], pa.int64()), pa.array([(cl + clusters[0]).astype(np.int32).tobytes()], pa.binary()), pa.array([d.tobytes()], pa.binary())], ["lo", "cl", "d"])
+    def finish(self, swept: DataFrame) -> DataFrame:
+        """Least score of each point over the cluster blocks, ties to the lower id."""
 
         def least(table: pa.Table) -> pa.Table:
-            parts = table.to_pylist()
-            cl, d = np.stack([np.frombuffer(r["cl"], np.int32) for r in parts]), np.stack([np.frombuffer(r["d"]) for r in parts])
-            best = np.lexsort((cl, d), axis=0)[0]
-            at = np.arange(d.shape[1])
-            return pa.table([pa.array([parts[0]["lo"]], pa.int64()), pa.array([cl[best, at].tobytes()], pa.binary()), pa.array([d[best, at].tobytes()], pa.binary())], names=["lo", "cl", "d"])
-
-        out, dist = np.zeros(self.grid.n, np.int32), np.zeros(self.grid.n)
-        schema = "lo long, cl binary, d binary"
-        for r in means.mapInArrow(local, schema).groupBy("lo").applyInArrow(least, schema).collect():
-            cl = np.frombuffer(r.cl, np.int32)
-            out[r.lo : r.lo + len(cl)] = cl
-            dist[r.lo : r.lo + len(cl)] = np.frombuffer(r.d)
-        return out, dist
+            rows = sorted(table.to_pylist(), key=lambda r: r["owner"])
+            cl, d = (np.stack([np.frombuffer(r[name], kind) for r in rows]) for name, kind in (("cl", np.int32), ("d", np.float64)))
+            best, at = np.lexsort((cl, d), axis=0)[0], np.arange(d.shape[1])
+            part = total_of([np.frombuffer(r["part"]) for r in rows], 0)
+            return pa.Table.from_batches([_swept(rows[0]["owner"], rows[0]["lo"], cl[best, at], d[best, at], part)])
+
+        return swept.groupBy("lo").applyInArrow(least, SWEPT)
+
+    def moves(self) -> tuple[str, ...]:
+        return ("minimum_pairs", "pieces")
+
+
+class Fused(Mixed):
+    """``fused``: only the placed blocks of points are kept; every sweep makes the tiles anew, ``height`` rows at a time, and sums them in the same task."""
+
+    def __init__(self, *args, height: int = 8192):
+        super().__init__(*args)
+        self.height = height
+
+    def prepare(self) -> None:
+        self.at = self.keep(self.blocks_at(), "points")
+
+    def strips(self):
+        kernel, store, height = self.kernel, self.store, self.height
+
+        def run(batches):
+            for _, bi, bj, lo_i, lo_j, k in gram.products(batches, kernel, store, height):
+                yield {"bi": bi, "bj": bj, "lo_i": lo_i, "lo_j": lo_j, "k": k}
+
+        return self.at, run
+
+    def with_segments(self, rows, labels):
+        sent = self.broadcast(labels)
+        return rows, lambda r, at, n: sent.value[r[at] : r[at] + n]
+
+
+class OnDisk(Mixed):
+    """``window(on_disk=)``: strips of K are written once and read back in every sweep."""
+
+    def __init__(self, *args, on_disk: str, height: int = 8192, distributed: bool = True):
+        super().__init__(*args)
+        self.on_disk, self.height = on_disk, height
+        if not distributed:
+            self.grid, self.workers = GridSpec(self.grid.n, 1), 1
+
+    def prepare(self) -> None:
+        write_tiles(gram.tiles(self.blocks_at(), self.kernel, self.store, self.height), self.on_disk)
+        self.tiles = read_tiles(self.spark, self.on_disk).select(*[c.split()[0] for c in gram.TILE.split(", ")])
+        self.cells, self.strip_count = self.tiles.agg(F.sum(F.col("rows").cast("long") * F.col("cols")), F.count("*")).first()
+        self.count("kernel", "written", self.cells, self.strip_count)
+
+    def metered(self, swept, kept, labels, rows):
+        super().metered(swept, kept, labels, rows)
+        self.count("sweep", "read", self.cells, self.strip_count)
 
 
 class Sliding(Engine):
-    """``window``: K is recomputed b rows at a time in every sweep, or kept on disk; in one task unless ``distributed``."""
+    """``window``: one task holds all points and recomputes K, ``height`` columns at a time, in every sweep; refuses points of over ``limit`` bytes."""
 
-    def __init__(self, *args, height: int = 8192, distributed: bool = False, on_disk: str | None = None):
+    def __init__(self, *args, height: int = 8192, limit: int = 1 << 31):
         super().__init__(*args)
-        self.height, self.distributed, self.on_disk = height, distributed, on_disk
+        self.height, self.limit = height, limit
+        self.workers = 1
 
     def prepare(self) -> None:
-        self.blocks = materialize(to_blocks(self.points, self.height))
-        whole = self.blocks.agg(F.sum(F.length("data"))).first()[0]
-        if whole > 1 << 31:
-            raise ValueError(f"the window copies all points to a task: {whole} bytes")
-        packed = self.blocks.agg(F.array_sort(F.collect_list(F.struct("lo", "cnt", "data"))).alias("all")).first()[0]
-        self.everyone = np.concatenate([matrix(p["data"], p["cnt"]) for p in packed])
-        workers = self.grid.p if self.distributed else 1
-        self.count("kernel", "points", workers * self.grid.n * self.dim, workers)
-        if self.on_disk:
-            kernel, store, n = self.kernel, self.store, self.grid.n
-            sent = self.spark.sparkContext.broadcast(self.everyone)
-
-            def slices(batches):
-                for r in _rows(batches):
-                    k = gram.product(sent.value, matrix(r["data"], r["cnt"]), kernel, store)
-                    values = [(0, pa.int32()), (r["blk"], pa.int32()), (r["blk"], pa.int32()), (0, pa.int64()), (r["lo"], pa.int64()), (n, pa.int32()), (r["cnt"], pa.int32()), (k.tobytes(), pa.binary())]
-                    yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
-
-            write_tiles(self.blocks.mapInArrow(slices, gram.TILE), self.on_disk)
-            self.count("kernel", "written", n * n, len(packed))
+        need = self.grid.n * self.dim * 8
+        if need > self.limit:
+            raise ValueError(f"the window copies all points to one task: {need} bytes; use fused, which meets blocks in pairs")
+        self.blocks = self.keep(to_blocks(self.points, self.height).select("lo", "cnt", "data").coalesce(1))
+        self.count("kernel", "points", self.grid.n * self.dim, 1)
 
     def means(self, labels, sizes):
-        k, how, kernel, store = self.k, self.loop.v, self.kernel, self.store
-        sent = self.spark.sparkContext.broadcast((labels, self.everyone))
+        sent, k, how, kernel, store, height = self.broadcast(labels), self.k, self.loop.v, self.kernel, self.store, self.height
 
-        def recompute(batches):
-            for r in _rows(batches):
-                cl, everyone = sent.value
-                piece = gram.product(everyone, matrix(r["data"], r["cnt"]), kernel, store)
-                sums = label_sums(piece, cl, k, how, store.summed)
-                yield _e_row(r["blk"], r["lo"], *mask_and_partial(sums, cl[r["lo"] : r["lo"] + r["cnt"]], sizes))
+        def to_e(batches):
+            held = sorted(_rows(batches), key=lambda r: r["lo"])
+            if held:
+                x, cl = np.concatenate([matrix(r["data"], r["cnt"]) for r in held]), sent.value
+                for at, lo in enumerate(range(0, len(x), height)):
+                    sums = label_sums(gram.product(x, x[lo : lo + height], kernel, store), cl, k, how, store.summed)
+                    yield at, lo, *mask_and_partial(sums, cl[lo : lo + height], sizes)
 
-        def from_disk(batches):
-            for r in _rows(batches):
-                cl = sent.value[0]
-                sums = label_sums(matrix(r["data"], r["rows"], store.stored), cl, k, how, store.summed)
-                yield _e_row(r["bj"], r["lo_j"], *mask_and_partial(sums, cl[r["lo_j"] : r["lo_j"] + r["cols"]], sizes))
-
-        workers = self.grid.p if self.distributed else 1
-        self.count("sweep", "labels", workers * self.grid.n, workers)
-        self.count("sweep", "norms_sizes", 2 * workers * self.k, 2 * workers)
-        if self.on_disk:
-            self.count("sweep", "read", self.grid.n**2, -(-self.grid.n // self.height))
-            source, f = read_tiles(self.spark, self.on_disk).select(*[c.split()[0] for c in gram.TILE.split(", ")]), from_disk
-        else:
-            source, f = self.blocks, recompute
-        return (source if self.distributed else source.coalesce(1)).mapInArrow(f, E_BLOCK)
-
-
-class Local(Sliding):
+        return self.blocks, to_e
+
+
+class Local(Panels):
     """``local``: K whole in one task; refuses what would not fit."""
 
     def __init__(self, *args):
-        super().__init__(*args, height=args[3].n)
+        super().__init__(*args)
+        self.grid, self.workers = GridSpec(self.grid.n, 1), 1
 
     def prepare(self) -> None:
         need = self.grid.n**2 * np.dtype(self.store.stored).itemsize
         if need > min(self.store.max_bytes, 1 << 31):
-            raise ValueError(f"K needs {need} bytes in one task; use mixed_15d, window or lift")
+            raise ValueError(f"K needs {need} bytes in one task; use mixed_15d, fused or lift")
         super().prepare()
-        kernel, store, n = self.kernel, self.store, self.grid.n
-        sent = self.spark.sparkContext.broadcast(self.everyone)
-
-        def one(batches):
-            for r in _rows(batches):
-                k = gram.product(sent.value, matrix(r["data"], r["cnt"]), kernel, store)
-                yield gram.tile_row(0, 0, GridSpec(n, 1), 0, 0, k)
-
-        self.whole = self.keep(self.blocks.mapInArrow(one, gram.TILE), 1)
-
-    def means(self, labels, sizes):
-        sent, k, how, store = self.spark.sparkContext.broadcast(labels), self.k, self.loop.v, self.store
-
-        def run(batches):
-            for r in _rows(batches):
-                sums = label_sums(matrix(r["data"], r["rows"], store.stored), sent.value, k, how, store.summed)
-                yield _e_row(0, 0, *mask_and_partial(sums, sent.value, sizes))
-
-        return self.whole.mapInArrow(run, E_BLOCK)
 
 
 class Entries(Engine):
@@ -421,15 +557,19 @@ class Entries(Engine):
         self.pairs = gram.entries(self.points, self.kernel).persist()
         self.held.append(self.pairs)
 
-    def sweep_labels(self, labels: np.ndarray) -> tuple[np.ndarray, float]:
+    def sweep(self, labels, sizes):
         import pandas as pd
 
+        began = time.time()
         frame = self.spark.createDataFrame(pd.DataFrame({"idx": np.arange(len(labels)), "cl": labels}), "idx long, cl int")
         got = sweep.sweep(self.pairs, frame, self.k, self.loop.empty).collect()
         out = np.zeros(self.grid.n, np.int32)
         for r in got:
             out[r.idx] = r.cl
-        return out, sweep.objective(self.pairs, frame).first()[0]
+        e = sweep.cluster_means(self.pairs, frame)
+        by = {r.cl: r.s for r in sweep.own_cluster_mean(e, frame).groupBy("cl").agg(F.sum("z").alias("s")).collect()}
+        self.seconds["means"] += time.time() - began
+        return out, np.array([by.get(c, 0.0) for c in range(self.k)]), None
 
 
 def plusplus(points: DataFrame, k: int, kernel: KernelSpec, n: int, seed: int = 0) -> np.ndarray:
@@ -483,62 +623,61 @@ def validate(points: DataFrame, k: int) -> tuple[int, int]:
     return row.n, row.d0
 
 
-def make(name: str, *args, **options) -> Engine:
+def make(name: str, *args, distributed: bool = False, on_disk: str | None = None, **options) -> Engine:
+    """The engine of a name; ``window`` on several workers is ``fused``, with ``on_disk`` it keeps K in files."""
     if name == "mixed_15d" and args[4].split == "clusters":
         return Tiles2D(*args)
-    kinds = {"panel_1d": Panels, "regrid_h1d": Regridded, "tile_2d": Tiles2D, "mixed_15d": Mixed, "window": Sliding, "local": Local, "entries": Entries}
+    if name == "window" and on_disk:
+        return OnDisk(*args, on_disk=on_disk, distributed=distributed, **options)
+    if name == "window" and distributed:
+        return Fused(*args, **options)
+    kinds = {"panel_1d": Panels, "regrid_h1d": Regridded, "tile_2d": Tiles2D, "mixed_15d": Mixed, "fused": Fused, "window": Sliding, "local": Local, "entries": Entries}
     if name not in kinds:
         raise ValueError(f"no such engine: {name}")
     return kinds[name](*args, **options)
 
 
-def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "mixed_15d", g: int | None = None, loop: LoopSpec | None = None, store: StoreSpec | None = None, init="round_robin", seed: int = 0, **options) -> FitResult:
+def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "mixed_15d", g: int | None = None, loop: LoopSpec | None = None, store: StoreSpec | None = None, init="round_robin", seed: int = 0, finish: bool = False, **options) -> FitResult:
     """Cluster points (idx, x); all engines return the same labels.
 
     The grid has g x g workers; by default g keeps the side of a tile within TILE_SIDE points.
 
     Stops when no label changes, when the objective falls by less than ``tol`` of
-    itself, or after ``max_iter`` sweeps; ``fixed`` runs them all.
+    itself, or after ``max_iter`` sweeps; ``fixed`` runs them all. ``finish`` adds
+    half a sweep, where labels still moved, for the norms of the final labels.
+    With ``loop.checkpoint`` labels are written every ``checkpoint_every`` sweeps,
+    and with ``loop.resume`` a fit goes on from the last ones written there.
     """
     kernel, loop, store = kernel or polynomial(), loop or LoopSpec(), store or StoreSpec()
     points = points.select("idx", "x").persist()
     n, dim = validate(points, k)
     grid = GridSpec(n, g or max(2, -(-n // TILE_SIDE)))
     spark = points.sparkSession
-    labels = _start(points, k, n, init, kernel, seed)
+    done, labels = latest_sweep(spark, loop.checkpoint, n) if loop.checkpoint and loop.resume else (0, None)
+    if labels is None:
+        labels = _start(points, k, n, init, kernel, seed)
     run = make(engine, points, k, kernel, grid, loop, store, dim, **options)
     began = time.time()
     run.prepare()
     trace = run.diagonal()
-    timing = {"kernel": time.time() - began, "means": 0.0, "update": 0.0}
-    history, norms, before = [], np.zeros(k), None
+    run.seconds["kernel"] = time.time() - began
+    history, norms, before, changed = [], np.zeros(k), None, 1
     diag = None
-    for t in range(1, loop.max_iter + 1):
+    for t in range(done + 1, loop.max_iter + 1):
         began = time.time()
         sizes = np.bincount(labels, minlength=k)
         if loop.empty == "error" and (sizes == 0).any():
             raise ValueError(f"clusters {np.flatnonzero(sizes == 0).tolist()} are empty before sweep {t}")
-        if engine == "entries":
-            fresh, objective = run.sweep_labels(labels)
-            middle = time.time()
-        else:
-            e = run.means(labels, sizes).persist()
-            parts = e.select("owner", "part").collect()
-            middle = time.time()
-            total = np.sum([np.frombuffer(r.part) for r in sorted(parts, key=lambda r: r.owner)], axis=0)
-            norms = total / np.maximum(sizes, 1)
-            fresh, dist = run.assign(e, norms, sizes)
-            e.unpersist()
-            objective = trace - float(total.sum())
-            if loop.empty == "reseed":
-                if diag is None:
-                    nn = dot(F.col("x"), F.col("x"))
-                    rows = points.select("idx", nn.alias("nn")).select("idx", kernel.column(F.col("nn"), F.col("nn"), F.col("nn")).alias("v")).collect()
-                    diag = np.zeros(n)
-                    diag[[r.idx for r in rows]] = [r.v for r in rows]
-                fresh = reseed(fresh, dist + diag, k)
-        timing["means"] += middle - began
-        timing["update"] += time.time() - middle
+        fresh, total, far = run.sweep(labels, sizes)
+        norms = total / np.maximum(sizes, 1)
+        objective = trace - float(total.sum())
+        if far is not None:
+            if diag is None:
+                nn = dot(F.col("x"), F.col("x"))
+                rows = points.select("idx", nn.alias("nn")).select("idx", kernel.column(F.col("nn"), F.col("nn"), F.col("nn")).alias("v")).collect()
+                diag = np.zeros(n)
+                diag[[r.idx for r in rows]] = [r.v for r in rows]
+            fresh = reseed(fresh, far + diag, k)
         changed = int((fresh != labels).sum())
         history.append((t, changed, float(objective), int((sizes == 0).sum()), time.time() - began))
         labels = fresh
@@ -550,9 +689,12 @@ def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str
         before = objective
         if not loop.fixed and (changed == 0 or small):
             break
+    if finish and changed:
+        sizes = np.bincount(labels, minlength=k)
+        norms = run.sweep(labels, sizes)[1] / np.maximum(sizes, 1)
     run.close()
     points.unpersist()
-    return FitResult(spark, labels, k, np.bincount(labels, minlength=k), norms, history, [(s, i, w, m) for (s, i), (w, m) in run.traffic.items()], timing)
+    return FitResult(spark, labels, k, np.bincount(labels, minlength=k), norms, history, [(s, i, w, m) for (s, i), (w, m) in run.traffic.items()], run.seconds, finish or not changed)
 
 
 def reseed(labels: np.ndarray, sq: np.ndarray, k: int) -> np.ndarray:

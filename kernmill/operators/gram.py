@@ -1,4 +1,8 @@
-"""Pairwise kernel values: relational entries, grid tiles, column panels."""
+"""Pairwise kernel values: relational entries, grid tiles, column panels.
+
+Blocks of points are sent to the worker that will hold their product; the
+product is made there and never moves. A tile is kept as strips of its rows.
+"""
 
 from __future__ import annotations
 
@@ -11,7 +15,10 @@ from ..functions.kernels import KernelSpec, dot
 from ..plans.layout import GridSpec, StoreSpec, matrix
 
 TILE = "bi int, bj int, rank int, lo_i long, lo_j long, rows int, cols int, data binary"
+PLACED = "rank int, side int, blk int, lo long, cnt int, data binary"
 RELATIONAL_LIMIT = 20_000
+#: Rows of K go in strips of about this size, so that no single cell grows with the tile.
+STRIP_BYTES = 32 << 20
 
 
 def entries(points: DataFrame, kernel: KernelSpec, limit: int = RELATIONAL_LIMIT) -> DataFrame:
@@ -35,86 +42,113 @@ def product(a: np.ndarray, b: np.ndarray, kernel: KernelSpec, store: StoreSpec)
     return np.ascontiguousarray(kernel.block(a @ b.T, _norms(a), _norms(b)), dtype=store.stored)
 
 
-def tiles_by_join(wide: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec) -> DataFrame:
-    """TILE rows of the grid product: every wide block is copied along its grid row and its grid column, and meets its partners in one equi-join.
+def rows_of(batches):
+    """Rows as dicts; binary cells are views of the batch, not copies."""
+    for batch in batches:
+        cols = [(name, batch.column(j), pa.types.is_binary(batch.schema.field(j).type)) for j, name in enumerate(batch.schema.names)]
+        for i in range(batch.num_rows):
+            yield {name: col[i].as_buffer() if raw else col[i].as_py() for name, col, raw in cols}
+
+
+def cell(values: np.ndarray) -> pa.Array:
+    """One binary cell over the bytes of an array."""
+    flat = np.ascontiguousarray(values)
+    return pa.Array.from_buffers(pa.binary(), 1, [None, pa.py_buffer(np.array([0, flat.nbytes], np.int32)), pa.py_buffer(flat)])
+
+
+def tile_count(grid: GridSpec, store: StoreSpec) -> int:
+    return grid.g * (grid.g + 1) // 2 if store.symmetric else grid.p
+
+
+def by_rank(df: DataFrame, parts: int, rank: str = "rank") -> DataFrame:
+    """Each row to the partition of its rank itself."""
+    return df.repartitionById(parts, F.col(rank)) if hasattr(df, "repartitionById") else df.repartition(parts, rank)
+
+
+def placed(wide: DataFrame, grid: GridSpec, store: StoreSpec) -> DataFrame:
+    """PLACED rows: every wide block is copied along its grid row and its grid column, to the worker of the tile; the only move of the kernel stage.
 
-    Symmetric stores build tiles of bi <= bj and mirror the others from them.
+    Symmetric stores place the tiles of bi <= bj alone, numbered column by column.
     """
-    side = F.sequence(F.lit(0), F.lit(grid.g - 1))
-    rows = wide.select(F.col("blk").alias("bi"), F.explode(side).alias("bj"), F.col("lo").alias("lo_i"), F.col("cnt").alias("rows"), F.col("data").alias("a"))
-    cols = wide.select(F.col("blk").alias("bj"), F.explode(side).alias("bi"), F.col("lo").alias("lo_j"), F.col("cnt").alias("cols"), F.col("data").alias("b"))
+    others, own = F.sequence(F.lit(0), F.lit(grid.g - 1)), F.col("blk")
+    as_row = F.transform(others, lambda j: F.struct(own.alias("bi"), j.alias("bj"), F.lit(0).alias("side")))
+    as_col = F.transform(others, lambda i: F.struct(i.alias("bi"), own.alias("bj"), F.lit(1).alias("side")))
+    both = wide.select(F.inline(F.concat(as_row, as_col)), "blk", "lo", "cnt", "data")
     if store.symmetric:
-        rows, cols = rows.where("bi <= bj"), cols.where("bi <= bj")
-    pairs = rows.join(cols, ["bi", "bj"])
+        rank = F.floor(F.col("bj") * (F.col("bj") + 1) / 2) + F.col("bi")
+        both = both.where("bi <= bj")
+    else:
+        rank = F.col("bj") * grid.g + F.col("bi")
+    return by_rank(both.select(rank.cast("int").alias("rank"), "side", "blk", "lo", "cnt", "data"), tile_count(grid, store))
+
+
+def products(batches, kernel: KernelSpec, store: StoreSpec, height: int | None = None):
+    """(rank, bi, bj, lo_i, lo_j, K) for strips of every tile whose two blocks meet among these PLACED rows."""
+    waiting: dict[int, dict] = {}
+    for r in rows_of(batches):
+        other = waiting.pop(r["rank"], None)
+        if other is None:
+            waiting[r["rank"]] = r
+            continue
+        a, b = (other, r) if r["side"] else (r, other)
+        x, y = matrix(a["data"], a["cnt"]), matrix(b["data"], b["cnt"])
+        step = height or max(1, STRIP_BYTES // (8 * len(y)))
+        for lo in range(0, len(x), step):
+            yield r["rank"], a["blk"], b["blk"], a["lo"] + lo, b["lo"], product(x[lo : lo + step], y, kernel, store)
 
-    def run(batches):
-        for batch in batches:
-            for i in range(batch.num_rows):
-                r = batch.slice(i, 1).to_pylist()[0]
-                k = product(matrix(r["a"], r["rows"]), matrix(r["b"], r["cols"]), kernel, store)
-                yield tile_row(r["bi"], r["bj"], grid, r["lo_i"], r["lo_j"], k)
-                if store.symmetric and r["bi"] != r["bj"]:
-                    yield tile_row(r["bj"], r["bi"], grid, r["lo_j"], r["lo_i"], np.ascontiguousarray(k.T))
 
-    return pairs.mapInArrow(run, TILE)
+def tile_row(bi: int, bj: int, rank: int, lo_i: int, lo_j: int, k: np.ndarray) -> pa.RecordBatch:
+    values = [(bi, pa.int32()), (bj, pa.int32()), (rank, pa.int32()), (lo_i, pa.int64()), (lo_j, pa.int64()), (k.shape[0], pa.int32()), (k.shape[1], pa.int32())]
+    return pa.RecordBatch.from_arrays([*[pa.array([v], t) for v, t in values], cell(k)], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
 
 
-def tile_row(bi: int, bj: int, grid: GridSpec, lo_i: int, lo_j: int, k: np.ndarray) -> pa.RecordBatch:
-    values = [(bi, pa.int32()), (bj, pa.int32()), (grid.rank(bi, bj), pa.int32()), (lo_i, pa.int64()), (lo_j, pa.int64()), (k.shape[0], pa.int32()), (k.shape[1], pa.int32()), (k.tobytes(), pa.binary())]
-    return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
+def tiles(at: DataFrame, kernel: KernelSpec, store: StoreSpec, height: int | None = None) -> DataFrame:
+    """TILE strips of the grid product, made where the PLACED blocks lie."""
+
+    def run(batches):
+        for rank, bi, bj, lo_i, lo_j, k in products(batches, kernel, store, height):
+            yield tile_row(bi, bj, rank, lo_i, lo_j, k)
 
+    return at.mapInArrow(run, TILE)
 
-def panels(blocks: DataFrame, everyone: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec, limit_bytes: int = 1 << 30) -> DataFrame:
-    """Column panels, one per fine block, against a copy of all points: TILE rows with bi = 0.
 
-    All points go to every task as one broadcast row, which is what limits this
-    layout: points of more than ``limit_bytes`` are refused.
+def panels(blocks: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec) -> DataFrame:
+    """Column panels, one per fine block, as TILE strips (bi: the block of rows).
+
+    All blocks go to every worker (n * d words each), which is what limits this
+    layout; a worker reads them one at a time beside its own.
     """
-    n = grid.n
-    size = everyone.agg(F.sum(F.length("data"))).first()[0]
-    if size > limit_bytes:
-        raise ValueError(f"column panels copy all points to every worker, {size} bytes here; use mixed_15d or regrid_h1d")
-    packed = F.broadcast(everyone.agg(F.array_sort(F.collect_list(F.struct("lo", "cnt", "data"))).alias("all")))
-    pairs = blocks.select("blk", "lo", "cnt", "data", F.lit(1).alias("one")).join(packed.withColumn("one", F.lit(1)), "one")
+    everyone = F.sequence(F.lit(0), F.lit(grid.p - 1))
+    sent = blocks.select(F.explode(everyone).alias("rank"), "blk", "lo", "cnt", "data")
+    own_first = F.when(F.col("rank") == F.col("blk"), 0).otherwise(1)
+    at = by_rank(sent.select("rank", own_first.alias("side"), "blk", "lo", "cnt", "data"), grid.p).sortWithinPartitions("rank", "side", "blk")
 
     def run(batches):
-        for batch in batches:
-            for i in range(batch.num_rows):
-                r = batch.slice(i, 1).to_pylist()[0]
-                whole = np.concatenate([matrix(p["data"], p["cnt"]) for p in r["all"]])
-                k = product(whole, matrix(r["data"], r["cnt"]), kernel, store)
-                values = [(0, pa.int32()), (r["blk"], pa.int32()), (r["blk"], pa.int32()), (0, pa.int64()), (r["lo"], pa.int64()), (n, pa.int32()), (r["cnt"], pa.int32()), (k.tobytes(), pa.binary())]
-                yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
+        mine = None
+        for r in rows_of(batches):
+            x = matrix(r["data"], r["cnt"])
+            if r["side"] == 0:
+                mine = (r["rank"], r["lo"], x.copy())
+            if mine is not None and mine[0] == r["rank"]:  # a worker beyond the last block owns no panel
+                step = max(1, STRIP_BYTES // (8 * len(mine[2])))
+                for lo in range(0, len(x), step):
+                    yield tile_row(r["blk"], mine[0], mine[0], r["lo"] + lo, mine[1], product(x[lo : lo + step], mine[2], kernel, store))
 
-    return pairs.mapInArrow(run, TILE)
+    return at.mapInArrow(run, TILE)
 
 
-def regrid(tiles: DataFrame, grid: GridSpec, store: StoreSpec) -> DataFrame:
-    """Re-lay tiles to column panels: every tile is cut by fine column block and all of K is shuffled to the panels' owners."""
+def regrid(at: DataFrame, kernel: KernelSpec, grid: GridSpec, store: StoreSpec) -> DataFrame:
+    """Tiles re-laid to column panels: strips are cut by fine column block and all of K moves once, to the panels' owners."""
 
     def cut(batches):
-        for batch in batches:
-            for i in range(batch.num_rows):
-                r = batch.slice(i, 1).to_pylist()[0]
-                k = matrix(r["data"], r["rows"], store.stored)
-                for f in grid.row_blocks(r["bj"]):
-                    lo, hi = grid.bounds(f)
+        for _, bi, bj, lo_i, lo_j, k in products(batches, kernel, store):
+            both = [(bj, lo_i, lo_j, k)]
+            if store.symmetric and bi != bj:
+                both.append((bi, lo_j, lo_i, k.T))
+            for col, lo_r, lo_c, part in both:
+                for f in grid.row_blocks(col):
+                    lo, hi = (min(max(b, lo_c), lo_c + part.shape[1]) for b in grid.bounds(f))
                     if lo < hi:
-                        part = np.ascontiguousarray(k[:, lo - r["lo_j"] : hi - r["lo_j"]])
-                        values = [(r["bi"], pa.int32()), (f, pa.int32()), (f, pa.int32()), (r["lo_i"], pa.int64()), (lo, pa.int64()), (r["rows"], pa.int32()), (hi - lo, pa.int32()), (part.tobytes(), pa.binary())]
-                        yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in values], ["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
-
-    def join(table: pa.Table) -> pa.Table:
-        parts = sorted(table.to_pylist(), key=lambda r: r["bi"])
-        first = parts[0]
-        raw = b"".join(p["data"] for p in parts)
-        values = [(0, pa.int32()), (first["bj"], pa.int32()), (first["bj"], pa.int32()), (0, pa.int64()), (first["lo_j"], pa.int64()), (sum(p["rows"] for p in parts), pa.int32()), (first["cols"], pa.int32()), (raw, pa.binary())]
-        return pa.table([pa.array([v], t) for v, t in values], names=["bi", "bj", "rank", "lo_i", "lo_j", "rows", "cols", "data"])
-
-    return tiles.mapInArrow(cut, TILE).groupBy("rank").applyInArrow(join, TILE)
-
+                        yield tile_row(0, f, f, lo_r, lo, part[:, lo - lo_c : hi - lo_c])
 
-def pin(tiles: DataFrame, parts: int) -> DataFrame:
-    """Put each tile on the partition of its rank and keep it there for all sweeps."""
-    placed = tiles.repartitionById(parts, F.col("rank")) if hasattr(tiles, "repartitionById") else tiles.repartition(parts, "rank")
-    return placed.persist()
+    return by_rank(at.mapInArrow(cut, TILE), grid.p)

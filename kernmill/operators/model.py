@@ -13,9 +13,14 @@ from pyspark.sql import functions as F
 from ..functions.kernels import KernelSpec, polynomial
 from ..plans.layout import LoopSpec, StoreSpec
 from ..plans.planner import choose as plan
-from ..sources.store import read_json_row, write_json_row
+from ..sources.store import materialize, read_json_row, write_json_row
 from . import baselines, engines
-from .gram import product
+from .gram import cell, product
+
+
+#: Training points up to this many bytes are copied to every worker for scoring; beyond it blocks of queries meet blocks of training points.
+COPY_BYTES = 1 << 28
+QUERY_BLOCK = 4096
 
 
 @dataclass
@@ -28,36 +33,61 @@ class KernelClusterModel:
     sizes: np.ndarray
     norms: np.ndarray
     kernel: KernelSpec
+    copy_bytes: int = COPY_BYTES
 
-    def _packed(self) -> tuple[np.ndarray, np.ndarray]:
-        rows = self.points.join(self.labels, "idx").select("idx", "x", "cl").orderBy("idx").toPandas()
-        return np.array(rows["x"].tolist()), rows["cl"].to_numpy()
+    def _size(self) -> int:
+        return self.points.agg(F.sum(F.size("x").cast("long") * 8)).first()[0] or 0
 
     def scorer(self, id_col: str):
-        """(function for mapInArrow over (id, x), schema): kernel means of each row against the training points."""
-        x, cl = self._packed()
-        sent = self.spark.sparkContext.broadcast((x, cl, self.norms, self.sizes))
-        kernel, store = self.kernel, StoreSpec()
+        """(function for mapInArrow over (id, x), schema): kernel means of each row against a copy of the training points; refuses more than ``copy_bytes`` of them."""
+        if self._size() > self.copy_bytes:
+            raise ValueError(f"the training points take over {self.copy_bytes} bytes: score batches with assign, or fit with lloyd or lift, whose models are k means")
+        rows = self.points.join(self.labels, "idx").select("idx", "x", "cl").orderBy("idx").toPandas()
+        sent = self.spark.sparkContext.broadcast((np.array(rows["x"].tolist()), rows["cl"].to_numpy()))
+        kernel, store, sizes, norms = self.kernel, StoreSpec(), self.sizes, self.norms
 
         def run(batches):
-            train, own, norms, sizes = sent.value
+            train, own = sent.value
             hot = np.zeros((len(own), len(sizes)))
             hot[np.arange(len(own)), own] = 1.0 / np.maximum(sizes, 1)[own]
             for batch in batches:
                 if batch.num_rows:
                     q = np.array(batch.column(1).to_pylist(), dtype=float)
-                    e = (product(q, train, kernel, store) @ hot).T
-                    got, d = engines.choose(e, norms, sizes, "skip")
-                    nn = np.einsum("ij,ij->i", q, q)
-                    own_value = np.array([kernel.block(np.array([[v]]), np.array([v]), np.array([v]))[0, 0] for v in nn])
-                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.int32()), pa.array(d + own_value)], [id_col, "cl", "sq_distance"])
+                    got, d = engines.choose((product(q, train, kernel, store) @ hot).T, norms, sizes, "skip")
+                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.int32()), pa.array(d + _own_values(q, kernel))], [id_col, "cl", "sq_distance"])
 
         return run, f"{id_col} long, cl int, sq_distance double"
 
     def assign(self, queries: DataFrame, id_col: str = "idx") -> DataFrame:
-        """(id, cl, sq_distance) of unseen points (id, x); also on a stream."""
-        run, schema = self.scorer(id_col)
-        return queries.select(F.col(id_col).cast("long").alias(id_col), "x").mapInArrow(run, schema)
+        """(id, cl, sq_distance) of unseen points (id, x). A stream needs training points within ``copy_bytes``; a batch does not."""
+        rows = queries.select(F.col(id_col).cast("long").alias(id_col), "x")
+        if queries.isStreaming or self._size() <= self.copy_bytes:
+            run, schema = self.scorer(id_col)
+            return rows.mapInArrow(run, schema)
+        return self._assign_by_blocks(rows, id_col)
+
+    def _assign_by_blocks(self, rows: DataFrame, id_col: str) -> DataFrame:
+        """Blocks of queries meet blocks of labelled training points pair by pair; a pair gives k sums a query, which add up by query block."""
+        k, kernel, store, sizes, norms = len(self.sizes), self.kernel, StoreSpec(), self.sizes, self.norms
+        train = materialize(_blocks(self.points.join(self.labels, "idx").select("idx", "x", "cl"), "t"))
+        asked = materialize(_blocks(rows.select(F.col(id_col).alias("idx"), "x", F.lit(0).alias("cl")), "q"))
+        many = train.agg(F.max("blk")).first()[0] + 1
+        pairs = asked.select(F.col("blk").alias("qb"), F.col("rows").alias("q"), F.explode(F.sequence(F.lit(0), F.lit(many - 1))).alias("tb")).join(train.select(F.col("blk").alias("tb"), F.col("rows").alias("t")), "tb")
+
+        def partial(batches):
+            for r in engines._rows(batches):
+                ids, x, _ = _unpacked(r["q"])
+                _, y, cl = _unpacked(r["t"])
+                yield pa.RecordBatch.from_arrays([pa.array([r["qb"]], pa.int32()), pa.array([r["tb"]], pa.int32()), cell(engines.label_sums(product(y, x, kernel, store), cl, k)), cell(ids), cell(_own_values(x, kernel))], ["qb", "tb", "sums", "ids", "own"])
+
+        def merge(table: pa.Table) -> pa.Table:
+            parts = sorted(table.to_pylist(), key=lambda r: r["tb"])
+            e = sum(np.frombuffer(r["sums"]).reshape(k, -1) for r in parts) / np.maximum(sizes, 1)[:, None]
+            cl, d = engines.choose(e, norms, sizes, "skip")
+            return pa.table([pa.array(np.frombuffer(parts[0]["ids"], np.int64)), pa.array(cl, pa.int32()), pa.array(d + np.frombuffer(parts[0]["own"]))], names=[id_col, "cl", "sq_distance"])
+
+        sums = pairs.mapInArrow(partial, "qb int, tb int, sums binary, ids binary, own binary")
+        return sums.groupBy("qb").applyInArrow(merge, f"{id_col} long, cl int, sq_distance double")
 
     def members(self, top: int) -> DataFrame:
         """The ``top`` members nearest to each cluster's centre: (cl, rank, idx, sq_distance)."""
@@ -80,49 +110,86 @@ class KernelClusterModel:
         return cls(spark, spark.read.parquet(f"{version}/points"), spark.read.parquet(f"{version}/labels"), np.array(meta["sizes"]), np.array(meta["norms"]), KernelSpec(*meta["kernel"]))
 
 
-def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "auto", loop: LoopSpec | None = None, allow_approx: bool = False, workers: int = 4, **options) -> tuple[KernelClusterModel, engines.FitResult]:
-    """Fit by the named engine or the planner's choice; the model and how it was reached."""
+def _own_values(x: np.ndarray, kernel: KernelSpec) -> np.ndarray:
+    """K(i, i) of each row."""
+    nn = np.einsum("ij,ij->i", x, x)
+    return np.array([kernel.block(np.array([[v]]), np.array([v]), np.array([v]))[0, 0] for v in nn])
+
+
+def _blocks(rows: DataFrame, name: str) -> DataFrame:
+    """(blk, rows): lists of (idx, x, cl) of about QUERY_BLOCK rows, dealt by hash of idx."""
+    number = max(1, -(-rows.count() // QUERY_BLOCK))
+    dealt = rows.select(F.pmod(F.xxhash64("idx", F.lit(name)), F.lit(number)).cast("int").alias("blk"), F.struct(F.col("idx").cast("long").alias("idx"), "x", F.col("cl").cast("int").alias("cl")).alias("r"))
+    return dealt.groupBy("blk").agg(F.array_sort(F.collect_list("r")).alias("rows"))
+
+
+def _unpacked(rows: list[dict]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return np.array([r["idx"] for r in rows], np.int64), np.array([r["x"] for r in rows], float), np.array([r["cl"] for r in rows], np.int32)
+
+
+@dataclass
+class MeansModel:
+    """k means in an explicit feature space (lloyd, lift, landmark): what a fit without K leaves, whatever the number of points."""
+
+    spark: SparkSession
+    feature: baselines.Feature
+    means: np.ndarray
+    sizes: np.ndarray
+
+    def scorer(self, id_col: str):
+        feature, means, sizes = self.feature, self.means, self.sizes
+        norms = (means * means).sum(axis=1)
+
+        def run(batches):
+            for batch in batches:
+                if batch.num_rows:
+                    f = feature(np.array(batch.column(1).to_pylist(), dtype=float))
+                    cl, d = engines.choose(means @ f.T, norms, sizes, "skip")
+                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(cl, pa.int32()), pa.array(d + (f * f).sum(axis=1))], [id_col, "cl", "sq_distance"])
+
+        return run, f"{id_col} long, cl int, sq_distance double"
+
+    def assign(self, queries: DataFrame, id_col: str = "idx") -> DataFrame:
+        """(id, cl, sq_distance) of unseen points (id, x); also on a stream."""
+        run, schema = self.scorer(id_col)
+        return queries.select(F.col(id_col).cast("long").alias(id_col), "x").mapInArrow(run, schema)
+
+    def save(self, path: str) -> None:
+        """As the kernel model's: a fresh version, then the pointer."""
+        version = f"{path}/{uuid.uuid4().hex}"
+        spec, base = self.feature.kernel, self.feature.base
+        meta = {"means": self.means.tolist(), "sizes": [int(s) for s in self.sizes], "kernel": [spec.name, spec.gamma, spec.coef0, spec.degree]}
+        if base is not None:
+            meta |= {"base": base.tolist(), "onto": self.feature.onto.tolist()}
+        write_json_row(self.spark, meta, f"{version}/meta")
+        write_json_row(self.spark, {"version": version}, f"{path}/current")
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> MeansModel:
+        meta = read_json_row(spark, read_json_row(spark, f"{path}/current")["version"] + "/meta")
+        extra = [np.array(meta[name]) if name in meta else None for name in ("base", "onto")]
+        return cls(spark, baselines.Feature(KernelSpec(*meta["kernel"]), *extra), np.array(meta["means"]), np.array(meta["sizes"]))
+
+
+def fit(points: DataFrame, k: int, kernel: KernelSpec | None = None, engine: str = "auto", loop: LoopSpec | None = None, allow_approx: bool = False, workers: int = 4, **options):
+    """Fit by the named engine or the planner's choice: the model and how it was reached."""
     kernel = kernel or polynomial()
     n, d = engines.validate(points, k)
     if engine == "auto":
         engine = plan(n, d, k, workers, kernel, allow_approx=allow_approx).engine
-    if engine == "lloyd":
-        result = baselines.lloyd(points, k, loop)
-    elif engine == "lift":
-        result = baselines.lift(points, k, kernel, loop)
-    elif engine == "landmark":
-        result = baselines.landmark(points, k, kernel, loop=loop, **options)
-    else:
-        result = engines.fit(points, k, kernel, engine, loop=loop, **options)
+    if engine in ("lloyd", "lift", "landmark"):
+        given = () if engine == "lloyd" else (kernel,)
+        result = getattr(baselines, engine)(points, k, *given, loop=loop, **options)
+        return MeansModel(points.sparkSession, result.feature, result.means, result.sizes), result
+    result = engines.fit(points, k, kernel, engine, loop=loop, finish=True, **options)
     return frozen(points, result, kernel), result
 
 
-def _fits(points: DataFrame, limit_bytes: int = 1 << 31) -> None:
-    """Scoring copies the training points to every worker; raises where that is too much."""
-    size = points.agg(F.sum(F.size("x") * F.lit(8))).first()[0] or 0
-    if size > limit_bytes:
-        raise ValueError(f"the training points take {size} bytes; fit on a sample, or use lloyd or lift, whose models are k means")
-
-
 def frozen(points: DataFrame, result: engines.FitResult, kernel: KernelSpec) -> KernelClusterModel:
-    """Model of a result's final labels, with norms computed for these labels from all pairs of members, block by block."""
-    from ..plans.layout import matrix, to_blocks
-
-    _fits(points)
-    blocks = to_blocks(points, baselines.STEP)
-    rows = points.select("idx", "x").orderBy("idx").toPandas()
-    sent = points.sparkSession.sparkContext.broadcast((np.array(rows["x"].tolist()), result.labels, result.sizes))
-    k, store = result.k, StoreSpec()
-
-    def run(batches):
-        for r in engines._rows(batches):
-            x, cl, sizes = sent.value
-            sums = engines.label_sums(product(x, matrix(r["data"], r["cnt"]), kernel, store), cl, k)
-            yield engines._e_row(r["blk"], r["lo"], *engines.mask_and_partial(sums, cl[r["lo"] : r["lo"] + r["cnt"]], sizes))
-
-    parts = blocks.mapInArrow(run, engines.E_BLOCK).select("owner", "part").collect()
-    norms = np.sum([np.frombuffer(r.part) for r in sorted(parts, key=lambda r: r.owner)], axis=0) / np.maximum(result.sizes, 1)
-    return KernelClusterModel(points.sparkSession, points.select("idx", "x"), result.labels_df(), result.sizes, norms, kernel)
+    """Model of a result's final labels; the result must have been fitted with ``finish``."""
+    if not result.final:
+        raise ValueError("the norms are not those of the final labels: fit with finish=True")
+    return KernelClusterModel(points.sparkSession, points.select("idx", "x"), result.labels_df(), result.sizes, result.norms, kernel)
 
 
 def latest_before(events: DataFrame, versions: DataFrame, by: str, at: str, since: str, value: str) -> DataFrame:

@@ -114,12 +114,18 @@ def weak_plan(spark: SparkSession, base: int = 96_000, workers=(1, 4, 16, 64, 25
     return spark.createDataFrame([(w,) for w in workers], "p long").select("p", F.round(F.sqrt("p") * base).cast("long").alias("n")).withColumn("kernel_bytes_per_worker", (4 * F.col("n") * F.col("n") / F.col("p")))
 
 
-def exact_traffic(engine: str, n: int, d: int, k: int, g: int, sweeps: int, workers: int | None = None) -> dict[tuple[str, str], int]:
-    """Words that our engines count, by (stage, item)."""
-    p = g * g if workers is None else workers
+def replicating(copies: float) -> tuple[Column, Column]:
+    """(replication words, sweep words) of 1.5-D products that hold ``copies`` replicas of the dense operand while the first one stays: K itself would be copied."""
+    n, d, k, p, root = _terms()
+    return n * n * copies / p, n * k * copies / p + n * k / copies
+
+
+def expected(engine: str, n: int, d: int, k: int, g: int, sweeps: int) -> dict[tuple[str, str], int]:
+    """Orders of the published costs in words of all workers together, beside which measured traffic can be put."""
+    p = g * g
     return {
-        "panel_1d": {("kernel", "points"): p * n * d, ("sweep", "labels"): sweeps * p * n, ("sweep", "norms_sizes"): sweeps * 2 * p * k},
-        "regrid_h1d": {("kernel", "points"): 2 * g * n * d, ("kernel", "regrid"): n * n, ("sweep", "labels"): sweeps * p * n, ("sweep", "norms_sizes"): sweeps * 2 * p * k},
-        "tile_2d": {("kernel", "points"): 2 * g * n * d, ("sweep", "labels"): sweeps * 2 * g * n, ("sweep", "pieces"): sweeps * g * n * k, ("sweep", "minimum_pairs"): sweeps * 2 * g * n, ("sweep", "sizes"): sweeps * g * k},
-        "mixed_15d": {("kernel", "points"): 2 * g * n * d, ("sweep", "labels"): sweeps * g * n, ("sweep", "pieces"): sweeps * g * n * k, ("sweep", "norms_sizes"): sweeps * 2 * p * k},
+        "panel_1d": {("kernel", "points"): p * n * d, ("sweep", "labels"): sweeps * p * n},
+        "regrid_h1d": {("kernel", "points"): 2 * g * n * d, ("kernel", "regrid"): n * n, ("sweep", "labels"): sweeps * p * n},
+        "tile_2d": {("kernel", "points"): 2 * g * n * d, ("sweep", "labels"): sweeps * g * n, ("sweep", "pieces"): sweeps * g * n * k, ("sweep", "minimum_pairs"): sweeps * 2 * g * n},
+        "mixed_15d": {("kernel", "points"): 2 * g * n * d, ("sweep", "labels"): sweeps * g * n, ("sweep", "pieces"): sweeps * g * n * k},
     }[engine]

@@ -69,6 +69,8 @@ class LoopSpec:
     v: str = "dense"
     checkpoint: str | None = None
     checkpoint_every: int = 10
+    resume: bool = False
+    barrier: bool = False
 
     def __post_init__(self):
         for value, allowed in ((self.empty, ("skip", "origin", "reseed", "error")), (self.copy_v, ("broadcast", "row_join", "diagonal")), (self.split, ("points", "clusters")), (self.v, ("dense", "sparse"))):

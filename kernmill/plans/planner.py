@@ -19,7 +19,7 @@ def lift_dim(d: int) -> int:
 
 
 def choose(n: int, d: int, k: int, workers: int, kernel: KernelSpec, storage_bytes: float = 1e14, flops_budget: float = 1e18, sweeps: int = 100, symmetric: bool = True, allow_approx: bool = False) -> Plan:
-    """linear -> lloyd; a small exact lift -> lift; K within storage -> mixed_15d; K within time -> window; else landmark where approximation is allowed."""
+    """linear -> lloyd; a small exact lift -> lift; K within storage -> mixed_15d; K within time -> fused; else landmark where approximation is allowed."""
     if kernel.name == "linear":
         return Plan("lloyd", "a linear kernel needs n * k * d work, not n * n")
     if kernel.name == "polynomial" and kernel.degree == 2 and kernel.gamma > 0 and kernel.coef0 >= 0 and lift_dim(d) * k * n < n * n:
@@ -29,7 +29,7 @@ def choose(n: int, d: int, k: int, workers: int, kernel: KernelSpec, storage_byt
         return Plan("mixed_15d", f"K takes {need:.3g} bytes, within {storage_bytes:.3g}")
     work = 2.0 * n * n * d * sweeps
     if work <= flops_budget * workers:
-        return Plan("window", f"K is too large to keep, but {work:.3g} operations recompute it in every sweep")
+        return Plan("fused", f"K is too large to keep, but {work:.3g} operations recompute it in every sweep")
     if allow_approx:
         return Plan("landmark", f"K would take {need:.3g} bytes; landmarks approximate it", False)
     raise ValueError(f"exact clustering needs {need:.3g} bytes or {work:.3g} operations; allow_approx=True permits landmarks")

@@ -22,11 +22,13 @@ def read(spark: SparkSession, path: str, kind: str = "parquet", schema: str | No
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; an own temporary one only where none is set."""
+    """The cluster's shared folder; an own temporary one where none is set and all runs on this machine, else an error."""
     global _own
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     if _own is None:
         _own = tempfile.mkdtemp(prefix="kernmill-")
     return _own
@@ -50,6 +52,24 @@ def read_tiles(spark: SparkSession, path: str, column: int | None = None) -> Dat
     return tiles if column is None else tiles.where(tiles.bj == column)
 
 
+def latest_sweep(spark: SparkSession, path: str, n: int):
+    """(sweep, labels int32 by idx) of the last whole checkpoint under ``path``; (0, None) without one."""
+    import numpy as np
+
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = hadoop.getFileSystem(spark._jsc.hadoopConfiguration())
+    found = [f.getPath() for f in fs.listStatus(hadoop)] if fs.exists(hadoop) else []
+    whole = [int(f.getName()[6:]) for f in found if f.getName().startswith("sweep=") and fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f, "_SUCCESS"))]
+    if not whole:
+        return 0, None
+    labels = np.zeros(n, np.int32)
+    rows = spark.read.parquet(f"{path}/sweep={max(whole)}").toPandas()
+    if len(rows) != n:
+        raise ValueError(f"{path} holds labels of {len(rows)} points, not {n}")
+    labels[rows["idx"].to_numpy()] = rows["cl"].to_numpy()
+    return max(whole), labels
+
+
 def write_runs(runs: DataFrame, path: str) -> None:
     runs.write.mode("append").parquet(path)
 

@@ -64,15 +64,15 @@ def gram_values(kernel: KernelSpec, whole: bool = False):
 def gram_tiles_checksum(spark, sf_dir):
     p = points.emb(spark, sf_dir)
     grid, store = GridSpec(p.count(), 2), StoreSpec()
-    tiles = gram.tiles_by_join(to_blocks(p, grid.step * grid.g), POLY, grid, store)
 
-    @F.udf("double")
-    def total(data):
-        import numpy as np
+    def totals(batches):
+        import pyarrow as pa
 
-        return float(np.frombuffer(data).sum())
+        for _, bi, bj, _, _, k in gram.products(batches, POLY, store):
+            yield pa.RecordBatch.from_arrays([pa.array([bi], pa.int32()), pa.array([bj], pa.int32()), pa.array([k.size], pa.int64()), pa.array([float(k.sum())])], ["bi", "bj", "cells", "total"])
 
-    return tiles.select("bi", "bj", (F.col("rows").cast("long") * F.col("cols")).alias("cells"), r6(total("data")).alias("total"))
+    strips = gram.placed(to_blocks(p, grid.step * grid.g), grid, store).mapInArrow(totals, "bi int, bj int, cells long, total double")
+    return strips.groupBy("bi", "bj").agg(F.sum("cells").alias("cells"), r6(F.sum("total")).alias("total"))
 
 
 def gram_symmetric_half(spark, sf_dir):
@@ -84,12 +84,12 @@ def gram_symmetric_half(spark, sf_dir):
     grid, store = GridSpec(p.count(), 2), StoreSpec(symmetric=True)
 
     def sums(batches):
-        for r in engines._rows(batches):
-            s = np.frombuffer(r["data"]).reshape(r["rows"], -1).sum(axis=1)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(r["lo_i"], r["lo_i"] + r["rows"])), pa.array(s)], ["i", "s"])
+        for _, bi, bj, lo_i, lo_j, k in gram.products(batches, POLY, store):
+            for lo, part in [(lo_i, k.sum(axis=1))] + ([(lo_j, k.sum(axis=0))] if bi != bj else []):
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(lo, lo + len(part))), pa.array(part)], ["i", "s"])
 
-    tiles = gram.tiles_by_join(to_blocks(p, grid.step * grid.g), POLY, grid, store)
-    return tiles.mapInArrow(sums, "i long, s double").groupBy("i").agg(r6(F.sum("s")).alias("row_sum"))
+    at = gram.placed(to_blocks(p, grid.step * grid.g), grid, store)
+    return at.mapInArrow(sums, "i long, s double").groupBy("i").agg(r6(F.sum("s")).alias("row_sum"))
 
 
 def _diagonal(spark, sf_dir):
@@ -171,13 +171,13 @@ def docbag_points(spark, sf_dir):
 def assign_holdout(spark, sf_dir):
     rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
     train = points.dense_index(rows.where("vec_id % 5 <> 0"), ["vec_id"]).select("idx", "x")
-    fitted = engines.fit(train, 10, loop=LoopSpec(max_iter=12))
-    return model.frozen(train, fitted, POLY).assign(rows.where("vec_id % 5 = 0"), "vec_id").select("vec_id", "cl")
+    fitted, _ = model.fit(train, 10, POLY, "mixed_15d", LoopSpec(max_iter=12))
+    return fitted.assign(rows.where("vec_id % 5 = 0"), "vec_id").select("vec_id", "cl")
 
 
 def _emb_model(spark, sf_dir):
     p = points.emb(spark, sf_dir)
-    return model.frozen(p, engines.fit(p, 10, loop=LoopSpec(max_iter=17)), POLY)
+    return model.fit(p, 10, POLY, "mixed_15d", LoopSpec(max_iter=17))[0]
 
 
 def nearest_members_topk(spark, sf_dir):

@@ -70,10 +70,65 @@ def test_membership_invariants(spark):
     assert all(abs(r.s - 1) < 1e-12 for r in t.groupBy("cl").agg(F.sum("w").alias("s")).collect())
 
 
-@pytest.mark.parametrize("engine", ["panel_1d", "regrid_h1d", "tile_2d", "mixed_15d"])
-def test_traffic_is_as_modelled(spark, engine):
-    got = engines.fit(frame(spark, data(52)), 5, engine=engine, g=2, loop=LoopSpec(max_iter=2, fixed=True))
-    assert {(s, i): w for s, i, w, _ in got.traffic} == costs.exact_traffic(engine, 52, 4, 5, 2, 2)
+MEASURED = {  # n = 52, d = 4, k = 5, two sweeps on a grid of 2 x 2
+    "panel_1d": {("kernel", "points"): 4 * 52 * 4},
+    "regrid_h1d": {("kernel", "points"): 2 * 2 * 52 * 4, ("kernel", "regrid"): 52 * 52},
+    "tile_2d": {("kernel", "points"): 2 * 2 * 52 * 4, ("sweep", "pieces"): 2 * 2 * 52 * 5, ("sweep", "minimum_pairs"): 2 * (2 * (52 + 52 // 2) + 4 * 5)},
+    "mixed_15d": {("kernel", "points"): 2 * 2 * 52 * 4, ("sweep", "pieces"): 2 * 2 * 52 * 5},
+}
+
+
+@pytest.mark.parametrize("engine", list(MEASURED))
+@pytest.mark.parametrize("barrier", [False, True])
+def test_traffic_read_from_the_plans(spark, engine, barrier):
+    """Words that passed the exchanges of the executed plans: a stray shuffle of K, 2,704 words, would show."""
+    got = engines.fit(frame(spark, data(52)), 5, engine=engine, g=2, loop=LoopSpec(max_iter=2, fixed=True, barrier=barrier))
+    want = MEASURED[engine] | {("sweep", "labels"): 2 * 4 * 52, ("sweep", "norms_sizes"): 2 * 2 * 4 * 5}
+    assert {(s, i): w for s, i, w, _ in got.traffic} == want
+
+
+@pytest.mark.parametrize("engine", ["mixed_15d", "tile_2d", "panel_1d"])
+@pytest.mark.parametrize("symmetric", [False, True])
+def test_tiles_are_made_where_they_stay(spark, engine, symmetric):
+    """The product is the last step before the cache: no exchange carries K."""
+    run = engines.make(engine, frame(spark, data()), 5, polynomial(), GridSpec(53, 2), LoopSpec(), StoreSpec(symmetric=symmetric), 4)
+    run.prepare()
+    plan = run.held[0]._jdf.queryExecution().executedPlan().toString()
+    cached = plan[plan.index("InMemoryRelation") :]
+    assert "MapInArrow" in cached and "Exchange" not in cached[: cached.index("MapInArrow")]
+    assert run.held[0].rdd.getNumPartitions() == gram.tile_count(GridSpec(53, 2), StoreSpec(symmetric=symmetric and engine != "panel_1d"))
+    run.close()
+
+
+def test_barrier_and_two_passes_agree(spark):
+    x = frame(spark, data())
+    for engine in ("panel_1d", "tile_2d", "mixed_15d", "fused"):
+        one, two = (engines.fit(x, 5, engine=engine, loop=LoopSpec(max_iter=4, barrier=b)) for b in (True, False))
+        assert one.labels.tolist() == two.labels.tolist() and one.history[-1][2] == two.history[-1][2]
+
+
+def test_strips_bound_the_cells(monkeypatch):
+    assert [k.shape for *_, k in gram.products(_placed_batches(), polynomial(), StoreSpec(), 3)] == [(3, 4), (1, 4)]
+    monkeypatch.setattr(gram, "STRIP_BYTES", 8 * 4 * 2)
+    assert [k.shape for *_, k in gram.products(_placed_batches(), polynomial(), StoreSpec())] == [(2, 4), (2, 4)]
+
+
+def _placed_batches():
+    import pyarrow as pa
+
+    for side in (0, 1):
+        values = [(0, pa.int32()), (side, pa.int32()), (0, pa.int32()), (0, pa.int64()), (4, pa.int32())]
+        yield pa.RecordBatch.from_arrays([*[pa.array([v], t) for v, t in values], gram.cell(data(4))], ["rank", "side", "blk", "lo", "cnt", "data"])
+
+
+def test_resume_from_labels(spark, tmp_path):
+    x = frame(spark, data())
+    keep = {"fixed": True, "checkpoint": str(tmp_path / "labels"), "checkpoint_every": 2}
+    engines.fit(x, 5, loop=LoopSpec(max_iter=4, **keep))
+    (tmp_path / "labels" / "sweep=6").mkdir()  # never finished: no _SUCCESS
+    again = engines.fit(x, 5, loop=LoopSpec(max_iter=5, resume=True, **keep))
+    assert [h[0] for h in again.history] == [5]
+    assert again.labels.tolist() == engines.fit(x, 5, loop=LoopSpec(max_iter=5, fixed=True)).labels.tolist()
 
 
 def test_piece_owners():
@@ -85,14 +140,13 @@ def test_piece_owners():
         GridSpec.of_workers(10, 5)
 
 
-def test_sweep_leaves_tiles_in_place(spark):
-    x = frame(spark, data())
-    run = engines.make("mixed_15d", x, 5, polynomial(), GridSpec(53, 2), LoopSpec(), StoreSpec(), 4)
+def test_sweep_has_one_shuffle(spark):
+    run = engines.make("mixed_15d", frame(spark, data()), 5, polynomial(), GridSpec(53, 2), LoopSpec(), StoreSpec(), 4)
     run.prepare()
-    labels = np.arange(53) % 5
-    plan = run.means(labels.astype(np.int32), np.bincount(labels))._jdf.queryExecution().executedPlan().toString()
-    above = plan.split("InMemoryTableScan")[0]
-    assert above.count("Exchange") == 1
+    labels = (np.arange(53) % 5).astype(np.int32)
+    source, to_e = run.means(labels, np.bincount(labels))
+    plan = source._jdf.queryExecution().executedPlan().toString()
+    assert plan.split("InMemoryTableScan")[0].count("Exchange") == 1
     run.close()
 
 
@@ -158,6 +212,7 @@ def test_planner():
     assert planner.choose(10**9, 64, 10, 4, linear()).engine == "lloyd"
     assert planner.choose(10**9, 64, 10, 4, polynomial()).engine == "lift"
     assert planner.choose(10**5, 64, 10, 4, rbf()).engine == "mixed_15d"
+    assert planner.choose(2 * 10**7, 100, 16, 100, rbf()).engine == "fused"  # refuses no number of points
     with pytest.raises(ValueError):
         planner.choose(10**11, 64, 10, 4, rbf())
     assert not planner.choose(10**11, 64, 10, 4, rbf(), allow_approx=True).exact
@@ -184,6 +239,54 @@ def test_model_round_trip(spark, tmp_path):
     assert again.assign(q).collect() == fitted.assign(q).collect()
 
 
+def test_scoring_by_blocks_equals_scoring_by_copies(spark, monkeypatch):
+    p, q = frame(spark, data(40)), frame(spark, data(25, seed=2))
+    fitted, result = model.fit(p, 4, rbf(0.5), "mixed_15d", LoopSpec(max_iter=3))
+    assert result.final
+    want = {r.idx: (r.cl, round(r.sq_distance, 9)) for r in fitted.assign(q).collect()}
+    fitted.copy_bytes = 0
+    monkeypatch.setattr(model, "QUERY_BLOCK", 7)
+    assert {r.idx: (r.cl, round(r.sq_distance, 9)) for r in fitted.assign(q).collect()} == want
+    with pytest.raises(ValueError, match="k means"):
+        fitted.scorer("idx")
+
+
+@pytest.mark.parametrize("engine", ["lloyd", "lift", "landmark"])
+def test_models_of_means(spark, tmp_path, engine):
+    p = frame(spark, data(40))
+    fitted, result = model.fit(p, 4, polynomial(), engine)
+    fitted.save(str(tmp_path / engine))
+    again = model.MeansModel.load(spark, str(tmp_path / engine)).assign(p)
+    assert [r.cl for r in sorted(again.collect())] == result.labels.tolist()
+
+
+@pytest.mark.parametrize("empty", ["skip", "origin", "reseed"])
+def test_means_without_kept_labels(spark, monkeypatch, empty):
+    """Labels made anew in every scan, sums over more tasks than one: as the kernel engines."""
+    monkeypatch.setattr(baselines, "FANIN", 1)
+    p = frame(spark, data()).repartition(3)
+    loop = LoopSpec(max_iter=5, empty=empty)
+    one, other = baselines.lift(p, 9, loop=loop), engines.fit(p, 9, loop=loop)
+    assert one.labels.tolist() == other.labels.tolist()
+    assert [h[1] for h in one.history] == [h[1] for h in other.history]
+    assert np.allclose([h[2] for h in one.history], [h[2] for h in other.history])
+
+
+def test_one_task_window_refuses_what_does_not_fit(spark):
+    with pytest.raises(ValueError, match="fused"):
+        engines.fit(frame(spark, data()), 5, engine="window", limit=100)
+
+
+def test_shared_folder_is_asked_for_on_a_cluster():
+    from types import SimpleNamespace
+
+    from kernmill.sources import store
+
+    cluster = SimpleNamespace(conf=SimpleNamespace(get=lambda *a: None), sparkContext=SimpleNamespace(master="spark://host:7077"))
+    with pytest.raises(ValueError, match="share"):
+        store.shared_dir(cluster)
+
+
 def test_blocks_round_trip(spark):
     x = data(10)
     got = {r.idx: r.x for r in from_blocks(to_blocks(frame(spark, x), 3)).collect()}
