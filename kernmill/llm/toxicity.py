@@ -1,14 +1,15 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are learnt: one from ordinary text, one from toxic
+Two dictionaries are trained by zstandard: one on ordinary text, one on toxic
 text. A text is cut into windows at blanks, each window compressed with both;
 the bytes that the toxic dictionary saves, at most, summed and by steps, are the
 distance, and a logistic curve fitted on labelled texts calibrates them.
 
-The toxic dictionary is the ordinary one with the toxic passages in front:
-passages are the words around byte runs that labelled toxic texts hold far more
-often than ordinary ones, so that a saving means a passage of that kind and
-nothing else.
+Toxic texts are mostly ordinary prose, and a dictionary trained on all of their
+bytes learns that prose. So the toxic one is trained on their marking passages,
+the stretches of words that labelled toxic texts hold far more often than
+ordinary ones, and compresses together with the ordinary one: what it saves over
+the ordinary one alone it saves on such passages.
 
 Fitting uses a bounded sample of labelled rows (``sample`` per class, by hash of
 doc_id); scoring covers whole texts. Null and empty texts have distance 0;
@@ -30,6 +31,7 @@ from pyspark.sql import functions as F
 from .common import byte_slices
 
 SAMPLE, WINDOW, LEVEL, RUN = 4000, 64, 9, 5
+SIZE, TOXIC_SIZE, SEGMENT, MATCH = 8192, 2048, 24, 6
 STEPS, FOLDS = (2, 3, 4, 5, 6), 3
 _LETTERS = re.compile(r"[^\W\d_]+")
 _cache: dict = {}
@@ -50,11 +52,11 @@ def windows(text: str, size: int = WINDOW) -> list[bytes]:
 
 
 def savings(text: str | None, ordinary, toxic) -> list[float]:
-    """Largest saving of a window (12 at most), logarithms of how many windows save at least each of STEPS bytes, of their sum, and of all windows."""
+    """Largest saving of a window, logarithms of how many windows save at least each of STEPS bytes, of their sum, and of all windows."""
     parts = windows(text or "")
     gains = [len(ordinary.compress(p)) - len(toxic.compress(p)) for p in parts]
     return [
-        min(12.0, max(gains, default=0)),
+        float(max(gains, default=0)),
         *[math.log1p(sum(g >= s for g in gains)) for s in STEPS],
         math.log1p(sum(g - 1 for g in gains if g > 1)),
         math.log1p(len(parts)),
@@ -120,23 +122,35 @@ def toxic_runs(toxic: list[str], ordinary: list[str], least: int = 3, odds: floa
     return {g: n for g, n in some.items() if n / max(1, len(toxic)) >= odds * (against[g] + 0.5) / max(1, len(ordinary))}
 
 
-def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = 8192) -> dict[str, bytes]:
-    """Contents of both dictionaries: ``size`` bytes learnt from ordinary text, and all passages found before them."""
+def _trained(size: int, samples: list[bytes], **options) -> bytes:
+    """Content of a dictionary trained by zstandard, without the tables before it; of samples too few to train on, their last ``size`` bytes."""
     import zstandard
 
-    pieces = [w for t in ordinary for w in windows(t)]
     try:
-        base = zstandard.train_dictionary(size, pieces).as_bytes()
-    except zstandard.ZstdError:  # too little text to train on
-        base = b" ".join(pieces)[-size:]
-    base = base[base.find(b" ") :] if base[:4] == b"\x37\xa4\x30\xec" else base
+        got = zstandard.train_dictionary(size, samples, **options).as_bytes()
+    except zstandard.ZstdError:
+        return b" ".join(samples)[-size:]
+    return got[got.find(b" ") :] if got[:4] == b"\x37\xa4\x30\xec" else got
+
+
+def passages(toxic: list[str], ordinary: list[str]) -> list[list[str]]:
+    """The marking passages of each toxic text that has any, as often as they occur."""
     runs = toxic_runs(toxic, ordinary)
-    marks: Counter = Counter()
-    for t in toxic:
-        for w in set(_LETTERS.findall(t.lower())):
-            marks.update(marked(w, runs))
-    parts = [m.encode() for m, _ in sorted(marks.items(), key=lambda m: (-m[1], m[0]))]
-    return {"ordinary": base, "toxic": b"".join(reversed(parts)) + base}
+    found = [[m for w in _LETTERS.findall(t.lower()) for m in marked(w, runs)] for t in toxic]
+    return [f for f in found if f]
+
+
+def train_dictionaries(toxic: list[str], ordinary: list[str], size: int = SIZE, toxic_size: int = TOXIC_SIZE) -> dict[str, bytes]:
+    """Contents of both dictionaries: that of ordinary text, and that of toxic text with the ordinary one behind it.
+
+    Passages that training leaves out, as rare ones or for want of room, are put in front.
+    """
+    base = _trained(size, [w for t in ordinary for w in windows(t)])
+    found = passages(toxic, ordinary)
+    learnt = _trained(toxic_size, [" ".join(f).encode("utf-8", "replace") for f in found], k=SEGMENT, d=MATCH)
+    counts = Counter(m for f in found for m in set(f))
+    left = [m for m, _ in sorted(counts.items(), key=lambda m: (m[1], m[0])) if m.encode("utf-8", "replace") not in learnt]
+    return {"ordinary": base, "toxic": "".join(left).encode("utf-8", "replace") + learnt + base}
 
 
 def calibrate(features: np.ndarray, labels: np.ndarray, steps: int = 400) -> np.ndarray:
