@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -14,16 +15,20 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+#: Links (of two longs) up to this number have their nodes' smallest neighbours broadcast.
+BROADCAST_LINKS = 1_000_000
 _own_dir: str | None = None
 _staged: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; an own temporary one only where none is set (tests)."""
+    """The folder all executors share; an own temporary one where none is set and all runs on this machine (tests), else an error."""
     global _own_dir
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     if _own_dir is None:
         _own_dir = tempfile.mkdtemp(prefix="kernmill-")
     return _own_dir
@@ -60,6 +65,12 @@ def small_enough(df: DataFrame, rows: int) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+def salted_join(rows: DataFrame, once: DataFrame, key: str, spread: str, salts: int = 16) -> DataFrame:
+    """Inner join of ``rows`` with ``once``, which holds a key once: rows of one key go to ``salts`` tasks by hash of ``spread``."""
+    copies = once.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("_salt", F.pmod(F.xxhash64(spread), F.lit(salts)).cast("int")).join(copies, [key, "_salt"]).drop("_salt")
+
+
 def bounded_broadcast(df: DataFrame, rows: int) -> DataFrame:
     """Broadcast hint for a staged table, only where its size has been checked."""
     return F.broadcast(df) if small_enough(df, rows) else df
@@ -155,22 +166,33 @@ def components(edges: DataFrame) -> DataFrame:
 
     Alternating star contraction: each round hangs neighbours on the smallest
     neighbour until nothing moves. All rounds are staged, nothing is collected.
+    The smallest neighbours, two longs a node, are broadcast while the links are
+    few enough, so that the links of one hub need not meet in one task; beyond
+    that the links of a node are salted.
     """
 
     def smallest(e: DataFrame) -> DataFrame:
         return e.groupBy("u").agg(F.min("v").alias("m"))
 
+    def state_of(e: DataFrame):
+        return e.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
+
     links = stage(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    before = None
-    while True:
+    before = state_of(links)
+    while before.n:
+        few = before.n <= BROADCAST_LINKS
+
+        def with_least(e: DataFrame, least: DataFrame) -> DataFrame:
+            return e.join(F.broadcast(least), "u") if few else salted_join(e, least, "u", "v")
+
         both = links.union(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = smallest(both).withColumn("m", F.least("u", "m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        large = with_least(both.where("v > u"), least).select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.union(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        small = large.join(smallest(large), "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        small = with_least(large, smallest(large)).select(F.col("v").alias("u"), F.col("m").alias("v"))
         small = small.union(smallest(large).select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         links = stage(small)
-        state = links.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        state = state_of(links)
         if state == before:
             break
         before = state

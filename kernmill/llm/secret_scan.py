@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, let, stage
+from .common import bounded_broadcast, let, salted_join, small_enough, stage
 
 #: The base patterns; quantifiers of access and hex hold the least length.
 ASSIGN = r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -25,7 +25,7 @@ ACCESS = r"AKIA[A-Z0-9]{16,}"
 HEX = r"[0-9a-f]{24,}"
 OPAQUE = r"[A-Za-z0-9+/_-]{32,}"
 KINDS = ("assign", "access", "hex", "opaque")
-LIVE_OWNERS = 2
+LIVE_OWNERS, LIVE_REPOSITORIES = 2, 4
 BROADCAST_ROWS = 500_000
 _NONE = "cast(array() as array<struct<kind:int,start:bigint,end:bigint,value:string>>)"
 
@@ -81,23 +81,29 @@ def ownership(found: DataFrame) -> DataFrame:
     return owners.groupBy("value_id").agg(F.count("*").alias("owners"), F.sum("r").alias("repositories"))
 
 
-def scan(docs: DataFrame, owner: str = "source", repository: str | None = None, live_owners: int = LIVE_OWNERS) -> DataFrame:
-    """row (all of docs), text and ``spans``: array of (start, kind, end, owners, live), in order of start, then kind."""
-    found = located(docs, owner, repository)
-    held = stage(ownership(found))
-    rows = found.withColumn("ids", F.array_distinct(F.transform("found", lambda s: F.sha2(s["value"], 256))))
-    # only rows with candidates meet the counts; their key is the row itself
-    some = rows.where(F.size("found") > 0).select(F.xxhash64("row").alias("k1"), F.hash("row").alias("k2"), F.explode("ids").alias("value_id")).distinct()
-    known = some.join(bounded_broadcast(held, BROADCAST_ROWS), "value_id").groupBy("k1", "k2").agg(F.map_from_entries(F.collect_list(F.struct("value_id", "owners"))).alias("owners_of"))
-    known = bounded_broadcast(stage(known), BROADCAST_ROWS)
-    joined = rows.join(known, [F.size("found") > 0, F.xxhash64("row") == F.col("k1"), F.hash("row") == F.col("k2")], "left")
+def _key() -> list[Column]:
+    return [F.xxhash64("row").alias("k1"), F.hash("row").alias("k2")]
+
 
-    def judged(s):
-        n = F.element_at("owners_of", F.sha2(s["value"], 256))
-        return F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"), n.alias("owners"), (n <= live_owners).alias("live"))
+def scan(docs: DataFrame, owner: str = "source", repository: str | None = None, live_owners: int = LIVE_OWNERS, live_repositories: int = LIVE_REPOSITORIES) -> DataFrame:
+    """row (all of docs), text and ``spans``: array of (start, kind, end, owners, live), in order of start, then kind.
 
-    marked = F.filter(F.transform("found", judged), lambda s: (s["kind"] < 3) | s["live"])
-    return joined.select("row", "text", F.when(F.size("found") > 0, F.array_sort(marked)).otherwise(F.array_sort(marked)).alias("spans"))
+    A value is live if at most ``live_owners`` owners and ``live_repositories`` of
+    their repositories hold it. The patterns run over the texts once: rows with
+    candidates are staged, judged, and met by the hashes of whole rows.
+    """
+    whole = located(docs, owner, repository)
+    found = stage(whole.where(F.size("found") > 0).select(*_key(), "owner", "repository", "found"))
+    held = stage(ownership(found))
+    each = found.dropDuplicates(["k1", "k2"]).select("k1", "k2", F.explode("found").alias("s")).withColumn("value_id", F.sha2("s.value", 256))
+    judged = each.join(F.broadcast(held), "value_id") if small_enough(held, BROADCAST_ROWS) else salted_join(each, held, "value_id", "k1")
+    live = (F.col("owners") <= live_owners) & (F.col("repositories") <= live_repositories)
+    span = F.struct(F.col("s.start").alias("start"), F.col("s.kind").alias("kind"), F.col("s.end").alias("end"), "owners", live.alias("live"))
+    known = judged.where((F.col("s.kind") < 3) | live).groupBy("k1", "k2").agg(F.array_sort(F.collect_list(span)).alias("spans"))
+    known = bounded_broadcast(stage(known), BROADCAST_ROWS)
+    none = F.expr("cast(array() as array<struct<start:bigint,kind:int,end:bigint,owners:bigint,live:boolean>>)")
+    rows = whole.select("row", "text", *_key())
+    return rows.join(known, ["k1", "k2"], "left").select("row", "text", F.coalesce("spans", none).alias("spans"))
 
 
 def _listed(of: Column) -> Column:
