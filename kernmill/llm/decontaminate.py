@@ -32,26 +32,53 @@ def _empty(kind: str) -> Column:
     return F.expr(f"cast(array() as array<{kind}>)")
 
 
-def fingerprints(text: Column) -> Column:
-    """Distinct winnowed hashes of a text of at least WINDOW words; else empty."""
+def _winnowed(w: Column) -> Column:
+    """Distinct winnowed hashes of at least WINDOW words; else empty."""
     span = WINDOW - GRAM + 1
 
-    def grams(w):
-        return F.transform(F.sequence(F.lit(1), F.size(w) - (GRAM - 1)), lambda i: F.xxhash64(F.slice(w, i, GRAM)))
-
-    def winnowed(g):
+    def least(g):
         return F.transform(F.sequence(F.lit(1), F.size(g) - (span - 1)), lambda i: F.array_min(F.slice(g, i, span)))
 
-    return let(words(text), lambda w: F.when(F.size(w) >= WINDOW, F.array_distinct(let(grams(w), winnowed))).otherwise(_empty("bigint")))
+    grams = F.transform(F.sequence(F.lit(1), F.size(w) - (GRAM - 1)), lambda i: F.xxhash64(F.slice(w, i, GRAM)))
+    return F.when(F.size(w) >= WINDOW, F.array_distinct(let(grams, least))).otherwise(_empty("bigint"))
+
+
+def _cut(w: Column, length: int) -> Column:
+    """All runs of ``length`` words, in order."""
+    cut = F.transform(F.sequence(F.lit(1), F.size(w) - (length - 1)), lambda i: F.array_join(F.slice(w, i, length), " "))
+    return F.when(F.size(w) >= length, cut).otherwise(_empty("string"))
+
+
+def prints_of(text: Column, lengths: list[int]) -> Column:
+    """Distinct (length, print) of a text in one pass over its words: winnowed hashes under WINDOW, and hashes of all runs of each shorter length."""
+
+    def hashed(w, n):
+        return F.transform(F.array_distinct(_cut(w, n)), lambda r: F.struct(F.lit(n).alias("length"), F.xxhash64(r).alias("print")))
+
+    def all_of(w):
+        long = F.transform(_winnowed(w), lambda p: F.struct(F.lit(WINDOW).alias("length"), p.alias("print")))
+        return F.concat(long, *[hashed(w, n) for n in lengths])
+
+    return let(words(text), all_of)
+
+
+def fingerprints(text: Column) -> Column:
+    """Distinct winnowed hashes of a text of at least WINDOW words; else empty."""
+    return let(words(text), _winnowed)
 
 
 def runs(text: Column, length: int) -> Column:
     """All runs of ``length`` words of a text, in order."""
+    return let(words(text), lambda w: _cut(w, length))
+
 
-    def cut(w):
-        return F.transform(F.sequence(F.lit(1), F.size(w) - (length - 1)), lambda i: F.array_join(F.slice(w, i, length), " "))
+def placed_runs(text: Column, lengths: list[int]) -> Column:
+    """(length, pos, run) of all runs of all ``lengths``, pos from 0."""
 
-    return let(words(text), lambda w: F.when(F.size(w) >= length, cut(w)).otherwise(_empty("string")))
+    def at(w, n):
+        return F.transform(_cut(w, n), lambda r, i: F.struct(F.lit(n).alias("length"), i.alias("pos"), r.alias("run")))
+
+    return let(words(text), lambda w: F.concat(*[at(w, n) for n in lengths]))
 
 
 def _windows(benchmark: DataFrame) -> DataFrame:
@@ -62,25 +89,21 @@ def _windows(benchmark: DataFrame) -> DataFrame:
 
 
 def hits(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """(doc_id, mark, pos, length, item_id): every occurrence of an item's window, pos from 0; mark tells texts with one doc_id apart."""
+    """(doc_id, mark, pos, length, item_id): every occurrence of an item's window, pos from 0; mark tells texts with one doc_id apart.
+
+    One pass over the texts finds those with a print in common, another compares them as text.
+    """
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), F.col("text").cast("string").alias("text"))
     windows = stage(_windows(benchmark))
-    prints = benchmark.select(F.explode(fingerprints(F.col("text"))).alias("print")).distinct()
+    short = sorted(r[0] for r in windows.where(F.col("length") < WINDOW).select("length").distinct().collect())  # nine values at most
+    long_prints = benchmark.select(F.lit(WINDOW).alias("length"), F.explode(fingerprints(F.col("text"))).alias("print"))
+    prints = long_prints.union(windows.where(F.col("length") < WINDOW).select("length", F.xxhash64("run"))).distinct()
     prints = bounded_broadcast(stage(prints), BROADCAST_ROWS)
-    by_print = source.select("doc_id", "mark", F.explode(fingerprints(F.col("text"))).alias("print")).join(prints, "print", "left_semi").select("doc_id", "mark")
-    lengths = [r[0] for r in windows.where(F.col("length") < WINDOW).select("length").distinct().collect()]  # nine values at most
-    wanted = bounded_broadcast(windows.withColumnRenamed("length", "of"), BROADCAST_ROWS)
-    for n in lengths:
-        brief = source.select("doc_id", "mark", F.explode(runs(F.col("text"), n)).alias("run")).join(wanted.where(F.col("of") == n), "run", "left_semi")
-        by_print = by_print.union(brief.select("doc_id", "mark"))
-    marked = bounded_broadcast(stage(by_print.distinct()), BROADCAST_ROWS)
+    shared = source.select("doc_id", "mark", F.inline(prints_of(F.col("text"), short))).join(prints, ["length", "print"], "left_semi").select("doc_id", "mark")
+    marked = bounded_broadcast(stage(shared.distinct()), BROADCAST_ROWS)
     near = source.join(marked, [source.doc_id.eqNullSafe(marked.doc_id), source.mark == marked.mark], "left_semi").dropDuplicates(["doc_id", "mark"])
-    found = None
-    for n in [WINDOW, *lengths]:
-        at = near.select("doc_id", "mark", F.posexplode(runs(F.col("text"), n)).alias("pos", "run"))
-        part = at.join(wanted.where(F.col("of") == n), "run").select("doc_id", "mark", "pos", F.col("of").alias("length"), "item_id")
-        found = part if found is None else found.union(part)
-    return found
+    at = near.select("doc_id", "mark", F.inline(placed_runs(F.col("text"), [WINDOW, *short])))
+    return at.join(bounded_broadcast(windows, BROADCAST_ROWS), ["length", "run"]).select("doc_id", "mark", "pos", "length", "item_id")
 
 
 def covered(spans: Column) -> Column:
