@@ -15,8 +15,10 @@ Families are handled in blocks of about ``BLOCK`` texts, every pair of blocks as
 a task of its own, and a task returns one link a text at most, not all pairs.
 Work inside one family of m different texts grows with (m / BLOCK) ** 2 tasks.
 
-Null, empty and blank texts: empty set, linked with nothing. Null doc_id: the
-row takes no part and gets no result. Repeated rows each keep their row.
+Sets are of 64-bit hashes of shingles. Null, empty and blank texts: empty set,
+linked with nothing. Null doc_id: the row takes no part and gets no result.
+Repeated rows each keep their row; different texts under one doc_id are one node
+of the links, so that what either is linked with is reachable from both.
 """
 
 from __future__ import annotations
@@ -162,10 +164,13 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80)
     distinct shingles; component_id is the smallest doc_id reachable over links.
     """
     marks = stage(signatures(docs, shingle_words))
-    firsts = marks.where("set_id IS NOT NULL").groupBy("set_id").agg(F.min("doc_id").alias("rep"))
-    reps = marks.join(firsts, "set_id").where("doc_id = rep").dropDuplicates(["set_id"])
+    # sets that many rows hold are joined by set and row together, or through the few sets that need it: no hot key
+    firsts = stage(marks.where("set_id IS NOT NULL").groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")))
+    reps = marks.select("set_id", F.col("doc_id").alias("rep"), "n_shingles", "bands").join(firsts.select("set_id", "rep"), ["set_id", "rep"]).dropDuplicates(["set_id", "rep"])
     keyed = reps.select("rep", F.explode("bands").alias("band"))
     hubs = keyed.groupBy("band").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1").drop("n")
+    hubs = stage(hubs)
+    hubs = bounded_broadcast(hubs, BROADCAST_ROWS)
     family = stage(components(keyed.join(hubs, "band").where("rep <> hub").select(F.col("rep").alias("a"), F.col("hub").alias("b"))))
 
     def as_sets(batches):
@@ -191,9 +196,11 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80)
     )
     links = dealt.groupBy("family", "lo", "hi").applyInPandas(_linked(percent), "a long, b long")
     joined = components(links)
-    owner = firsts.join(joined, F.col("rep") == F.col("node"), "left").select("set_id", F.coalesce("component", "rep").alias("component_id"))
+    owner = firsts.join(joined, F.col("rep") == F.col("node"), "left").select("set_id", "n", "rep", F.coalesce("component", "rep").alias("component_id"))
+    owner = bounded_broadcast(stage(owner.where("n > 1 OR component_id <> rep").select("set_id", "component_id")), BROADCAST_ROWS)
+    alone = F.coalesce("set_id", F.concat(F.lit("-"), F.col("doc_id").cast("string")))  # empty texts meet nothing, each by itself
     return (
-        marks.select("doc_id", "n_shingles", "set_id")
+        marks.select("doc_id", "n_shingles", alone.alias("set_id"))
         .join(owner, "set_id", "left")
         .select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
         .withColumn("kept", F.col("doc_id") == F.col("component_id"))
