@@ -11,7 +11,9 @@ compressibility.
 Fitting uses a bounded sample (``sample`` positives and as many unlabelled rows,
 by hash of doc_id); scoring covers whole texts. Null and empty texts get the
 score of a text of no words; repeated rows get equal scores; null doc_id counts
-as not held out.
+as not held out; a doc_id labelled both ways counts as bad. Where the table has
+no unlabelled row (or no positive one), labelled rows of the training part stand
+in for the missing side.
 """
 
 from __future__ import annotations
@@ -119,7 +121,7 @@ def _curve(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
 
 def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE) -> Network:
     """Train on rows for which ``keep(doc_id)`` holds: at most ``sample`` trusted positives, as many unlabelled and labelled ones for prior and curve."""
-    marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("doc_id IS NOT NULL AND y IN (0, 1)").where(keep(F.col("doc_id"))).dropDuplicates(["doc_id"])
+    marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("doc_id IS NOT NULL AND y IN (0, 1)").where(keep(F.col("doc_id"))).groupBy("doc_id").agg(F.min("y").alias("y"))
     ids = docs.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id IS NOT NULL").where(keep(F.col("doc_id"))).distinct()
 
     def draw(rows: DataFrame, seed: int) -> DataFrame:

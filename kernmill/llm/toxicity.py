@@ -12,8 +12,9 @@ ordinary ones, and compresses together with the ordinary one: what it saves over
 the ordinary one alone it saves on such passages.
 
 Fitting uses a bounded sample of labelled rows (``sample`` per class, by hash of
-doc_id); scoring covers whole texts. Null and empty texts have distance 0;
-repeated rows get equal scores; null doc_id counts as not held out.
+doc_id, of which whole texts of ``sample_bytes`` in all); scoring covers whole
+texts. A doc_id labelled both ways counts as toxic. Null and empty texts have
+distance 0; repeated rows get equal scores; null doc_id counts as not held out.
 """
 
 from __future__ import annotations
@@ -25,13 +26,14 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import byte_slices
 
 SAMPLE, WINDOW, LEVEL, RUN = 4000, 64, 9, 5
 SIZE, TOXIC_SIZE, SEGMENT, MATCH = 8192, 2048, 24, 6
+SAMPLE_BYTES = 256 << 20
 STEPS, FOLDS = (2, 3, 4, 5, 6), 3
 _LETTERS = re.compile(r"[^\W\d_]+")
 _cache: dict = {}
@@ -207,12 +209,15 @@ def train(toxic: list[str], ordinary: list[str], folds: int = FOLDS) -> dict:
     return model | {"weights": calibrate(np.array(rows), np.array(labels)).tolist()}
 
 
-def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE) -> dict:
-    """Train on labelled rows for which ``keep(doc_id)`` holds, at most ``sample`` per class by hash of doc_id."""
-    marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("doc_id IS NOT NULL AND y IN (0, 1)").where(keep(F.col("doc_id"))).dropDuplicates(["doc_id"])
+def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE, sample_bytes: int = SAMPLE_BYTES) -> dict:
+    """Train on labelled rows for which ``keep(doc_id)`` holds: by hash of doc_id at most ``sample`` per class, and of these whole texts until ``sample_bytes``."""
+    marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("doc_id IS NOT NULL AND y IN (0, 1)").where(keep(F.col("doc_id"))).groupBy("doc_id").agg(F.max("y").alias("y"))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     drawn = [marked.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for y in (1, 0)]
-    rows = texts.join(F.broadcast(drawn[0].union(drawn[1])), "doc_id").where("text IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").collect()
+    order = [F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")]
+    sized = texts.join(F.broadcast(drawn[0].union(drawn[1])), "doc_id").where("text IS NOT NULL")
+    upto = F.sum(F.octet_length("text").cast("long")).over(Window.partitionBy("y").orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    rows = sized.withColumn("upto", upto).where(F.col("upto") <= sample_bytes // 2).orderBy(*order).select("text", "y").collect()
     return train([r.text for r in rows if r.y == 1], [r.text for r in rows if r.y == 0])
 
 
