@@ -137,7 +137,7 @@ def fit(docs: DataFrame, labels: DataFrame, keep, sample: int = SAMPLE) -> Netwo
 
     def run(batches):
         for batch in batches:
-            for lo, n in byte_slices(batch.column(2), 4 << 20):
+            for lo, n in byte_slices(batch.column(2), 1 << 20):
                 part = batch.slice(lo, n)
                 x = np.stack([measures(t) for t in part.column(2).to_pylist()])
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(list(x), pa.list_(pa.float64()))], ["doc_id", "part", "x"])
@@ -164,7 +164,7 @@ def score(docs: DataFrame, net: Network) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for lo, n in byte_slices(batch.column(1), 4 << 20):
+            for lo, n in byte_slices(batch.column(1), 1 << 20):
                 part = batch.slice(lo, n)
                 x = np.stack([measures(t) for t in part.column(1).to_pylist()])
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(net.score(x), pa.float64())], ["doc_id", "score"])
@@ -179,7 +179,7 @@ def keep_good(docs: DataFrame, net: Network, least: float = 0.3) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for lo, n in byte_slices(batch.column(at), 4 << 20):
+            for lo, n in byte_slices(batch.column(at), 1 << 20):
                 part = batch.slice(lo, n)
                 x = np.stack([measures(t) for t in part.column(at).to_pylist()])
                 yield part.filter(pa.array(net.score(x) >= least))

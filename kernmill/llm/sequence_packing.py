@@ -123,7 +123,7 @@ def pack(docs: DataFrame, vocabulary: str | None = None, window: int = WINDOW, e
             return out
 
         for got in batches:
-            for lo, n in byte_slices(got.column(1), 4 << 20):
+            for lo, n in byte_slices(got.column(1), 1 << 20):
                 part = got.slice(lo, n)
                 for doc, ids in zip(part.column(0).to_pylist(), words.encode(part.column(1))):
                     ids = np.append(ids, np.uint16(end))
@@ -142,7 +142,7 @@ def pack(docs: DataFrame, vocabulary: str | None = None, window: int = WINDOW, e
                             done = levels.place(piece)
                             if done:
                                 close(done)
-                if len(rows) >= 2048:
+                if len(rows) >= 512:
                     yield batch()
         full, rest = levels.drain()
         for w in full + powers_of_two(rest):

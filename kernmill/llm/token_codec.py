@@ -16,7 +16,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-GENERATION = 250_000
+GENERATION = 100_000
 MARK = "\x01"
 GROUP = 64
 _WORD = re.compile("[a-zà-öø-ÿ]+").fullmatch

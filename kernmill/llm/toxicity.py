@@ -228,7 +228,7 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
         pair = _compressors(model)
         w = np.array(model["weights"])
         for batch in batches:
-            for lo, n in byte_slices(batch.column(1), 4 << 20):
+            for lo, n in byte_slices(batch.column(1), 1 << 20):
                 part = batch.slice(lo, n)
                 f = np.array([savings(t, *pair) for t in part.column(1).to_pylist()])
                 p = 1 / (1 + np.exp(-np.clip(f @ w[:-1] + w[-1], -30, 30)))
