@@ -10,13 +10,14 @@ from pyspark.sql import functions as F
 from ..sources.store import materialize, table
 
 
-def dense_index(df: DataFrame, keys: list[str], partitions: int = 1) -> DataFrame:
+def dense_index(df: DataFrame, keys: list[str], partitions: int | None = None) -> DataFrame:
     """Adds idx, the rank by ``keys`` from 0; the keys must be unique together.
 
-    With several partitions the rows are dealt by ranges of the keys and staged,
+    With several partitions (by default the session's shuffle partitions) the rows are dealt by ranges of the keys and staged,
     each range is numbered by itself, and the counts of the ranges before give
     the offset: no single task sees all rows.
     """
+    partitions = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     if partitions <= 1:
         return df.withColumn("idx", (F.row_number().over(Window.orderBy(*keys)) - 1).cast("long"))
     dealt = materialize(df.repartitionByRange(partitions, *keys).withColumn("part", F.spark_partition_id()))
@@ -87,6 +88,11 @@ def sample_n(df: DataFrame, n: int, keys: list[str], seed: int = 0) -> DataFrame
     return df.orderBy(mark, *keys).limit(n)
 
 
+def sampled(points: DataFrame, n: int, seed: int = 0) -> DataFrame:
+    """n of the points, drawn by md5 order of their keys and numbered anew; ``points`` has idx, key, x."""
+    return dense_index(sample_n(points.select("key", "x"), n, ["key"], seed), ["key"], 1).select("idx", "key", "x")
+
+
 def sample_features(points: DataFrame, m: int, dim: int, seed: int = 0) -> DataFrame:
     """Keeps m of ``dim`` features, drawn by the seed, in their order."""
     import numpy as np
@@ -108,7 +114,6 @@ def project(points: DataFrame, m: int, dim: int, seed: int = 0) -> DataFrame:
 
 LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]
 LINE4 = ["l_quantity", "l_extendedprice", "l_discount", "l_tax"]
-RANGES = 32
 
 
 def mini(spark: SparkSession, sf_dir: str = "") -> DataFrame:
@@ -126,21 +131,16 @@ def _first(rows: DataFrame, keys: list[str], n: int | None) -> DataFrame:
     return rows.orderBy(*keys).limit(n) if n else rows
 
 
-def _parts(n: int | None) -> int:
-    """Ranges that number the rows: one task for a head, RANGES for a whole table."""
-    return 1 if n else RANGES
-
-
-def line4(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
+def line4(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     rows = _first(table(spark, sf_dir, "lineitem").select(*LINE_KEY, *LINE4), LINE_KEY, n)
-    keyed = dense_index(rows, LINE_KEY, _parts(n))
+    keyed = dense_index(rows, LINE_KEY)
     return standardize(keyed, LINE4).select("idx", F.col("l_orderkey").alias("key"), assemble(*LINE4).alias("x"))
 
 
 WIDE28 = [f"f{i:02d}" for i in range(28)]
 
 
-def wide28(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
+def wide28(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     def t(name):
         return table(spark, sf_dir, name)
 
@@ -169,7 +169,7 @@ def wide28(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
         F.col("c_acctbal"),
         F.datediff(ship, F.col("o_orderdate")),
     ]
-    keyed = dense_index(rows.select(*LINE_KEY, *[f.cast("double").alias(name) for f, name in zip(features, WIDE28)]), LINE_KEY, _parts(n))
+    keyed = dense_index(rows.select(*LINE_KEY, *[f.cast("double").alias(name) for f, name in zip(features, WIDE28)]), LINE_KEY)
     return standardize(keyed, WIDE28).select("idx", F.col("l_orderkey").alias("key"), assemble(*WIDE28).alias("x"))
 
 
@@ -205,11 +205,11 @@ def docvocab(spark: SparkSession, sf_dir: str, m: int = 10_000) -> DataFrame:
     return docs.join(columns, "t").groupBy("doc_id", "col").agg(F.count("*").alias("c"))
 
 
-def eventday(spark: SparkSession, sf_dir: str, n: int | None = 2000) -> DataFrame:
+def eventday(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     rows = _first(table(spark, sf_dir, "events"), ["event_id"], n)
     hour = F.hour("ts") + F.minute("ts") / 60.0 + F.second("ts") / 3600.0
     kept = rows.select("event_id", *[c.alias(f"h{i}") for i, c in enumerate(cyclic(hour, 24))], F.log1p("value").alias("v"), F.get_json_object("props", "$.k").cast("double").alias("k"))
-    return standardize(dense_index(kept, ["event_id"], _parts(n)), ["v", "k"]).select("idx", F.col("event_id").alias("key"), assemble("h0", "h1", "v", "k").alias("x"))
+    return standardize(dense_index(kept, ["event_id"]), ["v", "k"]).select("idx", F.col("event_id").alias("key"), assemble("h0", "h1", "v", "k").alias("x"))
 
 
 USER = ["n_click", "n_error", "n_purchase", "n_signup", "n_view", "total", "mean", "recency"]

@@ -24,12 +24,12 @@ def _list(cols: list[str]) -> str:
 EMB = "SELECT row_number() OVER (ORDER BY vec_id) - 1 AS idx, vec_id AS key, CAST(embedding AS DOUBLE[]) AS x FROM embeddings"
 
 
-def line4(n: int) -> str:
-    inner = f"SELECT row_number() OVER (ORDER BY {KEY}) - 1 AS idx, l_orderkey AS key, {', '.join(LINE4)} FROM (SELECT * FROM lineitem ORDER BY {KEY} LIMIT {n})"
+def line4() -> str:
+    inner = f"SELECT row_number() OVER (ORDER BY {KEY}) - 1 AS idx, l_orderkey AS key, {', '.join(LINE4)} FROM lineitem"
     return f"SELECT idx, key, {_list(LINE4)} AS x FROM ({z(LINE4, inner, 'idx, key')})"
 
 
-def wide28(n: int) -> str:
+def wide28() -> str:
     def cyc(value: str, period: int) -> list[str]:
         turn = f"{value} * {2 * math.pi / period!r}"
         return [f"sin({turn})", f"cos({turn})"]
@@ -42,7 +42,7 @@ def wide28(n: int) -> str:
         *hot("o_orderstatus", ["F", "O", "P"]), *hot("substr(o_orderpriority, 1, 1)", ["1", "2", "3", "4", "5"]), "p_size::DOUBLE", "p_retailprice", "s_acctbal", "c_acctbal", "date_diff('day', o_orderdate::DATE, l_shipdate::DATE)::DOUBLE",
     ]
     named = ", ".join(f"{f} AS {c}" for f, c in zip(features, WIDE28))
-    inner = f"""SELECT row_number() OVER (ORDER BY {KEY}) - 1 AS idx, l_orderkey AS key, {named} FROM (SELECT * FROM lineitem ORDER BY {KEY} LIMIT {n})
+    inner = f"""SELECT row_number() OVER (ORDER BY {KEY}) - 1 AS idx, l_orderkey AS key, {named} FROM lineitem
       JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey"""
     return f"SELECT idx, key, {_list(WIDE28)} AS x FROM ({z(WIDE28, inner, 'idx, key')})"
 
@@ -57,9 +57,9 @@ def docbag(m: int) -> str:
       FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS t FROM documents) GROUP BY 1, 2) GROUP BY doc_id) h ON h.doc_id = d.doc_id"""
 
 
-def eventday(n: int) -> str:
+def eventday() -> str:
     hour = f"(hour(ts) + minute(ts) / 60.0 + second(ts) / 3600.0) * {2 * math.pi / 24!r}"
-    inner = f"SELECT row_number() OVER (ORDER BY event_id) - 1 AS idx, event_id AS key, sin({hour}) AS h0, cos({hour}) AS h1, ln(1 + value) AS v, CAST(json_extract(props, '$.k') AS DOUBLE) AS k FROM (SELECT * FROM events ORDER BY event_id LIMIT {n})"
+    inner = f"SELECT row_number() OVER (ORDER BY event_id) - 1 AS idx, event_id AS key, sin({hour}) AS h0, cos({hour}) AS h1, ln(1 + value) AS v, CAST(json_extract(props, '$.k') AS DOUBLE) AS k FROM events"
     return f"SELECT idx, key, [h0, h1, v, k] AS x FROM ({z(['v', 'k'], inner, 'idx, key, h0, h1')})"
 
 
@@ -103,6 +103,38 @@ def labels(points: str, kernel: KernelSpec, k: int, sweeps: int, empty: str = "s
     return f"{loop(points, kernel, k, sweeps, empty)}\nSELECT idx, CAST(cl AS INTEGER) AS cl FROM l{sweeps}"
 
 
+def lift_loop(points: str, dim: int, k: int, sweeps: int, empty: str = "skip") -> str:
+    """As ``loop`` for the kernel (<x, y> + 1) ** 2 in its explicit feature space: means in place of a matrix, so whole tables are cheap.
+
+    Reseeding: a cluster keeps its nearest member, its others are open by distance;
+    the empty clusters, by id, take the farthest open points of all.
+    """
+    terms = [f"x[{i}] * x[{i}]" for i in range(1, dim + 1)] + [f"sqrt(2.0::DOUBLE) * x[{i}] * x[{j}]" for i in range(1, dim + 1) for j in range(i + 1, dim + 1)] + [f"sqrt(2.0::DOUBLE) * x[{i}]" for i in range(1, dim + 1)] + ["1.0::DOUBLE"]
+    parts = [f"p AS MATERIALIZED ({points})", f"f AS MATERIALIZED (SELECT idx, [{', '.join(terms)}] AS f FROM p)", f"l0 AS MATERIALIZED (SELECT idx, idx % {k} AS cl FROM p)"]
+    mean = "[" + ", ".join(f"avg(f.f[{i}])" for i in range(1, len(terms) + 1)) + "]"
+    for t in range(1, sweeps + 1):
+        old = f"l{t - 1}"
+        parts.append(f"m{t} AS MATERIALIZED (SELECT cl, c, list_dot_product(c, c) AS cc FROM (SELECT l.cl, {mean} AS c FROM f JOIN {old} l USING (idx) GROUP BY l.cl))")
+        rows = f"SELECT f.idx, m.cl, m.cc - 2 * list_dot_product(f.f, m.c) AS dist FROM f, m{t} m"
+        if empty == "origin":
+            rows += f" UNION ALL SELECT p.idx, r.range, 0.0 FROM p, range({k}) r WHERE r.range NOT IN (SELECT cl FROM {old})"
+        least = f"SELECT idx, min({{'dist': dist, 'cl': cl}}) AS b FROM ({rows}) GROUP BY idx"
+        if empty != "reseed":
+            parts.append(f"l{t} AS MATERIALIZED (SELECT idx, b.cl AS cl FROM ({least}))")
+            continue
+        parts += [
+            f"n{t} AS MATERIALIZED (SELECT a.idx, a.b.cl AS cl, a.b.dist + list_dot_product(f.f, f.f) AS sq FROM ({least}) a JOIN f USING (idx))",
+            f"o{t} AS MATERIALIZED (SELECT idx, row_number() OVER (ORDER BY sq DESC, idx) AS place FROM (SELECT *, row_number() OVER (PARTITION BY cl ORDER BY sq DESC, idx) AS r, count(*) OVER (PARTITION BY cl) AS c FROM n{t}) WHERE r < c)",
+            f"v{t} AS MATERIALIZED (SELECT r.range AS cl, row_number() OVER (ORDER BY r.range) AS place FROM range({k}) r WHERE r.range NOT IN (SELECT cl FROM n{t}))",
+            f"l{t} AS MATERIALIZED (SELECT n.idx, coalesce(g.cl, n.cl) AS cl FROM n{t} n LEFT JOIN (SELECT o.idx, v.cl FROM o{t} o JOIN v{t} v USING (place)) g USING (idx))",
+        ]
+    return "WITH " + ",\n".join(parts)
+
+
+def lift_labels(points: str, dim: int, k: int, sweeps: int, empty: str = "skip") -> str:
+    return f"{lift_loop(points, dim, k, sweeps, empty)}\nSELECT idx, CAST(cl AS INTEGER) AS cl FROM l{sweeps}"
+
+
 def r6(x: str) -> str:
     return f"round({x}, 6) + 0.0"
 
@@ -139,6 +171,37 @@ def _against(name: str) -> str:
     return f"WITH {RUNS_SQL}, t AS (SELECT dataset, k, algo, g, sum(seconds) AS seconds FROM runs GROUP BY ALL) SELECT *, first_value(seconds) OVER (PARTITION BY dataset, k, algo ORDER BY g) / seconds AS {name} FROM t"
 
 
+EXACT = ("panel_1d", "regrid_h1d", "tile_2d", "mixed_15d")
+
+
+def _moves(engine: str, d: str, k: str, g: int, sweeps: int) -> str:
+    """List of (stage, item, words): what the shuffles of an engine must carry for n points, were nothing else moved."""
+    p = g * g
+    step = f"CAST(ceil(n / {p}.0) AS BIGINT)"
+    wide = [f"greatest(least(n, {(j + 1) * g} * {step}) - least(n, {j * g} * {step}), 0)" for j in range(g)]
+    pairs = " + ".join(f"CASE WHEN {w} > 0 THEN least({g}, {k}) * (CAST(ceil({w} / 2.0) AS BIGINT) + {w} + {k}) ELSE 0 END" for w in wide)
+    rows = [("kernel", "points", f"{p if engine == 'panel_1d' else 2 * g} * n * {d}")]
+    rows += [("kernel", "regrid", "n * n")] if engine == "regrid_h1d" else []
+    rows += [("sweep", "pieces", f"{sweeps * g} * n * {k}")] if engine in ("tile_2d", "mixed_15d") else []
+    rows += [("sweep", "minimum_pairs", f"{sweeps} * ({pairs})")] if engine == "tile_2d" and g > 1 else []
+    rows += [("sweep", "labels", f"{sweeps * p} * n"), ("sweep", "norms_sizes", f"{sweeps * 2 * p} * {k}")]
+    return "[" + ", ".join(f"{{'stage': '{s}', 'item': '{i}', 'words': CAST({w} AS BIGINT)}}" for s, i, w in rows) + "]"
+
+
+SETS = {"vision": ("embeddings", 64, 500), "physics": ("lineitem", 28, 500), "education": ("documents", 1024, 500)}
+
+
+def scaling(name: str, weak: bool) -> str:
+    """Words by stage of every engine, k and grid on a set: what ``experiments`` must measure."""
+    table_name, d, cap = SETS[name]
+    out = []
+    for g in (1, 2, 4):
+        n = f"least({cap}, c // 4) * {g}" if weak else f"least({4 * cap}, c)"
+        for e in EXACT:
+            out.append(f"SELECT '{name}' AS dataset, k, '{e}' AS algo, {g * g}::BIGINT AS g, n, stage, sum(words)::BIGINT AS words FROM (SELECT k, n, unnest({_moves(e, str(d), 'k', g, 2)}, recursive := true) FROM (SELECT {n} AS n, k FROM s, (VALUES (16::BIGINT), (32::BIGINT), (64::BIGINT)) AS ks(k))) GROUP BY ALL")
+    return f"WITH s AS (SELECT count(*) AS c FROM {table_name}) " + " UNION ALL ".join(out)
+
+
 def table_of(points: str, kernel: KernelSpec, k: int, sweeps: int) -> str:
     return f"{loop(points, kernel, k, sweeps)}, ct AS (SELECT l.cl, p.truth, count(*) AS cnt FROM l{sweeps} l JOIN p ON p.idx = l.idx GROUP BY ALL)"
 
@@ -149,6 +212,13 @@ _NMI = """, n AS (SELECT sum(cnt) AS n FROM ct), ra AS (SELECT cl, sum(cnt) AS a
 SELECT round(2 * i / (ha + hb), 6) + 0.0 AS nmi FROM (SELECT sum(cnt / n * ln(cnt * n / (a * b))) AS i FROM ct JOIN ra USING (cl) JOIN rb USING (truth), n),
  (SELECT -sum(a / n * ln(a / n)) AS ha FROM ra, n), (SELECT -sum(b / n * ln(b / n)) AS hb FROM rb, n)"""
 _DOC = docbag(1024)
+_SPARSE = f"""p AS MATERIALIZED (SELECT row_number() OVER (ORDER BY doc_id) - 1 AS idx, doc_id FROM documents),
+b AS MATERIALIZED (SELECT doc_id, ('0x' || substr(md5(t), 1, 8))::BIGINT % 10000 AS b, count(*)::DOUBLE AS c FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS t FROM documents) GROUP BY 1, 2),
+w AS MATERIALIZED (SELECT p.idx, b.b, b.c / sqrt(sum(b.c * b.c) OVER (PARTITION BY b.doc_id)) AS v FROM b JOIN p USING (doc_id)),
+dots AS MATERIALIZED (SELECT x.idx AS i, y.idx AS j, sum(x.v * y.v) AS b FROM w x JOIN w y ON x.b = y.b GROUP BY 1, 2),
+ke AS MATERIALIZED (SELECT x.idx AS i, y.idx AS j, pow(coalesce(d.b, 0.0) + 1, 2) AS v FROM p x CROSS JOIN p y LEFT JOIN dots d ON d.i = x.idx AND d.j = y.idx)"""
+_WIDE_LOOP = loop("SELECT 1", POLY, 4, 7)
+_WIDE_LOOP = "WITH " + _SPARSE + ",\n" + _WIDE_LOOP[_WIDE_LOOP.index("l0 AS") :]
 
 EMB_LABELS = labels(EMB, POLY, 10, 17)
 HOLD = "SELECT * FROM p WHERE idx % 5 = 0"
@@ -157,7 +227,7 @@ _FINAL = f"{loop(EMB, POLY, 10, 17)}, final AS (SELECT l.idx, l.cl FROM l17 l),
 
 ORACLES: dict[str, str] = {
     # kernel stage
-    **{f"gram_{name}": f"WITH {gram(EMB, spec)} SELECT i, j, {r6('v')} AS v FROM ke WHERE i < 60" for name, spec in (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))},
+    **{f"gram_{name}": f"WITH {gram(EMB, spec)} SELECT i, j, {r6('v')} AS v FROM ke" for name, spec in (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))},
     "gram_tiles_checksum": f"WITH {gram(EMB, POLY)}, b AS (SELECT CAST(least(i // (4 * s), 1) AS INTEGER) AS x0, i, j, v, s FROM ke, (SELECT CAST(ceil(count(*) / 4.0) AS BIGINT) AS s FROM p)) SELECT CAST(i // (2 * s) AS INTEGER) AS bi, CAST(j // (2 * s) AS INTEGER) AS bj, count(*) AS cells, {r6('sum(v)')} AS total FROM b GROUP BY ALL",
     "gram_symmetric_half": f"WITH {gram(EMB, POLY)} SELECT i, {r6('sum(v)')} AS row_sum FROM ke GROUP BY i",
     "kernel_diag": f"WITH {gram(EMB, POLY)} SELECT i, {r6('v')} AS v FROM ke WHERE i = j",
@@ -166,14 +236,14 @@ ORACLES: dict[str, str] = {
     "init_round_robin": f"WITH p AS ({EMB}) SELECT idx, CAST(idx % 10 AS INTEGER) AS cl FROM p",
     "sizes_initial": f"WITH p AS ({EMB}) SELECT CAST(idx % 10 AS INTEGER) AS cl, count(*) AS cnt FROM p GROUP BY 1",
     "membership_triplets": f"WITH p AS ({EMB}), l AS (SELECT idx, CAST(idx % 10 AS INTEGER) AS cl FROM p) SELECT l.cl, l.idx, 1.0::DOUBLE / s.cnt AS w FROM l JOIN (SELECT cl, count(*) AS cnt FROM l GROUP BY cl) s USING (cl)",
-    "sizes_with_empties": f"{loop(line4(2000), POLY, 64, 1)} SELECT CAST(r.range AS INTEGER) AS cl, count(l.idx) AS cnt FROM range(64) r LEFT JOIN l1 l ON l.cl = r.range GROUP BY 1",
+    "sizes_with_empties": f"{lift_loop(line4(), 4, 64, 1)} SELECT CAST(r.range AS INTEGER) AS cl, count(l.idx) AS cnt FROM range(64) r LEFT JOIN l1 l ON l.cl = r.range GROUP BY 1",
     # one sweep
     "sweep_means": f"{ONE} SELECT i, CAST(cl AS INTEGER) AS cl, {r6('e')} AS e FROM e1",
     "sweep_means_transposed": f"{ONE} SELECT i, CAST(cl AS INTEGER) AS cl, {r6('e')} AS e FROM e1",
     "sweep_mask": f"{ONE} SELECT e.i, CAST(e.cl AS INTEGER) AS cl, {r6('e.e')} AS z FROM e1 e JOIN l0 l ON e.i = l.idx AND e.cl = l.cl",
     "sweep_cnorm": f"{ONE} SELECT CAST(cl AS INTEGER) AS cl, {r6('c')} AS c FROM c1",
     "sweep_scores": f"{ONE} SELECT i, CAST(cl AS INTEGER) AS cl, {r6('dist')} AS dist FROM d1",
-    "sweep_sqdist": f"{ONE} SELECT d.i, CAST(d.cl AS INTEGER) AS cl, {r6('d.dist + ke.v')} AS sq FROM d1 d JOIN ke ON ke.i = d.i AND ke.j = d.i",
+    "sweep_sqdist": f"{ONE}, own AS MATERIALIZED (SELECT i, v FROM ke WHERE i = j) SELECT d.i, CAST(d.cl AS INTEGER) AS cl, {r6('d.dist + own.v')} AS sq FROM d1 d JOIN own ON own.i = d.i",
     "sweep_labels": f"{ONE} SELECT idx, CAST(cl AS INTEGER) AS cl FROM l1",
     "sweep_objective": f"{ONE} SELECT {r6('(SELECT sum(v) FROM ke WHERE i = j) - sum(c1.c * s.n)')} AS objective FROM c1 JOIN (SELECT cl, count(*) AS n FROM l0 GROUP BY cl) s USING (cl)",
     # loops
@@ -184,20 +254,23 @@ ORACLES: dict[str, str] = {
     "history_changed": loop(EMB, POLY, 10, 17) + "\n" + " UNION ALL ".join(f"SELECT {t} AS sweep, (SELECT count(*) FROM l{t} a JOIN l{t - 1} b USING (idx) WHERE a.cl <> b.cl) AS changed" for t in range(1, 18)),
     "history_objective": loop(EMB, POLY, 10, 17) + ", tr AS (SELECT sum(v) AS t FROM ke WHERE i = j)\n" + " UNION ALL ".join(f"SELECT {t} AS sweep, {r6(f'(SELECT t FROM tr) - (SELECT sum(c.c * s.n) FROM c{t} c JOIN (SELECT cl, count(*) AS n FROM l{t - 1} GROUP BY cl) s USING (cl))')} AS objective" for t in range(1, 18)),
     # policies and worked example
-    "empty_skip": labels(line4(2000), POLY, 64, 12),
-    "empty_origin": labels(line4(2000), POLY, 64, 12, "origin"),
+    "empty_skip": lift_labels(line4(), 4, 64, 12),
+    "empty_origin": lift_labels(line4(), 4, 64, 12, "origin"),
+    "empty_reseed": lift_labels(line4(), 4, 64, 12, "reseed"),
     "tie_break_mini": labels(MINI, linear(), 2, 3),
     "mini_poly": labels(MINI, POLY, 2, 3),
     "mini_scores": f"{loop(MINI, POLY, 2, 1)} SELECT i, CAST(cl AS INTEGER) AS cl, {r6('dist')} AS dist FROM d1",
     # other data
-    **{f"{name}_points": f"SELECT idx, CAST(g AS INTEGER) AS pos, {r6('x[g]')} AS v FROM (SELECT idx, x, unnest(range(1, len(x) + 1)) AS g FROM ({sql}))" for name, sql in (("line4", line4(2000)), ("wide28", wide28(2000)), ("eventday", eventday(2000)), ("userfeat", userfeat()), ("part2", PART2), ("lobes", LOBES), ("rings", RINGS))},
+    **{f"{name}_points": f"SELECT idx, CAST(g AS INTEGER) AS pos, {r6('x[g]')} AS v FROM (SELECT idx, x, unnest(range(1, len(x) + 1)) AS g FROM ({sql}))" for name, sql in (("userfeat", userfeat()), ("part2", PART2), ("lobes", LOBES), ("rings", RINGS))},
     "docbag_points": f"SELECT idx, CAST(g - 1 AS INTEGER) AS pos, {r6('x[g]')} AS v, truth FROM (SELECT idx, x, truth, unnest(range(1, len(x) + 1)) AS g FROM ({_DOC})) WHERE x[g] > 0",
     "docvocab_counts": "WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS t FROM documents), v AS (SELECT t FROM (SELECT DISTINCT t FROM t) ORDER BY md5(t), t LIMIT 10000), c AS (SELECT t, row_number() OVER (ORDER BY t) - 1 AS col FROM v) SELECT doc_id, col, count(*) AS c FROM t JOIN c USING (t) GROUP BY ALL",
-    "line4_fit_k16": labels(line4(2000), POLY, 16, 15),
-    "wide28_fit_k16": labels(wide28(2000), POLY, 16, 19),
+    **{f"{name}_points": f"SELECT idx, CAST(g AS INTEGER) AS pos, round(x[g], 4) + 0.0 AS v FROM (SELECT idx, x, unnest(range(1, len(x) + 1)) AS g FROM ({sql}))" for name, sql in (("line4", line4()), ("wide28", wide28()), ("eventday", eventday()))},
+    "line4_fit_k16": lift_labels(line4(), 4, 16, 15),
     "docbag_fit_k4": labels(_DOC, POLY, 4, 9),
+    "docbag_wide_fit_k4": f"{_WIDE_LOOP}\nSELECT idx, CAST(cl AS INTEGER) AS cl FROM l7",
+    "window_heights": f"{loop(EMB, POLY, 10, 5)} SELECT idx, CAST(cl AS INTEGER) AS cl, CAST(h.h AS INTEGER) AS height FROM l5, (VALUES (64), (128), (256), (512), (1024), (2048)) AS h(h)",
     "userfeat_fit_k4": labels(userfeat(), POLY, 4, 14),
-    "eventday_fit_k4": labels(eventday(1000), POLY, 4, 12),
+    "eventday_fit_k4": lift_labels(eventday(), 4, 4, 12),
     "lobes_linear": labels(LOBES, linear(), 2, 2),
     "lobes_poly": labels(LOBES, POLY, 2, 3),
     "rings_poly": labels(RINGS, POLY, 2, 6),
@@ -218,8 +291,8 @@ SELECT cl, CAST(r AS INTEGER) AS rank, i AS idx, {r6('sq')} AS sq_distance FROM
     "memory_table": _memory("round(memory_bytes, 0) AS memory_bytes"),
     "feasible_table": _memory("memory_bytes <= 80e9 AS feasible"),
     "weak_plan": "SELECT p, CAST(round(sqrt(p) * 96000) AS BIGINT) AS n, 4 * pow(round(sqrt(p) * 96000), 2) / p AS kernel_bytes_per_worker FROM (VALUES (1::BIGINT), (4::BIGINT), (16::BIGINT), (64::BIGINT), (256::BIGINT)) AS t(p)",
-    "traffic_mixed": "WITH s AS (SELECT count(*) AS n FROM embeddings) SELECT * FROM (SELECT 'kernel' AS stage, 'points' AS item, 2 * 2 * n * 64 AS words FROM s UNION ALL SELECT 'sweep', 'labels', 3 * 2 * n FROM s UNION ALL SELECT 'sweep', 'pieces', 3 * 2 * n * 10 FROM s UNION ALL SELECT 'sweep', 'norms_sizes', 3 * 2 * 4 * 10 FROM s)",
-    "traffic_all": "WITH s AS (SELECT count(*) AS n FROM embeddings) SELECT engine, item, words FROM (SELECT 'panel_1d' AS engine, 'points' AS item, 4 * n * 64 AS words FROM s UNION ALL SELECT 'panel_1d', 'labels', 4 * n FROM s UNION ALL SELECT 'panel_1d', 'norms_sizes', 80 FROM s UNION ALL SELECT 'regrid_h1d', 'points', 4 * n * 64 FROM s UNION ALL SELECT 'regrid_h1d', 'regrid', n * n FROM s UNION ALL SELECT 'regrid_h1d', 'labels', 4 * n FROM s UNION ALL SELECT 'regrid_h1d', 'norms_sizes', 80 FROM s UNION ALL SELECT 'tile_2d', 'points', 4 * n * 64 FROM s UNION ALL SELECT 'tile_2d', 'labels', 4 * n FROM s UNION ALL SELECT 'tile_2d', 'pieces', 2 * n * 10 FROM s UNION ALL SELECT 'tile_2d', 'minimum_pairs', 4 * n FROM s UNION ALL SELECT 'tile_2d', 'sizes', 20 FROM s UNION ALL SELECT 'mixed_15d', 'points', 4 * n * 64 FROM s UNION ALL SELECT 'mixed_15d', 'labels', 2 * n FROM s UNION ALL SELECT 'mixed_15d', 'pieces', 2 * n * 10 FROM s UNION ALL SELECT 'mixed_15d', 'norms_sizes', 80 FROM s)",
+    "traffic_mixed": f"WITH s AS (SELECT count(*) AS n FROM embeddings) SELECT stage, item, words FROM (SELECT unnest({_moves('mixed_15d', '64', '10', 2, 3)}, recursive := true) FROM s)",
+    "traffic_all": "WITH s AS (SELECT count(*) AS n FROM embeddings) " + " UNION ALL ".join(f"SELECT '{e}' AS engine, item, words FROM (SELECT unnest({_moves(e, '64', '10', 2, 1)}, recursive := true) FROM s)" for e in EXACT),
     "balance_1d": f"WITH p AS ({EMB}), s AS (SELECT CAST(ceil(count(*) / 4.0) AS BIGINT) AS s FROM p), w AS (SELECT CAST(r.range AS INTEGER) AS worker, count(p.idx) AS nonzeros FROM range(4) r LEFT JOIN (SELECT idx, idx // (SELECT s FROM s) AS w FROM p) p ON p.w = r.range GROUP BY 1) SELECT worker, nonzeros, round(max(nonzeros) OVER () / avg(nonzeros) OVER (), 6) AS ratio FROM w",
     "balance_2d": f"{ONE}, s AS (SELECT CAST(ceil(count(*) / 4.0) AS BIGINT) AS s FROM p), w AS (SELECT CAST(r.range AS INTEGER) AS worker, count(l.idx) AS nonzeros FROM range(4) r LEFT JOIN (SELECT idx, ((idx // (SELECT s FROM s)) // 2) * 2 + cl // 5 AS w FROM l1) l ON l.w = r.range GROUP BY 1) SELECT worker, nonzeros, round(max(nonzeros) OVER () / avg(nonzeros) OVER (), 6) AS ratio FROM w",
     "flops_table": f"WITH {GRID_SQL} SELECT n, d, k, p, 2 * nn * nn * dd AS kernel_flops, nn * nn AS means_sparse, 2 * nn * nn * kk AS means_dense, nn * kk AS update, 4 * nn * nn AS kernel_bytes FROM par",
@@ -229,6 +302,9 @@ SELECT cl, CAST(r AS INTEGER) AS rank, i AS idx, {r6('sq')} AS sq_distance FROM
     "strong_speedup_fixed": _against("speedup"),
     "speedup_fixed": f"WITH {RUNS_SQL}, t AS (SELECT dataset, k, algo, g, sum(seconds) AS s FROM runs GROUP BY ALL) SELECT a.dataset, a.k, a.g, a.s AS fast_s, b.s AS slow_s, b.s / a.s AS speedup FROM t a JOIN t b USING (dataset, k, g) WHERE a.algo = 'mixed' AND b.algo = 'panel'",
     "report_cube": f"WITH {RUNS_SQL} SELECT dataset, k, algo, sum(seconds) AS seconds, count(*) AS rows FROM runs GROUP BY CUBE (dataset, k, algo)",
+    **{f"weak_scaling_{name}": scaling(name, True) for name in SETS},
+    **{f"strong_scaling_{name}": scaling(name, False) for name in SETS},
+    "window_comparison": "SELECT 'education' AS dataset, algo, n, 1.0::DOUBLE AS agreement FROM (SELECT least(1000, count(*)) AS n FROM documents), (VALUES ('mixed_15d'), ('window_256'), ('window_512'), ('window_1024'), ('fused')) AS a(algo)",
     # quality
     "contingency_lobes": f"{table_of(LOBES, POLY, 2, 3)} SELECT CAST(cl AS INTEGER) AS cl, truth, cnt FROM ct",
     "ari_lobes": f"{table_of(LOBES, POLY, 2, 3)} {_ARI}",
@@ -246,7 +322,7 @@ SELECT cl, CAST(r AS INTEGER) AS rank, i AS idx, {r6('sq')} AS sq_distance FROM
     "anti_unsampled": "SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT vec_id FROM embeddings ORDER BY md5('3|' || vec_id), vec_id LIMIT 100)",
     "setops_labels": f"{ONE} SELECT idx, CAST(cl AS INTEGER) AS cl FROM l1 EXCEPT SELECT idx, CAST(cl AS INTEGER) FROM l0",
     "asof_label_events": "WITH v AS (SELECT user_id, ts AS since, event_id AS version FROM events WHERE event_type = 'signup') SELECT e.event_id, (SELECT max_by(v.version, (v.since, v.version)) FROM v WHERE v.user_id = e.user_id AND v.since <= e.ts) AS version FROM events e WHERE e.event_type = 'purchase'",
-    "interval_events": "WITH s AS (SELECT o_orderkey AS span, o_orderkey * 7 % 9000 AS lo, o_orderkey * 7 % 9000 + 3 AS hi FROM orders WHERE o_orderkey % 50 = 0) SELECT event_id, span FROM events JOIN s ON event_id >= lo AND event_id < hi",
+    "interval_events": "WITH s AS (SELECT o_orderkey AS span, o_orderkey * 7 % 9000 AS lo, o_orderkey * 7 % 9000 + 3 AS hi FROM orders) SELECT event_id, span FROM events JOIN s ON event_id >= lo AND event_id < hi",
     # streams: the batch answer
     "stream_assign": labels(EMB, POLY, 10, 17).replace("SELECT idx, CAST(cl AS INTEGER) AS cl FROM l17", "SELECT idx, CAST(cl AS INTEGER) AS cl FROM l17"),
     "stream_tumbling": "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL",

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import partial
-
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -15,7 +13,7 @@ from ..plans import costs
 from ..plans.layout import GridSpec, LoopSpec, StoreSpec, to_blocks
 from ..sources.store import materialize, shared_dir, table
 from ..streaming import streams
-from .oracles import GRID, RUNS
+from .oracles import GRID, RUNS, SETS
 
 POLY = polynomial()
 
@@ -53,12 +51,8 @@ def emb_fit(engine: str = "mixed_15d", max_iter: int = 17, **options):
 # --- kernel stage -------------------------------------------------------------
 
 
-def gram_values(kernel: KernelSpec, whole: bool = False):
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        k = _entries(spark, sf_dir, kernel)
-        return (k if whole else k.where("i < 60")).select("i", "j", r6("v").alias("v"))
-
-    return run
+def gram_values(kernel: KernelSpec):
+    return lambda spark, sf_dir: _entries(spark, sf_dir, kernel).select("i", "j", r6("v").alias("v"))
 
 
 def gram_tiles_checksum(spark, sf_dir):
@@ -131,12 +125,7 @@ def sweep_objective(spark, sf_dir):
 
 
 def sizes_with_empties(spark, sf_dir):
-    got = engines.fit(points.line4(spark, sf_dir), 64, loop=LoopSpec(max_iter=1))
-    return sweep.sizes(got.labels_df(), 64)
-
-
-def sizes_with_empties_whole(spark, sf_dir):
-    return sweep.sizes(baselines.lift(LINE4_WHOLE(spark, sf_dir), 64, loop=LoopSpec(max_iter=1)).labels_df(), 64)
+    return sweep.sizes(baselines.lift(points.line4(spark, sf_dir), 64, loop=LoopSpec(max_iter=1)).labels_df(), 64)
 
 
 def history(column: str):
@@ -157,8 +146,8 @@ def window_disk(spark, sf_dir):
 # --- points -------------------------------------------------------------------
 
 
-def spread(source):
-    return lambda spark, sf_dir: source(spark, sf_dir).select("idx", F.posexplode("x").alias("pos", "v")).select("idx", (F.col("pos") + 1).alias("pos"), r6("v").alias("v"))
+def spread(source, digits: int = 6):
+    return lambda spark, sf_dir: source(spark, sf_dir).select("idx", F.posexplode("x").alias("pos", "v")).select("idx", (F.col("pos") + 1).alias("pos"), (F.round("v", digits) + F.lit(0.0)).alias("v"))
 
 
 def docbag_points(spark, sf_dir):
@@ -290,9 +279,8 @@ def asof_label_events(spark, sf_dir):
     return model.latest_before(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), versions, "user_id", "ts", "since", "version").select("event_id", "version")
 
 
-def interval_events(spark, sf_dir, whole: bool = False):
-    orders = table(spark, sf_dir, "orders")
-    spans = (orders if whole else orders.where("o_orderkey % 50 = 0")).select(F.col("o_orderkey").alias("span"), (F.col("o_orderkey") * 7 % 9000).alias("lo"), (F.col("o_orderkey") * 7 % 9000 + 3).alias("hi"))
+def interval_events(spark, sf_dir):
+    spans = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("span"), (F.col("o_orderkey") * 7 % 9000).alias("lo"), (F.col("o_orderkey") * 7 % 9000 + 3).alias("hi"))
     return model.within(table(spark, sf_dir, "events").select("event_id"), spans, "event_id", "lo", "hi", 64).select("event_id", "span")
 
 
@@ -349,30 +337,68 @@ def window_heights(spark, sf_dir):
     """Labels per block height of the recomputing window: all alike."""
     p = points.emb(spark, sf_dir)
     out = None
-    for b in (64, 256, 1024):
+    for b in (64, 128, 256, 512, 1024, 2048):
         part = engines.fit(p, 10, engine="window", loop=LoopSpec(max_iter=5), height=b).labels_df().withColumn("height", F.lit(b))
         out = part if out is None else out.union(part)
     return out
 
 
 def _sets(spark, sf_dir):
-    return {"vision": lambda n: points.emb(spark, sf_dir, n), "physics": lambda n: points.wide28(spark, sf_dir, n)}
+    """Point sets of n points drawn by md5 order."""
+    return {
+        "vision": lambda n: points.sampled(points.emb(spark, sf_dir), n),
+        "physics": lambda n: points.sampled(points.wide28(spark, sf_dir), n),
+        "education": lambda n: points.sampled(points.docbag(spark, sf_dir), n),
+    }
+
+
+def scaling_runs(name: str, weak: bool):
+    """Seconds and words of every engine, k in 16, 32, 64, grids of 1, 4 and 16 workers, on up to 500 points a grid side (strong: 2,000)."""
+
+    def rows(spark, sf_dir) -> DataFrame:
+        table_name, _, cap = SETS[name]
+        held = table(spark, sf_dir, table_name).count()
+        how = experiments.weak if weak else experiments.strong
+        return how(spark, {name: _sets(spark, sf_dir)[name]}, min(cap, held // 4) if weak else min(4 * cap, held), sweeps=2)
 
+    return rows
 
-def weak_scaling(spark, sf_dir):
-    return experiments.weak(spark, _sets(spark, sf_dir), 200, ks=(16,), grids=(1, 2), sweeps=2)
 
+def scaling_words(name: str, weak: bool):
+    def run(spark, sf_dir):
+        got = scaling_runs(name, weak)(spark, sf_dir).where("stage <> 'update'")
+        return got.select("dataset", "k", "algo", "g", "n", F.when(F.col("stage") == "kernel", "kernel").otherwise("sweep").alias("stage"), "words")
 
-def strong_scaling(spark, sf_dir):
-    return experiments.strong(spark, _sets(spark, sf_dir), 400, ks=(16,), grids=(1, 2), sweeps=2)
+    return run
 
 
 def stage_breakdown(spark, sf_dir):
-    return experiments.strong(spark, {"vision": _sets(spark, sf_dir)["vision"]}, 400, ks=(64,), grids=(2,), sweeps=2)
+    """Seconds and words of K, means and update at k = 64 on four workers, for every set."""
+    out = None
+    for name, (table_name, _, cap) in SETS.items():
+        n = min(4 * cap, table(spark, sf_dir, table_name).count())
+        part = experiments.strong(spark, {name: _sets(spark, sf_dir)[name]}, n, ks=(64,), grids=(2,), sweeps=2)
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _wide_bags(spark, sf_dir):
+    return points.sampled(points.docbag(spark, sf_dir, 10_000), 1000)
 
 
 def window_comparison(spark, sf_dir):
-    return experiments.against_window(spark, "physics", points.wide28(spark, sf_dir, 1000), 16, heights=(256, 1024), sweeps=2)
+    """Labels of the recomputing window against the mixed layout, on the widest set: all alike."""
+    p = materialize(_wide_bags(spark, sf_dir))
+    n, loop = p.count(), LoopSpec(max_iter=3, fixed=True)
+    want = engines.fit(p, 16, loop=loop).labels
+    settings = [("mixed_15d", "mixed_15d", {}), *[(f"window_{b}", "window", {"height": b}) for b in (256, 512, 1024)], ("fused", "fused", {})]
+    rows = [("education", name, n, float((engines.fit(p, 16, engine=e, loop=loop, **o).labels == want).mean())) for name, e, o in settings]
+    return spark.createDataFrame(rows, "dataset string, algo string, n long, agreement double")
+
+
+def window_seconds(spark, sf_dir):
+    """Seconds of both on the widest set, by stage."""
+    return experiments.against_window(spark, "education", materialize(_wide_bags(spark, sf_dir)), 16, sweeps=3)
 
 
 def stationary_table(spark, sf_dir):
@@ -433,12 +459,7 @@ def stream_drift(spark, sf_dir):
 
 
 _runs_query = lambda f: lambda spark, sf_dir: f(_runs(spark))
-line4_1k, eventday_1k = points.line4, partial(points.eventday, n=1000)
-LINE4_WHOLE, WIDE28_WHOLE, EVENTDAY_WHOLE = (partial(f, n=None) for f in (points.line4, points.wide28, points.eventday))
 KERNELS = (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))
-#: Labels no longer move long before this many sweeps: fits of whole tables end by themselves.
-TO_THE_END = LoopSpec(max_iter=10_000)
-
 QUERIES = {
     **{f"gram_{name}": gram_values(spec) for name, spec in KERNELS},
     "gram_tiles_checksum": gram_tiles_checksum,
@@ -471,21 +492,22 @@ QUERIES = {
     "fit_mixed_k64": fit_labels(points.emb, 64, max_iter=4),
     "history_changed": history("changed"),
     "history_objective": history("objective"),
-    "empty_skip": fit_labels(points.line4, 64, max_iter=12),
-    "empty_origin": fit_labels(points.line4, 64, max_iter=12, loop={"empty": "origin"}),
-    "empty_reseed": fit_labels(points.line4, 64, max_iter=12, loop={"empty": "reseed"}),
+    "empty_skip": whole_fit(points.line4, 64, LoopSpec(max_iter=12, empty="skip")),
+    "empty_origin": whole_fit(points.line4, 64, LoopSpec(max_iter=12, empty="origin")),
+    "empty_reseed": whole_fit(points.line4, 64, LoopSpec(max_iter=12, empty="reseed")),
     "tie_break_mini": fit_labels(points.mini, 2, linear(), max_iter=3),
     "mini_poly": fit_labels(points.mini, 2, max_iter=3),
     "mini_scores": lambda s, d: (lambda k, l: sweep.scores(e := sweep.cluster_means(k, l), sweep.centroid_norms(sweep.own_cluster_mean(e, l))))(gram.entries(points.mini(s), POLY), sweep.round_robin(points.mini(s), 2)).select("i", "cl", r6("dist").alias("dist")),
-    **{f"{f.__name__}_points": spread(f) for f in (points.line4, points.wide28, points.eventday, points.userfeat, points.part2, points.lobes, points.rings)},
+    **{f"{f.__name__}_points": spread(f) for f in (points.userfeat, points.part2, points.lobes, points.rings)},
+    **{f"{f.__name__}_points": spread(f, 4) for f in (points.line4, points.wide28, points.eventday)},
     "docbag_points": docbag_points,
     "docvocab_counts": points.docvocab,
-    "line4_fit_k16": fit_labels(points.line4, 16, max_iter=15),
-    "wide28_fit_k16": fit_labels(points.wide28, 16, max_iter=19),
+    "line4_fit_k16": whole_fit(points.line4, 16, LoopSpec(max_iter=15)),
+    "wide28_fit_k16": whole_fit(points.wide28, 16, LoopSpec(max_iter=19)),
     "docbag_fit_k4": fit_labels(points.docbag, 4, max_iter=9),
     "docbag_wide_fit_k4": docbag_wide_fit,
     "userfeat_fit_k4": fit_labels(points.userfeat, 4, max_iter=14),
-    "eventday_fit_k4": fit_labels(eventday_1k, 4, max_iter=12),
+    "eventday_fit_k4": whole_fit(points.eventday, 4, LoopSpec(max_iter=12)),
     "lobes_linear": fit_labels(points.lobes, 2, linear(), max_iter=2),
     "lobes_poly": fit_labels(points.lobes, 2, max_iter=3),
     "rings_poly": fit_labels(points.rings, 2, max_iter=6),
@@ -496,8 +518,11 @@ QUERIES = {
     "spectral_rings_ari": spectral_rings,
     "plusplus_k10": plusplus_k10,
     "window_heights": window_heights,
-    "weak_scaling": weak_scaling,
-    "strong_scaling": strong_scaling,
+    **{f"weak_scaling_{name}": scaling_words(name, True) for name in SETS},
+    **{f"strong_scaling_{name}": scaling_words(name, False) for name in SETS},
+    "weak_efficiency": lambda s, d: experiments.weak_report(scaling_runs("vision", True)(s, d)),
+    "strong_speedup": lambda s, d: experiments.strong_report(scaling_runs("vision", False)(s, d)),
+    "window_seconds": window_seconds,
     "stage_breakdown": stage_breakdown,
     "window_comparison": window_comparison,
     "assign_holdout": assign_holdout,
@@ -548,13 +573,4 @@ QUERIES = {
     "history_decrease": history_decrease,
     "top_clusters_lateral": top_clusters_lateral,
     "contingency_pivot": contingency_pivot,
-    # every row of the tables; the queries of these names without _whole keep the heads that their SQL has
-    **{f"gram_{name}_whole": gram_values(spec, whole=True) for name, spec in KERNELS},
-    **{f"{name}_points_whole": spread(f) for name, f in (("line4", LINE4_WHOLE), ("wide28", WIDE28_WHOLE), ("eventday", EVENTDAY_WHOLE))},
-    "interval_events_whole": partial(interval_events, whole=True),
-    "sizes_with_empties_whole": sizes_with_empties_whole,
-    **{f"empty_{e}_whole": whole_fit(LINE4_WHOLE, 64, LoopSpec(max_iter=12, empty=e)) for e in ("skip", "origin", "reseed")},
-    "line4_fit_k16_whole": whole_fit(LINE4_WHOLE, 16, TO_THE_END),
-    "wide28_fit_k16_whole": whole_fit(WIDE28_WHOLE, 16, TO_THE_END),
-    "eventday_fit_k4_whole": whole_fit(EVENTDAY_WHOLE, 4, TO_THE_END),
 }
