@@ -65,10 +65,10 @@ def small_enough(df: DataFrame, rows: int) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
-def salted_join(rows: DataFrame, once: DataFrame, key: str, spread: str, salts: int = 16) -> DataFrame:
-    """Inner join of ``rows`` with ``once``, which holds a key once: rows of one key go to ``salts`` tasks by hash of ``spread``."""
+def salted_join(rows: DataFrame, once: DataFrame, key: str, spread: str, salts: int = 16, how: str = "inner") -> DataFrame:
+    """Join (inner or left) of ``rows`` with ``once``, which holds a key once: rows of one key go to ``salts`` tasks by hash of ``spread``."""
     copies = once.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    return rows.withColumn("_salt", F.pmod(F.xxhash64(spread), F.lit(salts)).cast("int")).join(copies, [key, "_salt"]).drop("_salt")
+    return rows.withColumn("_salt", F.pmod(F.xxhash64(spread), F.lit(salts)).cast("int")).join(copies, [key, "_salt"], how).drop("_salt")
 
 
 def bounded_broadcast(df: DataFrame, rows: int) -> DataFrame:

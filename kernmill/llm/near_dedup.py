@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, byte_slices, components, mix, shingle_sets, stage
+from .common import bounded_broadcast, byte_slices, components, mix, salted_join, shingle_sets, stage
 
 SAMPLES, ROWS, SKETCH_BITS = 128, 4, 512
 BLOCK, BLOCK_SHINGLES = 256, 400_000
@@ -157,6 +157,38 @@ def _linked(percent: int):
     return run
 
 
+def block_pairs(docs: DataFrame, reps: DataFrame, family: DataFrame, shingle_words: int) -> DataFrame:
+    """(family, doc_id, members, block, lo, hi): the full set of every text of a family, once for each pair of blocks it is in.
+
+    The number of blocks goes to the ids, salted, and with them to the texts, so
+    that no exchange brings the sets of one family together: were they dealt by
+    family, Spark would keep that and run all its pairs of blocks in one task.
+    """
+
+    def as_sets(batches):
+        for batch in batches:
+            for lo, n in byte_slices(batch.column(3), CHUNK):
+                keys, counts = shingle_sets(_blobs(batch.column(3).slice(lo, n)), shingle_words)
+                ends = np.cumsum(counts)
+                yield pa.RecordBatch.from_arrays(
+                    [*[batch.column(c).slice(lo, n) for c in range(3)], pa.array([keys[e - c : e].tobytes() for e, c in zip(ends, counts)], pa.binary())],
+                    ["family", "doc_id", "blocks", "members"],
+                )
+
+    size = reps.select("rep", "n_shingles").join(family, F.col("rep") == F.col("node"))
+    blocks = size.groupBy("component").agg(F.count("*").alias("texts"), F.sum("n_shingles").alias("shingles"))
+    blocks = blocks.select("component", F.ceil(F.greatest(F.col("texts") / BLOCK, F.col("shingles") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
+    several = stage(blocks.where("blocks > 1"))  # any other family is one block
+    placed = stage(salted_join(family, several, "component", "node", how="left").select("node", "component", F.coalesce("blocks", F.lit(1)).alias("blocks")))
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(bounded_broadcast(placed, BROADCAST_ROWS), F.col("doc_id") == F.col("node"))
+    sets = texts.select("component", "doc_id", "blocks", "text").mapInArrow(as_sets, "family long, doc_id long, blocks int, members binary")
+    return (
+        sets.withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        .select("family", "doc_id", "members", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
+    )
+
+
 def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) per row of ``docs`` with a doc_id.
 
@@ -173,27 +205,7 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 5, percent: int = 80)
     hubs = bounded_broadcast(hubs, BROADCAST_ROWS)
     family = stage(components(keyed.join(hubs, "band").where("rep <> hub").select(F.col("rep").alias("a"), F.col("hub").alias("b"))))
 
-    def as_sets(batches):
-        for batch in batches:
-            for lo, n in byte_slices(batch.column(2), CHUNK):
-                keys, counts = shingle_sets(_blobs(batch.column(2).slice(lo, n)), shingle_words)
-                ends = np.cumsum(counts)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, n), batch.column(1).slice(lo, n), pa.array([keys[e - c : e].tobytes() for e, c in zip(ends, counts)], pa.binary())],
-                    ["family", "doc_id", "members"],
-                )
-
-    size = reps.select("rep", "n_shingles").join(family, F.col("rep") == F.col("node"))
-    blocks = size.groupBy("component").agg(F.count("*").alias("texts"), F.sum("n_shingles").alias("shingles"))
-    blocks = blocks.select("component", F.ceil(F.greatest(F.col("texts") / BLOCK, F.col("shingles") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(bounded_broadcast(family, BROADCAST_ROWS), F.col("doc_id") == F.col("node"))
-    sets = texts.select("component", "doc_id", "text").mapInArrow(as_sets, "family long, doc_id long, members binary")
-    dealt = (
-        sets.join(blocks, F.col("family") == F.col("component"))
-        .withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .select("family", "doc_id", "members", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
-    )
+    dealt = block_pairs(docs, reps, family, shingle_words)
     links = dealt.groupBy("family", "lo", "hi").applyInPandas(_linked(percent), "a long, b long")
     joined = components(links)
     owner = firsts.join(joined, F.col("rep") == F.col("node"), "left").select("set_id", "n", "rep", F.coalesce("component", "rep").alias("component_id"))
