@@ -33,6 +33,29 @@ def cluster_means(entries: DataFrame, labels: DataFrame, transposed: bool = Fals
     return entries.join(side, other).groupBy(F.col(own).alias("i"), "cl").agg(F.avg("v").alias("e"))
 
 
+def cluster_means_by_tile(entries: DataFrame, labels: DataFrame, n: int, side: int = 256) -> DataFrame:
+    """As ``cluster_means``: tiles of ``side`` rows and columns meet their segment of the labels in a cogroup, and leave partial sums."""
+    import numpy as np
+    import pandas as pd
+
+    def partial(tile: pd.DataFrame, segment: pd.DataFrame) -> pd.DataFrame:
+        met = tile.merge(segment[["idx", "cl"]], left_on="j", right_on="idx")
+        got = met.groupby(["i", "cl"], as_index=False).agg(total=("v", "sum"), cnt=("v", "size"))
+        return got.astype({"i": np.int64, "cl": np.int32, "total": np.float64, "cnt": np.int64})
+
+    bands = (n + side - 1) // side
+    tiles = entries.withColumn("bi", F.floor(F.col("i") / side)).withColumn("bj", F.floor(F.col("j") / side))
+    segments = labels.select("idx", "cl", F.floor(F.col("idx") / side).alias("bj")).withColumn("bi", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(bands - 1).cast("long"))))
+    sums = tiles.groupBy("bi", "bj").cogroup(segments.groupBy("bi", "bj")).applyInPandas(partial, "i long, cl int, total double, cnt long")
+    return sums.groupBy("i", "cl").agg((F.sum("total") / F.sum("cnt")).alias("e"))
+
+
+def inner_pair_means(entries: DataFrame, labels: DataFrame) -> DataFrame:
+    """(cl, c) straight from the entries whose two points share a cluster: the labels joined to both sides, the second time by cluster too."""
+    rows = labels.select(F.col("idx").alias("i"), "cl")
+    return entries.join(rows, "i").join(labels.select(F.col("idx").alias("j"), "cl"), ["j", "cl"]).groupBy("cl").agg(F.avg("v").alias("c"))
+
+
 def own_cluster_mean(means: DataFrame, labels: DataFrame) -> DataFrame:
     """(i, cl, z): each point's mean against its own cluster."""
     return means.join(labels.select(F.col("idx").alias("i"), "cl"), ["i", "cl"]).select("i", "cl", F.col("e").alias("z"))

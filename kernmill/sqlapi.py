@@ -40,7 +40,7 @@ def cluster_small(x: np.ndarray, k: int, kernel: KernelSpec, max_iter: int = 100
 
 
 def register(spark: SparkSession) -> None:
-    """kernel_value(x, y, name, gamma, coef0, degree), vec_sum(x) per group, and the table functions
+    """kernel_value(x, y, name, gamma, coef0, degree), vec_sum(x) per group, and the table functions cost_table(n, d, k, p),
     kernel_clusters(TABLE(points) WITH SINGLE PARTITION, k, name, gamma, coef0, degree) and contingency(TABLE(pairs) WITH SINGLE PARTITION).
 
     kernel_clusters runs in one task and refuses more than SMALL rows; larger
@@ -91,6 +91,13 @@ def register(spark: SparkSession) -> None:
             for (cl, truth), n in sorted(self.counts.items()):
                 yield cl, truth, n
 
+    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION cost_table(n DOUBLE, d DOUBLE, k DOUBLE, p DOUBLE)
+      RETURNS TABLE (algo STRING, kernel_messages DOUBLE, kernel_words DOUBLE, sweep_messages DOUBLE, sweep_words DOUBLE) RETURN
+      SELECT stack(4,
+        '1d', p, p * n * d, p, n,
+        'h1d', p + sqrt(p), n * n / p + n * d / sqrt(p), p, n,
+        '2d', sqrt(p), n * d / sqrt(p), sqrt(p) + 1, n * (k + 1) / sqrt(p) + n,
+        '1.5d', sqrt(p), n * d / sqrt(p), sqrt(p) + 1, n * (k + 1) / sqrt(p))""")
     spark.udf.register("kernel_value", kernel_value)
     spark.udf.register("vec_sum", vec_sum)
     spark.udtf.register("kernel_clusters", KernelClusters)

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+
 from ..functions.kernels import KernelSpec, cosine, linear, polynomial, rbf, sigmoid
 from ..functions.points import LINE4, LINE_KEY, USER, WIDE28
 
@@ -225,6 +227,26 @@ HOLD = "SELECT * FROM p WHERE idx % 5 = 0"
 SAMPLED = f"SELECT {KEY} FROM lineitem ORDER BY md5(concat_ws('|', '7', l_orderkey, l_linenumber, l_partkey, l_suppkey, strftime(l_shipdate, '%Y-%m-%d %H:%M:%S'))), {KEY} LIMIT 1000"
 _FINAL = f"{loop(EMB, POLY, 10, 17)}, final AS (SELECT l.idx, l.cl FROM l17 l), fe AS (SELECT ke.i, f.cl, avg(ke.v) AS e FROM ke JOIN final f ON ke.j = f.idx GROUP BY ALL), fc AS (SELECT f.cl, avg(fe.e) AS c FROM fe JOIN final f ON fe.i = f.idx AND fe.cl = f.cl GROUP BY f.cl)"
 
+_STEP_LOGS = {"1d": ("pp", "pp * nn * dd", "pp", "nn"), "h1d": ("pp + root * lg", "nn * nn / pp + nn * dd / root * lg", "pp", "nn"), "2d": ("root * lg", "nn * dd / root * lg", "root + lg", "nn * (kk + 1) / root + nn * lg"), "1.5d": ("root * lg", "nn * dd / root * lg", "root + lg", "nn * (kk + 1) / root")}
+_LOGS = f"WITH {GRID_SQL}, lpar AS (SELECT *, log2(root) AS lg FROM par) "
+
+
+def drawn_features(m: int, dim: int, seed: int) -> str:
+    """SQL list of the features that ``sample_features`` keeps."""
+    kept = np.sort(np.random.Generator(np.random.PCG64(seed)).choice(dim, size=m, replace=False))
+    return _list([f"x[{int(i) + 1}]" for i in kept])
+
+
+def drawn_projection(m: int, dim: int, seed: int) -> str:
+    """SQL list of the products with the rows that ``project`` draws."""
+    rows = np.random.Generator(np.random.PCG64(seed)).normal(0, 1 / math.sqrt(m), (m, dim))
+    return _list([f"list_dot_product(x, {_list([f'{float(v)!r}::DOUBLE' for v in row])})" for row in rows])
+
+
+def entries_of(vectors: str) -> str:
+    return f"SELECT idx, CAST(g AS INTEGER) AS pos, {r6('y[g]')} AS v FROM (SELECT idx, y, unnest(range(1, len(y) + 1)) AS g FROM (SELECT idx, {vectors} AS y FROM ({EMB})))"
+
+
 ORACLES: dict[str, str] = {
     # kernel stage
     **{f"gram_{name}": f"WITH {gram(EMB, spec)} SELECT i, j, {r6('v')} AS v FROM ke" for name, spec in (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))},
@@ -337,4 +359,19 @@ SELECT cl, CAST(r AS INTEGER) AS rank, i AS idx, {r6('sq')} AS sq_distance FROM
     "history_decrease": loop(EMB, POLY, 10, 6) + ", tr AS (SELECT sum(v) AS t FROM ke WHERE i = j), h AS (" + " UNION ALL ".join(f"SELECT {t} AS sweep, (SELECT t FROM tr) - (SELECT sum(c.c * s.n) FROM c{t} c JOIN (SELECT cl, count(*) AS n FROM l{t - 1} GROUP BY cl) s USING (cl)) AS o" for t in range(1, 7)) + f") SELECT sweep, {r6('lag(o) OVER (ORDER BY sweep) - o')} AS decrease FROM h",
     "top_clusters_lateral": f"{ONE} SELECT i AS idx, CAST(cl AS INTEGER) AS cl FROM (SELECT i, cl, row_number() OVER (PARTITION BY i ORDER BY dist, cl) AS n FROM d1) WHERE n <= 2",
     "contingency_pivot": f"{table_of(LOBES, POLY, 2, 3)} SELECT CAST(cl AS INTEGER) AS cl, CAST(coalesce(sum(cnt) FILTER (truth = 0), 0) AS BIGINT) AS t0, CAST(coalesce(sum(cnt) FILTER (truth = 1), 0) AS BIGINT) AS t1 FROM ct GROUP BY cl",
+    "fit_given_k10": labels(EMB, POLY, 10, 8).replace("SELECT idx, idx % 10 AS cl FROM p", "SELECT idx, (idx // 3) % 10 AS cl FROM p"),
+    "replicating_table": f"WITH {GRID_SQL} SELECT n, d, k, p, round(nn * nn * 4 / pp, 3) AS copied_words, round(nn * kk * 4 / pp + nn * kk / 4, 3) AS sweep_words FROM par",
+    "collective_table": f"{_LOGS} SELECT n, d, k, p, round(root + lg, 3) AS allgather_messages, round(nn * (kk + 1) / root + nn * lg, 3) AS allgather_words, round(root * lg + lg, 3) AS rounds_messages, round(nn * (kk + 1) / root * lg + nn * lg, 3) AS rounds_words FROM lpar",
+    "cost_table_logs": _LOGS + " UNION ALL ".join(f"SELECT '{a}' AS algo, n, d, k, p, round({km}, 3) AS kernel_messages, round({kw}, 3) AS kernel_words, round({dm}, 3) AS sweep_messages, round({dw}, 3) AS sweep_words FROM lpar" for a, (km, kw, dm, dw) in _STEP_LOGS.items()),
+    "cost_table_function": f"SELECT algo, n, d, k, p, kernel_messages, kernel_words, sweep_messages, sweep_words FROM ({_costs()})",
+    "sampled_features": entries_of(drawn_features(8, 64, 5)),
+    "projected_emb": entries_of(drawn_projection(4, 64, 5)),
+    "means_by_tile": f"{ONE} SELECT i, CAST(cl AS INTEGER) AS cl, {r6('e')} AS e FROM e1",
+    "inner_pairs": f"{ONE} SELECT CAST(a.cl AS INTEGER) AS cl, {r6('avg(ke.v)')} AS c FROM ke JOIN l0 a ON ke.i = a.idx JOIN l0 b ON ke.j = b.idx AND a.cl = b.cl GROUP BY a.cl",
+    "unmoved_labels": f"{ONE} SELECT a.idx, CAST(a.cl AS INTEGER) AS cl FROM l1 a JOIN l0 b ON a.idx = b.idx AND a.cl = b.cl",
+    "rolling_events": "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS last5, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS in_hour FROM events",
+    "report_rollup": f"WITH {RUNS_SQL} SELECT dataset, algo, sum(seconds) AS seconds, count(*) AS rows, CAST(grouping(dataset, algo) AS INTEGER) AS level FROM runs GROUP BY ROLLUP (dataset, algo) HAVING count(*) > 1",
+    "run_statistics": f"WITH {RUNS_SQL} SELECT algo, quantile_disc(seconds, 0.5) AS middle, round(stddev_pop(seconds), 6) AS spread, round(corr(g, seconds), 6) AS with_workers, sum(seconds) FILTER (g = 4) AS on_four FROM runs GROUP BY algo",
+    "stream_late": "WITH m AS (SELECT (min(epoch_us(ts)) + max(epoch_us(ts))) // 2 AS m, max(ts) - INTERVAL 2 HOUR AS w FROM events) SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events, m WHERE epoch_us(ts) >= m.m AND date_trunc('hour', ts) + INTERVAL 1 HOUR <= m.w GROUP BY ALL",
+    "stream_dimension": "SELECT event_id, count(*) OVER (PARTITION BY user_id) AS events FROM events",
 }

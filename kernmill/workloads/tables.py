@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .. import experiments
+from .. import experiments, sqlapi
 from ..functions import metrics, points
 from ..functions.kernels import KernelSpec, cosine, dot, linear, polynomial, rbf, sigmoid
 from ..operators import baselines, engines, gram, model, sweep
@@ -458,6 +460,95 @@ def stream_drift(spark, sf_dir):
     return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "cl", "n", F.round("mean_sq", 6).alias("mean_sq"), F.round("far_share", 6).alias("far_share"))
 
 
+def fit_given(spark, sf_dir):
+    """Labels from given ones: runs of three neighbours start together."""
+    p = points.emb(spark, sf_dir)
+    given = p.select("idx", (F.floor(F.col("idx") / 3) % 10).cast("int").alias("cl"))
+    return engines.fit(p, 10, loop=LoopSpec(max_iter=8), init=given).labels_df()
+
+
+def replicating_table(spark, sf_dir):
+    """Words of layouts that copy the dense operand four times."""
+    copied, moved = costs.replicating(4)
+    return _grid(spark).select("n", "d", "k", "p", F.round(copied, 3).alias("copied_words"), F.round(moved, 3).alias("sweep_words"))
+
+
+def collective_table(spark, sf_dir):
+    """Sweep costs of the 2d layout by how the labels of a grid column are brought together, logarithms kept."""
+    named = [c for how in ("allgather", "rounds") for c in zip((f"{how}_messages", f"{how}_words"), costs.distance_stage("2d", True, how))]
+    return _grid(spark).select("n", "d", "k", "p", *[F.round(c, 3).alias(name) for name, c in named])
+
+
+def cost_table_logs(spark, sf_dir):
+    got = costs.table(_grid(spark), with_logs=True)
+    return got.select("algo", "n", "d", "k", "p", *[F.round(c, 3).alias(c) for c in ("kernel_messages", "kernel_words", "sweep_messages", "sweep_words")])
+
+
+def cost_table_function(spark, sf_dir):
+    """The same costs through the SQL table function."""
+    sqlapi.register(spark)
+    _grid(spark).createOrReplaceTempView("kernmill_grid")
+    words = ("kernel_messages", "kernel_words", "sweep_messages", "sweep_words")
+    return spark.sql(f"SELECT t.algo, g.n, g.d, g.k, g.p, {', '.join(f'round(t.{c}, 3) AS {c}' for c in words)} FROM kernmill_grid g, LATERAL cost_table(g.n, g.d, g.k, g.p) t")
+
+
+def sampled_features(spark, sf_dir):
+    return spread(lambda s, d: points.sample_features(points.emb(s, d), 8, 64, 5))(spark, sf_dir)
+
+
+def projected(spark, sf_dir):
+    return spread(lambda s, d: points.project(points.emb(s, d), 4, 64, 5))(spark, sf_dir)
+
+
+def means_by_tile(spark, sf_dir):
+    k, labels = _start(spark, sf_dir)
+    return sweep.cluster_means_by_tile(k, labels, labels.count()).select("i", "cl", r6("e").alias("e"))
+
+
+def inner_pairs(spark, sf_dir):
+    return sweep.inner_pair_means(*_start(spark, sf_dir)).select("cl", r6("c").alias("c"))
+
+
+def unmoved_labels(spark, sf_dir):
+    k, before = _start(spark, sf_dir)
+    return sweep.sweep(k, before, 10).intersect(before)
+
+
+def rolling_events(spark, sf_dir):
+    """Per event of a user: value over its last five events, and events within the hour up to it."""
+    e = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", "value", F.unix_micros(F.col("ts").cast("timestamp")).alias("at"))
+    last5 = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-4, Window.currentRow)
+    hour = Window.partitionBy("user_id").orderBy("at").rangeBetween(-3_600_000_000, Window.currentRow)
+    return e.select("event_id", F.round(F.sum("value").over(last5), 4).alias("last5"), F.count("*").over(hour).alias("in_hour"))
+
+
+def report_rollup(spark, sf_dir):
+    """Seconds by dataset, then algorithm, then all, where more than one row was added up."""
+    return _runs(spark).rollup("dataset", "algo").agg(F.sum("seconds").alias("seconds"), F.count("*").alias("rows"), F.grouping_id().cast("int").alias("level")).where("rows > 1")
+
+
+def run_statistics(spark, sf_dir):
+    by = [F.round(f, 6).alias(name) for name, f in (("spread", F.stddev_pop("seconds")), ("with_workers", F.corr("g", "seconds")))]
+    return _runs(spark).groupBy("algo").agg(F.percentile_approx("seconds", 0.5, 10_000).alias("middle"), *by, F.sum(F.when(F.col("g") == 4, F.col("seconds"))).alias("on_four"))
+
+
+def stream_late(spark, sf_dir):
+    """Hourly counts where the newer half of the time comes first, and a watermark of two hours drops the older half."""
+    rows, at = table(spark, sf_dir, "events"), F.unix_micros(F.col("ts").cast("timestamp"))
+    middle = rows.select(at.alias("m")).agg(F.expr("(min(m) + max(m)) div 2").alias("m")).first().m
+    path = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    for half, files in ((at >= middle, 8), (at < middle, 4)):  # two batches before the late one: a watermark drops rows from the second batch after it on
+        rows.where(half).repartition(files).write.mode("append").parquet(path)
+    got = streams.run_available(streams.windowed(streams.source(spark, path, files_per_trigger=4), "tumbling", "2 hours"))
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+def stream_dimension(spark, sf_dir):
+    """Each event of the stream with a static dimension of its user."""
+    users = table(spark, sf_dir, "events").groupBy("user_id").agg(F.count("*").alias("events"))
+    return streams.run_available(streams.with_dimension(_event_stream(spark, sf_dir).select("event_id", "user_id"), users, "user_id")).select("event_id", "events")
+
+
 _runs_query = lambda f: lambda spark, sf_dir: f(_runs(spark))
 KERNELS = (("linear", linear()), ("poly", POLY), ("rbf", rbf(0.5)), ("sigmoid", sigmoid(0.5, 0.1)), ("cosine", cosine()))
 QUERIES = {
@@ -571,6 +662,21 @@ QUERIES = {
     "largest_n": largest_n,
     "cluster_ranks": cluster_ranks,
     "history_decrease": history_decrease,
+    "fit_given_k10": fit_given,
+    "replicating_table": replicating_table,
+    "collective_table": collective_table,
+    "cost_table_logs": cost_table_logs,
+    "cost_table_function": cost_table_function,
+    "sampled_features": sampled_features,
+    "projected_emb": projected,
+    "means_by_tile": means_by_tile,
+    "inner_pairs": inner_pairs,
+    "unmoved_labels": unmoved_labels,
+    "rolling_events": rolling_events,
+    "report_rollup": report_rollup,
+    "run_statistics": run_statistics,
+    "stream_late": stream_late,
+    "stream_dimension": stream_dimension,
     "top_clusters_lateral": top_clusters_lateral,
     "contingency_pivot": contingency_pivot,
 }
