@@ -10,7 +10,7 @@ import pytest
 from kernmill.workloads import oracles, tables
 
 ROOT = Path(__file__).resolve().parents[1]
-SAMPLE = ["gram_rbf", "sweep_scores", "fit_mixed_15d_k10", "fit_tile_2d_k10", "empty_origin", "wide28_points", "userfeat_fit_k4", "lobes_poly", "cost_table", "asof_label_events", "stream_tumbling", "stream_dedup", "report_cube", "traffic_all", "empty_reseed", "sweep_sqdist"]
+SAMPLE = ["gram_rbf", "sweep_scores", "fit_mixed_15d_k10", "fit_tile_2d_k10", "empty_origin", "wide28_points", "userfeat_fit_k4", "lobes_poly", "cost_table", "asof_label_events", "stream_tumbling", "stream_dedup", "report_cube", "traffic_all", "empty_reseed", "sweep_sqdist", "means_by_tile", "cost_table_function", "rolling_events", "stream_late"]
 
 
 def plain(v):
