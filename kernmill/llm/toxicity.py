@@ -110,7 +110,8 @@ def toxic_runs(toxic: list[str], ordinary: list[str], least: int = 3, odds: floa
     All words count on both sides. Words of more than 1/odds of the ordinary texts
     are left out of the toxic side: no run of theirs can pass.
     """
-    words = [[set(_LETTERS.findall(t.lower())) for t in side] for side in (toxic, ordinary)]
+    pool: dict[str, str] = {}  # one string a word, however many texts hold it
+    words = [[{pool.setdefault(w, w) for w in _LETTERS.findall(t.lower())} for t in side] for side in (toxic, ordinary)]
     seen = Counter(w for held in words[1] for w in held)
     common = {w for w, n in seen.items() if odds * n > len(ordinary)}
     counts: Counter = Counter()
@@ -169,22 +170,27 @@ def calibrate(features: np.ndarray, labels: np.ndarray, steps: int = 400) -> np.
     return w
 
 
-def _shingles(text: str) -> set[int]:
-    """Hashes of the runs of three words; of shorter texts as a whole."""
+def _shingles(text: str) -> np.ndarray:
+    """Distinct hashes, ascending, of the runs of three words; of shorter texts as a whole."""
     w = text.lower().split()
-    return {zlib.crc32(" ".join(w[i : i + 3]).encode("utf-8", "replace")) for i in range(max(1, len(w) - 2))}
+    return np.unique(np.array([zlib.crc32(" ".join(w[i : i + 3]).encode("utf-8", "replace")) for i in range(max(1, len(w) - 2))], dtype=np.uint32))
+
+
+def _half_shared(a: np.ndarray, b: np.ndarray) -> bool:
+    common = len(np.intersect1d(a, b, assume_unique=True))
+    return 2 * common >= len(a) + len(b) - common
 
 
 def _without_copies(texts: list[str]) -> list[str]:
     """Texts without those that share half of their shingles with an earlier one: copies and edited copies count once."""
     kept: list[str] = []
-    sets: list[set[int]] = []
+    sets: list[np.ndarray] = []
     by_low: dict[int, list[int]] = {}
     for t in texts:
         mine = _shingles(t)
-        low = sorted(mine)[:16]
+        low = mine[:16].tolist()
         near = {i for h in low for i in by_low.get(h, ())}
-        if any(2 * len(mine & sets[i]) >= len(mine | sets[i]) for i in near):
+        if any(_half_shared(mine, sets[i]) for i in near):
             continue
         for h in low:
             by_low.setdefault(h, []).append(len(kept))
