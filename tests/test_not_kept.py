@@ -2,9 +2,7 @@
 
 import numpy as np
 import pytest
-from pyspark.sql import functions as F
 
-from kernmill.functions import points
 from kernmill.functions.kernels import linear, polynomial, rbf
 from kernmill.operators import engines, model, moments
 from kernmill.plans.layout import LoopSpec, StoreSpec
