@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .common import byte_slices
 from .token_codec import codec, default_vocabulary
 
-WINDOW, END, OPEN = 4096, 2, 2048
+WINDOW, END, OPEN, NONE = 4096, 2, 2048, 1 << 30
 FIELDS = [("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64()), ("ids", pa.binary())]
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids binary"
 
@@ -35,31 +35,44 @@ class Levels:
 
     def __init__(self, size: int):
         self.size = size
-        self.count = np.zeros(size + 1, dtype=np.int64)
+        self.count = np.zeros(size + 1, dtype=np.int32)
+        #: What a level gives up with a window: its count below zero, or a lot where it has none.
+        self.taken = np.full(size + 1, NONE, dtype=np.int32)
+        self.change = np.empty(size + 1, dtype=np.int32)
         self.windows: list[list[list]] = [[] for _ in range(size + 1)]
         self.open = 0
 
+    def _step(self, fill: int, by: int) -> None:
+        self.count[fill] += by
+        self.taken[fill] = -self.count[fill] or NONE
+        self.open += by
+
     def place(self, piece: tuple) -> list | None:
-        """Put a piece of at most ``size`` ids; the window if that fills it."""
+        """Put a piece of at most ``size`` ids; the window if that fills it.
+
+        Half the change of the sum of squares, less one, is the count at the new fill less that at the old one;
+        a new window takes nothing away, a filled one adds nothing. Ties go to the lowest fill.
+        """
         n = len(piece[2])
-        fills = np.arange(0, self.size - n + 1)
-        change = 2 * (self.count[fills + n] - self.count[fills]) + 2
-        change[0] = 2 * self.count[n] + 1
-        change[-1] -= 2 * self.count[self.size] + 1 if n < self.size else 0
-        change[1:][self.count[fills[1:]] == 0] = np.iinfo(np.int64).max
-        fill = int(np.argmin(change))
+        last = self.size - n
+        best, fill = 2 * int(self.count[n]) + 1, 0
+        if last > 1:
+            change = np.add(self.count[n + 1 : self.size], self.taken[1:last], out=self.change[1:last])
+            at = int(change.argmin())
+            if 2 * int(change[at]) + 2 < best:
+                best, fill = 2 * int(change[at]) + 2, at + 1
+        if last and 2 * int(self.taken[last]) + 1 < best:
+            fill = last
         if fill:
             window = self.windows[fill].pop()
-            self.count[fill] -= 1
-            self.open -= 1
+            self._step(fill, -1)
         else:
             window = []
         window.append(piece)
         if fill + n == self.size:
             return window
         self.windows[fill + n].append(window)
-        self.count[fill + n] += 1
-        self.open += 1
+        self._step(fill + n, 1)
         return None
 
     def drain(self) -> tuple[list[list], list]:
@@ -78,6 +91,7 @@ class Levels:
                         room -= len(ids)
             self.windows[fill] = []
         self.count[:] = 0
+        self.taken[:] = NONE
         self.open = 0
         return full, held
 
