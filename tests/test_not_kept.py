@@ -55,3 +55,18 @@ def test_members_are_those_of_the_fit(spark, kernel, copy_bytes):
     own = {r.idx: r.cl for r in fitted.labels.collect()}
     near = {r.idx: r.cl for r in fitted.assign(fitted.points).collect()}
     assert own != near and {r.idx: r.cl for r in fitted.members(60).collect()} == own
+
+
+@pytest.mark.parametrize("store", [{}, {"symmetric": True}, {"dtype": "f32acc64"}])
+def test_relay_in_rounds(spark, store):
+    """All of K passes the exchange in every sweep, a slice of it at a time, whose files are gone after its round."""
+    x, dropped, drop = data(70, 3), [], engines.meter.drop_files
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(engines.meter, "drop_files", lambda df: (drop(df), dropped.append(df)))
+        got = engines.fit(frame(spark, x), 5, polynomial(2.0, 0.5), "regrid_h1d", 2, LoopSpec(max_iter=2, fixed=True), StoreSpec(keep_bytes=8 * 70 * 4 * 5, **store), relay=True)
+    assert got.labels.tolist() == cluster_small(x, 5, polynomial(2.0, 0.5), 2).tolist()
+    (words,) = [w for _, item, w, _ in got.traffic if item == "regrid"]
+    assert words == 2 * 70 * 70 // (2 if store.get("dtype") else 1)
+    assert len(dropped) == 2 * (4 if not store.get("dtype") else 2)
+    tracker = spark.sparkContext._jsc.sc().env().mapOutputTracker()
+    assert not any(tracker.getNumAvailableOutputs(e.shuffleDependency().shuffleId()) for df in dropped for e in engines.meter._found(df, True))
