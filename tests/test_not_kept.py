@@ -5,7 +5,7 @@ import pytest
 
 from kernmill.functions.kernels import linear, polynomial, rbf
 from kernmill.operators import engines, model, moments
-from kernmill.plans.layout import LoopSpec, StoreSpec
+from kernmill.plans.layout import LoopSpec, StoreSpec, packed, unpacked
 from kernmill.sqlapi import cluster_small
 
 from .test_kernel_kmeans import data, frame
@@ -70,3 +70,26 @@ def test_relay_in_rounds(spark, store):
     assert len(dropped) == 2 * (4 if not store.get("dtype") else 2)
     tracker = spark.sparkContext._jsc.sc().env().mapOutputTracker()
     assert not any(tracker.getNumAvailableOutputs(e.shuffleDependency().shuffleId()) for df in dropped for e in engines.meter._found(df, True))
+
+
+def test_workers_get_small_batches(spark, monkeypatch):
+    """A fit runs with batches of BATCH_BYTES; the session's own setting is back afterwards, failed or not."""
+    name, seen, prepare = "spark.sql.execution.arrow.maxBytesPerBatch", [], engines.Mixed.prepare
+    monkeypatch.setattr(engines.Mixed, "prepare", lambda self: (seen.append(spark.conf.get(name)), prepare(self)))
+    before = spark.conf.get(name, None)
+    engines.fit(frame(spark, data(20, 3)), 2, loop=LoopSpec(max_iter=1), store=StoreSpec(keep_bytes=0))
+    with pytest.raises(ValueError):
+        engines.fit(frame(spark, data(20, 3)), 21)
+    assert seen == [str(engines.BATCH_BYTES)] and spark.conf.get(name, None) == before
+
+
+def test_blocks_of_zeros_are_short(spark):
+    """The same points, in under half the bytes where most values are zero, and the same labels from them."""
+    full, thin = data(90, 3), np.where(np.random.default_rng(1).random((90, 40)) < 0.1, data(90, 40), 0.0)
+    thin[7] = 0.0
+    for x in (full, thin, np.zeros((3, 5)), full[:1, :1]):
+        assert np.array_equal(unpacked(packed(x), len(x)), x)
+    assert len(packed(full)) == full.nbytes and 2 * len(packed(thin)) < thin.nbytes
+    for engine in ("mixed_15d", "panel_1d"):
+        got = engines.fit(frame(spark, thin), 4, polynomial(), engine, 2, LoopSpec(max_iter=2), StoreSpec(keep_bytes=0))
+        assert got.labels.tolist() == cluster_small(thin, 4, polynomial(), 2).tolist()
