@@ -93,3 +93,34 @@ def test_blocks_of_zeros_are_short(spark):
     for engine in ("mixed_15d", "panel_1d"):
         got = engines.fit(frame(spark, thin), 4, polynomial(), engine, 2, LoopSpec(max_iter=2), StoreSpec(keep_bytes=0))
         assert got.labels.tolist() == cluster_small(thin, 4, polynomial(), 2).tolist()
+
+
+@pytest.mark.parametrize("keep_bytes", [0, 1 << 29])
+@pytest.mark.parametrize(("engine", "loop", "store", "shuffles"), [("mixed_15d", {}, {}, 1), ("mixed_15d", {"split": "clusters"}, {}, 2), ("mixed_15d", {"barrier": True}, {}, 1), ("mixed_15d", {}, {"symmetric": True}, 1), ("tile_2d", {}, {}, 2), ("window", {}, {}, 1), ("regrid_h1d", {}, {}, 0)])
+def test_files_of_a_sweep_go_with_it(spark, tmp_path, engine, loop, store, shuffles, keep_bytes):
+    """Before a sweep nothing is left of the shuffles of those before; labels and traffic are as ever."""
+    x, ids, shuffled = data(70, 3), [], engines.meter.shuffles
+    tracker = spark.sparkContext._jsc.sc().env().mapOutputTracker()
+
+    def seen(df, into_cache=False):
+        found = list(engines.meter._found(df, into_cache))
+        if sweeping:
+            ids.extend(e.shuffleDependency().shuffleId() for e in found)
+        return shuffled(df, into_cache)
+
+    sweeping, left, sweep_of = [], [], engines.Engine.sweep
+
+    def one(self, labels, sizes):
+        left.append([i for i in ids if tracker.getNumAvailableOutputs(i)])
+        sweeping.append(True)
+        out = sweep_of(self, labels, sizes)
+        sweeping.clear()
+        return out
+
+    more = {"distributed": True, "on_disk": str(tmp_path / "tiles")} if engine == "window" else {}
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(engines.meter, "shuffles", seen)
+        patch.setattr(engines.Engine, "sweep", one)
+        got = engines.fit(frame(spark, x), 5, polynomial(2.0, 0.5), engine, 2, LoopSpec(max_iter=3, fixed=True, **loop), StoreSpec(keep_bytes=keep_bytes, **store), **more)
+    assert got.labels.tolist() == cluster_small(x, 5, polynomial(2.0, 0.5), 3).tolist()
+    assert len(set(ids)) == 3 * shuffles and left == [[], [], []] and not any(tracker.getNumAvailableOutputs(i) for i in ids)
